@@ -2,19 +2,16 @@
 
 from __future__ import annotations
 
-
-def _chat():
-    from . import chat
-
-    return {"op7_chat_format": chat.op7_chat_format}, {"op7_chat_format": chat.OP7_SQL}
-
-
-GROUPS = [_chat]
+from . import chat, langid, media
 
 
 def queries():
-    return {k: v for g in GROUPS for k, v in g()[0].items()}
+    return {
+        "op5_language_id": langid.op5_language_id,
+        "op6_media_columns": media.op6_media_columns,
+        "op7_chat_format": chat.op7_chat_format,
+    }
 
 
 def oracle_sql():
-    return {k: v for g in GROUPS for k, v in g()[1].items()}
+    return {"op7_chat_format": chat.OP7_SQL}
