@@ -48,7 +48,7 @@ def fit(labelled: DataFrame, per_lang: int = 48, dict_bytes: int = 64 << 10) ->
     return {k: " ".join(clean(t) for _, t in sorted(v)).encode()[-dict_bytes:] for k, v in sorted(parts.items())}
 
 
-def predict(docs: DataFrame, model: dict[str, bytes], margin: float = 0.01, chunk: int = 4096) -> DataFrame:
+def predict(docs: DataFrame, model: dict[str, bytes], margin: float = 0.01, chunk: int = 16384) -> DataFrame:
     """(doc_id, lang_pred, score, accepted) of every whole text."""
     names = [k for k, v in model.items() if v]
     dicts = [model[k] for k in names]
@@ -56,7 +56,13 @@ def predict(docs: DataFrame, model: dict[str, bytes], margin: float = 0.01, chun
     def run(batches):
         import zstandard as zs
 
-        tools = [zs.ZstdCompressor(level=1, dict_data=zs.ZstdCompressionDict(d, dict_type=zs.DICT_TYPE_RAWCONTENT), write_content_size=False, write_checksum=False, write_dict_id=False) for d in dicts]
+        # short matches matter: common words are three letters long
+        how = zs.ZstdCompressionParameters(compression_level=1, min_match=3, strategy=zs.STRATEGY_GREEDY, window_log=17, hash_log=15, chain_log=15, search_log=3, write_content_size=False)
+        tools = []
+        for d in dicts:
+            d = zs.ZstdCompressionDict(d, dict_type=zs.DICT_TYPE_RAWCONTENT)
+            d.precompute_compress(compression_params=how)
+            tools.append(zs.ZstdCompressor(compression_params=how, dict_data=d))
         for whole in batches:
             for batch in slices(whole, "text"):
                 out = []

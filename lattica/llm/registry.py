@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from . import chat, langid, media
+from . import chat, htmltext, langid, media, pii
 
 
 def queries():
     return {
+        "op4_html_main_text": htmltext.op4_html_main_text,
         "op5_language_id": langid.op5_language_id,
         "op6_media_columns": media.op6_media_columns,
         "op7_chat_format": chat.op7_chat_format,
+        "op9_pii_surrogates": pii.op9_pii_surrogates,
     }
 
 
