@@ -9,6 +9,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 DOC_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
@@ -43,6 +44,11 @@ def release(*frames: DataFrame) -> None:
             p.getFileSystem(sc._jsc.hadoopConfiguration()).delete(p, True)
 
 
+def plus(schema: T.StructType, **columns: str) -> T.StructType:
+    """The schema with further columns (DataFrame.schema itself must not be changed)."""
+    return T.StructType([*schema.fields, *(T.StructField(k, T._parse_datatype_string(v)) for k, v in columns.items())])
+
+
 def crc_mod(column, n: int):
     """crc32 of a number's decimal text modulo n; null ids fall in class 0."""
     return F.coalesce(F.pmod(F.crc32(F.coalesce(column.cast("string"), F.lit("")).cast("binary")), F.lit(n)), F.lit(0))
@@ -117,16 +123,20 @@ def padded(column: pa.Array, lower: bool) -> tuple[np.ndarray, np.ndarray]:
     return data, off - off[0]
 
 
-def words(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Starts and ends of the runs of bytes that are not ASCII white space."""
+#: Bytes that are neither ASCII letters or digits nor part of a longer UTF-8 sequence.
+NOT_WORD = np.array([not (chr(c).isalnum() or c > 127) for c in range(256)])
+
+
+def words(data: np.ndarray, gap: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and ends of the runs of bytes outside gap (ASCII white space)."""
     inside = np.empty(len(data) + 2, np.int8)
     inside[0] = inside[-1] = 0
-    inside[1:-1] = ~SPACE[data]
+    inside[1:-1] = ~gap[data]
     edge = np.diff(inside)
     return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
 
 
-def slices(batch: pa.RecordBatch, text: str, most: int = 8 << 20):
+def slices(batch: pa.RecordBatch, text: str, most: int = 4 << 20):
     """Cuts of a batch of at most `most` text bytes each (one long text stays whole)."""
     sizes = pc.fill_null(pc.binary_length(batch.column(batch.schema.get_field_index(text))), 0).to_numpy(zero_copy_only=False)
     ends, start, total = [], 0, 0

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, table
+from .common import plus, slices, table
 
 #: Magic numbers of the formats.
 MAGIC = {
@@ -210,7 +210,7 @@ def _rows(column: str, pick):
 
 def sniff(df: DataFrame, column: str, declared: str | None = None) -> DataFrame:
     """Adds sniffed_type, sniffed_length, type_corrected (the declared type differs) to every row."""
-    schema = df.schema.add("sniffed_type", "string").add("sniffed_length", "long").add("type_corrected", "boolean")
+    schema = plus(df.schema, sniffed_type="string", sniffed_length="long", type_corrected="boolean")
     want = declared
 
     def pick(auto, batch, values):
