@@ -1,6 +1,6 @@
 """Toxicity by a factorization machine over hashed terms.
 
-A text is the set of its hashed lower-case words. The score is the logistic of
+A text is the set of its hashed lower-case words and word stems. The score is the logistic of
 bias + linear weights + all pairwise interactions (the inner products of the terms'
 factors), so an insult counts for more beside a mention of a group than the sum
 of both. Terms are hashed to 63 bits; those whose document frequency differs between
@@ -27,6 +27,10 @@ from pyspark.sql import functions as F
 from .common import NOT_WORD, PrefixHash, crc_mod, padded, plus, slices, table, words
 
 
+#: Byte lengths of the stems that are terms beside the whole words.
+STEMS = (6, 7)
+
+
 @dataclass
 class Machine:
     bias: float = 0.0
@@ -43,11 +47,18 @@ class Machine:
 
 
 def term_sets(tools: PrefixHash, batch: pa.RecordBatch, text: str):
-    """Text index and hash of every word of a batch (with repeats)."""
+    """Text index and hash of every word of a batch (with repeats), and of the stems (first STEMS bytes) of longer ones."""
     data, off = padded(batch.column(batch.schema.get_field_index(text)), True)
     start, end = words(data, NOT_WORD)
-    hashes = (tools.ranges(tools.sums(data), start, end) >> np.uint64(1)).astype(np.int64)
-    return np.searchsorted(off, start, "right") - 1, hashes
+    sums, doc = tools.sums(data), np.searchsorted(off, start, "right") - 1
+    hashes, docs = [tools.ranges(sums, start, end)], [doc]
+    for n in STEMS:
+        long = np.flatnonzero(end - start > n)
+        hashes.append(tools.ranges(sums, start[long], start[long] + n) ^ np.uint64(n))
+        docs.append(doc[long])
+    doc = np.concatenate(docs)
+    order = np.argsort(doc, kind="stable")
+    return doc[order], (np.concatenate(hashes)[order] >> np.uint64(1)).astype(np.int64)
 
 
 def labelled_terms(rows: DataFrame) -> list:
