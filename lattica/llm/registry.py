@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, htmltext, langid, media, pii
+from . import chat, decontaminate, htmltext, langid, media, pii, toxicity
 
 
 def queries():
@@ -11,9 +11,11 @@ def queries():
         "op5_language_id": langid.op5_language_id,
         "op6_media_columns": media.op6_media_columns,
         "op7_chat_format": chat.op7_chat_format,
+        "op8_toxicity": toxicity.op8_toxicity,
         "op9_pii_surrogates": pii.op9_pii_surrogates,
+        "op10_decontaminate": decontaminate.op10_decontaminate,
     }
 
 
 def oracle_sql():
-    return {"op7_chat_format": chat.OP7_SQL}
+    return {"op7_chat_format": chat.OP7_SQL, "op10_decontaminate": decontaminate.OP10_SQL}
