@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, htmltext, langid, media, pii, toxicity
+from . import chat, decontaminate, htmltext, langid, media, neardup, pii, toxicity
 
 
 def queries():
     return {
+        "op2_prob_minhash": neardup.op2_prob_minhash,
         "op4_html_main_text": htmltext.op4_html_main_text,
         "op5_language_id": langid.op5_language_id,
         "op6_media_columns": media.op6_media_columns,
