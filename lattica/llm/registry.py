@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, htmltext, langid, media, neardup, pii, toxicity
+from . import chat, decontaminate, htmltext, langid, media, mixing, neardup, pii, toxicity
 
 
 def queries():
     return {
+        "op1_mixing": mixing.op1_mixing,
         "op2_prob_minhash": neardup.op2_prob_minhash,
         "op4_html_main_text": htmltext.op4_html_main_text,
         "op5_language_id": langid.op5_language_id,
