@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, htmltext, langid, media, mixing, neardup, pii, toxicity
+from . import chat, decontaminate, htmltext, langid, media, mixing, neardup, pii, suffixdedup, toxicity
 
 
 def queries():
     return {
         "op1_mixing": mixing.op1_mixing,
         "op2_prob_minhash": neardup.op2_prob_minhash,
+        "op3_suffix_dedup": suffixdedup.op3_suffix_dedup,
         "op4_html_main_text": htmltext.op4_html_main_text,
         "op5_language_id": langid.op5_language_id,
         "op6_media_columns": media.op6_media_columns,
@@ -20,4 +21,4 @@ def queries():
 
 
 def oracle_sql():
-    return {"op7_chat_format": chat.OP7_SQL, "op10_decontaminate": decontaminate.OP10_SQL}
+    return {"op3_suffix_dedup": suffixdedup.OP3_SQL, "op7_chat_format": chat.OP7_SQL, "op10_decontaminate": decontaminate.OP10_SQL}
