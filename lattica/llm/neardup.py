@@ -99,7 +99,7 @@ def band_keys(registers: np.ndarray, bands: int = BANDS) -> np.ndarray:
 
 
 def sketch(docs: DataFrame) -> DataFrame:
-    """(doc_id, node, bands): node identifies the word sequence (null without words), bands are packed longs."""
+    """(doc_id, text_key, node, bands): node identifies the word sequence (null without words), text_key is xxhash64 of the text."""
 
     def run(batches):
         tools = PrefixHash()
@@ -113,10 +113,10 @@ def sketch(docs: DataFrame) -> DataFrame:
                     own = word[cut[i] : cut[i + 1]]
                     nodes.append(hashlib.blake2b(own.tobytes(), digest_size=16).digest() if len(own) else None)
                     bands.append(keys[i] if len(own) else None)
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(nodes, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], names=["doc_id", "node", "bands"])
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(nodes, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], names=["doc_id", "text_key", "node", "bands"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, node binary, bands array<long>")
+    return docs.select("doc_id", "text", F.xxhash64("text").alias("text_key")).mapInArrow(run, f"doc_id {kind}, text_key long, node binary, bands array<long>")
 
 
 def shingle_sets(texts: DataFrame) -> DataFrame:
@@ -209,15 +209,25 @@ def sketch_text(texts: DataFrame) -> DataFrame:
 
 
 def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """(doc_id, class_id, is_first) of every row of docs (doc_id, text)."""
+    """(doc_id, text_key, class_id, is_first) of every row of docs (doc_id, text)."""
     sketched = materialize(sketch(docs), "nd-sketch")
     comps = node_classes(docs, sketched, threshold)
-    rows = sketched.select("doc_id", "node")
-    labelled = rows.withColumn("comp", F.col("node")) if comps is None else rows.join(comps, "node", "left").select("doc_id", F.coalesce("comp", "node").alias("comp"))
+    rows = sketched.select("doc_id", "text_key", "node")
+    labelled = rows.withColumn("comp", F.col("node")) if comps is None else rows.join(comps, "node", "left").select("doc_id", "text_key", F.coalesce("comp", "node").alias("comp"))
     least = materialize(labelled.where("comp is not null").groupBy("comp").agg(F.min("doc_id").alias("least")), "nd-least")
-    out = labelled.join(least, "comp", "left").select("doc_id", F.coalesce("least", "doc_id").alias("class_id"))
-    return out.withColumn("is_first", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)))
+    out = labelled.join(least, "comp", "left").select("doc_id", "text_key", F.coalesce("least", "doc_id").alias("class_id"))
+    return out.withColumn("is_first", F.coalesce(F.col("doc_id") == F.col("class_id"), F.col("class_id").isNull()))
+
+
+def keep_first(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
+    """The documents without the later members of near-duplicate classes; of equal rows one stays."""
+    first = materialize(classes(docs, threshold).where("is_first").select("doc_id", "text_key"), "nd-first")
+    twice = first.where("doc_id is not null").groupBy("doc_id", "text_key").count().where("count > 1")
+    keyed = docs.withColumn("text_key", F.xxhash64("text"))
+    same = keyed.doc_id.eqNullSafe(first.doc_id) & (keyed.text_key == first.text_key)
+    kept = keyed.join(first, same, "left_semi")
+    return (kept if twice.isEmpty() else kept.dropDuplicates(["doc_id", "text_key"])).drop("text_key")
 
 
 def op2_prob_minhash(spark, sf_dir) -> DataFrame:
-    return classes(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return classes(table(spark, sf_dir, "documents", "doc_id", "text")).drop("text_key")

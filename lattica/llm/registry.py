@@ -5,6 +5,12 @@ from __future__ import annotations
 from . import chat, decontaminate, htmltext, langid, media, mixing, neardup, pii, suffixdedup, toxicity
 
 
+def pipeline(spark, sf_dir):
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries():
     return {
         "op1_mixing": mixing.op1_mixing,
@@ -17,6 +23,7 @@ def queries():
         "op8_toxicity": toxicity.op8_toxicity,
         "op9_pii_surrogates": pii.op9_pii_surrogates,
         "op10_decontaminate": decontaminate.op10_decontaminate,
+        "pipeline": pipeline,
     }
 
 
