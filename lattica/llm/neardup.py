@@ -34,7 +34,7 @@ from .common import PrefixHash, materialize, mix64, padded, release, slices, tab
 from .components import components
 
 WIDTH = 5
-REGISTERS, BANDS = 96, 24
+REGISTERS, BANDS = 192, 32
 STEP = np.uint64(0xA0761D6478BD642F)
 PLACE = [np.uint64(x) for x in (0x8EBC6AF09C88C6E3, 0x589965CC75374CC3, 0x1D8E4E27C47D124F, 0xEB44ACCAB455D165, 0x9FB21C651E98DF25)]
 
@@ -151,7 +151,7 @@ def verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     return full.select("a", "b", "x", "y").mapInArrow(run, "a binary, b binary, similarity double")
 
 
-def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, rounds: int = 8) -> DataFrame:
+def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, rounds: int = 3) -> DataFrame:
     """(node, comp) of the nodes that have a link."""
     one = sketched.where("node is not null").groupBy("node").agg(F.min("bands").alias("bands"))
     spread = one.select("node", F.explode("bands").alias("bucket"))
@@ -162,38 +162,49 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
     texts = docs.select("doc_id", "text").where("doc_id is not null").join(source, "doc_id")
     # ids may repeat with other texts: the set of the right text is the one whose words give the node
     sets = materialize(shingle_sets(sketch_text(texts)), "nd-sets")
-    links = pairs_seen = comps = None
+    comps, seen, last = None, [], False
     for r in range(rounds + 1):
-        state = members if comps is None else members.join(comps, "node", "left").select("bucket", "node", F.coalesce("comp", "node").alias("comp"))
-        if comps is None:
-            state = state.withColumn("comp", F.col("node"))
-        if r < rounds:
+        state = members.withColumn("comp", F.col("node")) if comps is None else members.join(comps, "node", "left").select("bucket", "node", F.coalesce("comp", "node").alias("comp"))
+        last = last or r == rounds
+        if not last:  # every bucket that holds several components: its members against one pivot
             rank = F.struct(F.xxhash64(F.lit(r), "node").alias("h"), "node", "comp")
             split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(rank).alias("p")).where("lo <> hi")
             pairs = state.join(split.select("bucket", F.col("p.node").alias("pivot"), F.col("p.comp").alias("pcomp")), "bucket").where("comp <> pcomp").select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b"))
-        else:
-            other = state.select("bucket", F.col("node").alias("n2"), F.col("comp").alias("c2"))
-            pairs = state.join(other, "bucket").where("comp < c2").select(F.least("node", "n2").alias("a"), F.greatest("node", "n2").alias("b"))
+        else:  # what is still apart in a bucket, each against each
+            split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("bucket")
+            left = materialize(state.join(split, "bucket"), "nd-apart")
+            other = left.select("bucket", F.col("node").alias("n2"), F.col("comp").alias("c2"))
+            pairs = left.join(other, "bucket").where("comp < c2").select(F.least("node", "n2").alias("a"), F.greatest("node", "n2").alias("b"))
         pairs = pairs.distinct()
-        if pairs_seen is not None:
-            pairs = pairs.join(pairs_seen, ["a", "b"], "left_anti")
+        for old in seen:
+            pairs = pairs.join(old, ["a", "b"], "left_anti")
         pairs = materialize(pairs, "nd-pairs")
         found = materialize(verified(pairs, sets, threshold).select("a", "b"), "nd-links")
         none = found.isEmpty()
         if not none:
-            links = found if links is None else links.unionByName(found)
-            comps = components(links)
-        pairs_seen = pairs if pairs_seen is None else pairs_seen.unionByName(pairs)
-        if none and r < rounds:
-            if pairs.isEmpty():
-                break
-            rounds = r + 1  # pivots merge no more: compare the rest exhaustively in the next round
-        if r >= rounds:
+            comps = joined_up(comps, found)
+        seen.append(pairs)
+        if last:
             break
+        last = none  # pivots merge no more
     release(members, sets)
     return comps
 
 
+def joined_up(comps: DataFrame | None, links: DataFrame) -> DataFrame:
+    """The components after further links: components of components, then one join."""
+    if comps is None:
+        return components(links)
+    ends = links
+    for k in ("a", "b"):
+        ends = ends.join(comps.select(F.col("node").alias(k), F.col("comp").alias(f"c_{k}")), k, "left").withColumn(k, F.coalesce(f"c_{k}", k)).drop(f"c_{k}")
+    upper = components(ends.where("a <> b").distinct())
+    up = upper.select(F.col("node").alias("comp"), F.col("comp").alias("top"))
+    old = comps.join(up, "comp", "left").select("node", F.coalesce("top", "comp").alias("comp"))
+    fresh = upper.join(comps.select("node"), "node", "left_anti")  # nodes that had no link before
+    return materialize(old.unionByName(fresh), "nd-comps")
+
+
 def sketch_text(texts: DataFrame) -> DataFrame:
     """(node, text) of rows (doc_id, text, node) whose text has that node."""
 
