@@ -40,8 +40,8 @@ def _subsets(g: WGraph, c: DataFrame, most: int) -> DataFrame:
     """(cid, mask, wx, inx, own): every proper subset of each cluster of at most `most` members."""
     state = state_of(g, c)
     small = state.groupBy("cid").agg(F.sort_array(F.collect_list(F.struct("id", "vw"))).alias("m"), F.sum("vw").alias("w")).where(F.size("m").between(2, most))
-    masks = small.select("cid", "m", "w", F.explode(F.sequence(F.lit(1), F.shiftleft(F.lit(1), F.size("m")) - 2)).alias("mask"))
-    member = masks.select("cid", "mask", "w", F.posexplode("m").alias("i", "v")).select("cid", "mask", "w", "v.id", "v.vw", (F.col("mask").bitwiseAND(F.expr("shiftleft(1, i)")) > 0).alias("x"))
+    masks = small.select("cid", "m", "w", F.explode(F.expr("sequence(1, shiftleft(1, size(m)) - 2)")).alias("mask"))
+    member = masks.select("cid", "mask", "w", F.posexplode("m").alias("i", "v")).select("cid", "mask", "w", "v.id", "v.vw", F.expr("(mask & shiftleft(1, i)) > 0").alias("x"))
     return member
 
 
