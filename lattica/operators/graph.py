@@ -153,7 +153,7 @@ def labelled(edges: DataFrame, c: DataFrame) -> DataFrame:
 def lambda_cc(g: WGraph, c: DataFrame) -> DataFrame:
     """One row: scaled (den times the objective), value, modularity."""
     inside = labelled(g.edges, c).where("c_src = c_dst").agg(F.coalesce(F.sum(g.long(F.col("w"))), g.long(F.lit(0))).alias("inside"))
-    per = c.join(g.vertices, "id").groupBy("cid").agg(F.sum(g.long(F.col("vw"))).alias("t"), F.sum(g.long(F.col("vw") * F.col("vw"))).alias("sq"))
+    per = c.join(g.vertices, "id").groupBy("cid").agg(F.sum(g.long(F.col("vw"))).alias("t"), F.sum(g.long(F.col("vw")) * g.long(F.col("vw"))).alias("sq"))
     sums = per.agg(F.coalesce(F.sum(F.col("t") * F.col("t")), g.long(F.lit(0))).alias("tt"), F.coalesce(F.sum("sq"), g.long(F.lit(0))).alias("sq"))
     stored = g.edges.agg(F.coalesce(F.sum("w"), F.lit(0)).alias("two_m"))
     scaled = F.lit(g.den) * F.col("inside") - F.lit(g.num) * (F.col("tt") - F.col("sq"))

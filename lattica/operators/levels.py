@@ -58,6 +58,6 @@ def downsample(level_map: DataFrame, c: DataFrame) -> DataFrame:
 def level_constant(g: WGraph, c: DataFrame) -> DataFrame:
     """One row: den times (fine objective - coarse objective), the constant that stands in for coarse self-loops."""
     inside = labelled(g.edges, c).where("c_src = c_dst").agg(F.coalesce(F.sum("w"), F.lit(0)).alias("inside"))
-    per = c.join(g.vertices, "id").groupBy("cid").agg(F.sum(g.long(F.col("vw"))).alias("t"), F.sum(g.long(F.col("vw") * F.col("vw"))).alias("sq"))
+    per = c.join(g.vertices, "id").groupBy("cid").agg(F.sum(g.long(F.col("vw"))).alias("t"), F.sum(g.long(F.col("vw")) * g.long(F.col("vw"))).alias("sq"))
     weights = per.agg(F.sum(F.col("t") * F.col("t") - F.col("sq")).alias("pairs"))
     return inside.crossJoin(weights).select((F.lit(g.den) * F.col("inside") - F.lit(g.num) * F.col("pairs")).alias("constant"))
