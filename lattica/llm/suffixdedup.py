@@ -34,6 +34,8 @@ from pyspark.sql import functions as F
 from .common import PrefixHash, free_shuffles, materialize, release, scratch, slices, table
 
 GRAM = 24
+#: Bits of an ordering key that hold a place in the batch; the rest are the hash's.
+PLACE_BITS = 40
 SHARD = 4 << 20
 
 
@@ -59,28 +61,28 @@ def anchors(tools: PrefixHash, data: np.ndarray, off: np.ndarray, length: int):
     if len(data) < length:
         return empty, empty.astype(np.uint64), empty, empty, empty
     grams = tools.grams(tools.sums(data), GRAM)
-    # smallest gram of each run of `windows` grams: minima over doubling spans, the hash's low bits give way to the place
-    best, where, span = grams, np.arange(len(grams)), 1
-
-    def lower(a, wa, b, wb):
-        take = b < a
-        return np.where(take, b, a), np.where(take, wb, wa)
-
+    # smallest gram of each run of `windows` grams: the hash's top bits order, then the place (leftmost of equals),
+    # so the choice depends on a window's bytes alone; minima are taken over doubling spans
+    low = np.uint64((1 << PLACE_BITS) - 1)
+    best, span = (grams & ~low) | np.arange(len(grams), dtype=np.uint64), 1
     while span * 2 <= windows:
-        best, where = lower(best[:-span], where[:-span], best[span:], where[span:])
+        best = np.minimum(best[:-span], best[span:])
         span *= 2
-    rest = windows - span
-    if rest:
-        best, where = lower(best[:-rest], where[:-rest], best[rest:], where[rest:])
-    n = np.arange(len(where))
-    doc = np.searchsorted(off, n, "right") - 1
-    inside = n + length <= off[doc + 1]
-    n, where, doc = n[inside], where[inside], doc[inside]
+    if windows > span:
+        best = np.minimum(best[: -(windows - span)], best[windows - span :])
+    where = (best & low).astype(np.int64)
+    # windows inside single texts: all but the last `length - 1` places of each
+    crossing = np.zeros(len(data) + 1, np.int32)
+    np.add.at(crossing, np.maximum(off[:-1], off[1:] - length + 1), 1)
+    np.add.at(crossing, off[1:], -1)
+    n = np.flatnonzero(np.cumsum(crossing)[: len(where)] == 0)
+    where = where[n]
     new = np.ones(len(n), bool)
-    new[1:] = (where[1:] != where[:-1]) | (doc[1:] != doc[:-1])
+    new[1:] = where[1:] != where[:-1]
     first = np.flatnonzero(new)
     last = np.append(first[1:], len(n))[: len(first)] - 1
-    return doc[first], grams[where[first]], where[first], n[first], n[last]
+    doc = np.searchsorted(off, n[first], "right") - 1
+    return doc, grams[where[first]], where[first], n[first], n[last]
 
 
 # ---------------------------------------------------------------- suffix arrays
@@ -219,7 +221,8 @@ def merge(shards: list[Shard]) -> None:
     if len(shards) < 2:
         return
     keys = [s.strings() for s in shards]
-    text = [np.array([k.tobytes().hex() for k in m], f"U{2 * m.shape[1]}") if len(m) else np.zeros(0, "U2") for m in keys]  # hex keeps zero bytes
+    # a last byte of one keeps zero bytes at the end from being taken for padding
+    text = [np.ascontiguousarray(np.pad(m, ((0, 0), (0, 1)), constant_values=1)).view(f"S{m.shape[1] + 1}").ravel() for m in keys]
     union, low = text[0], shards[0].low.copy()
     for t, s in zip(text[1:], shards[1:], strict=True):
         at = np.searchsorted(union, t)
@@ -297,20 +300,30 @@ def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFram
         hold: list[tuple] = []
         size = 0
 
-        def emit(cols, shards, cuts):
-            merge(shards)
-            mask = np.concatenate([s.masks() for s in shards])
-            keep = pa.array(mask != 0)
-            return pa.RecordBatch.from_arrays([cols[1], cols[2], cols[3], pa.array(mask)], names=["doc_id", "sid", "at", "mask"]).filter(keep)
-
         def work(cols):
-            ids = cols[1].to_numpy()
-            text = [x.as_py() for x in cols[4]]
-            sizes = np.array([len(t) for t in text])
+            anchor, ids = cols[0].to_numpy(), cols[1].to_numpy()
+            # equal contexts are one, owned by their first document; an anchor with one distinct context needs no sorting
+            place: dict = {}
+            which = np.array([place.setdefault(t, len(place)) for t in cols[4].to_pylist()])
+            text = list(place)
+            owner = np.full(len(text), np.iinfo(np.int64).max)
+            np.minimum.at(owner, which, ids)
+            of = np.zeros(len(text), np.int64)
+            of[which] = anchor
+            _, group, size = np.unique(of, return_inverse=True, return_counts=True)
+            mixed = np.flatnonzero(size[group] > 1)
+            mixed = mixed[np.argsort(of[mixed], kind="stable")]
+            sizes = np.array([len(text[i]) for i in mixed], np.int64)
             piece = (np.cumsum(sizes) - sizes) // (2 * SHARD)
-            cuts = [0, *(np.flatnonzero(np.diff(piece)) + 1).tolist(), len(text)]
-            shards = [Shard(text[a:z], ids[a:z], length) for a, z in zip(cuts[:-1], cuts[1:], strict=True)]
-            return emit(cols, shards, cuts)
+            cuts = [0, *(np.flatnonzero(np.diff(piece)) + 1).tolist(), len(mixed)] if len(mixed) else [0]
+            shards = [Shard([text[i] for i in mixed[a:z]], owner[mixed[a:z]], length) for a, z in zip(cuts[:-1], cuts[1:], strict=True)]
+            merge(shards)
+            below = np.zeros(len(text), np.int64)  # windows of a context that a document before its owner has
+            if shards:
+                below[mixed] = np.concatenate([s.masks() for s in shards])
+            whole = np.array([(1 << (len(t) - length + 1)) - 1 for t in text], np.int64)
+            mask = np.where(ids > owner[which], whole[which], below[which])
+            return pa.RecordBatch.from_arrays([cols[1], cols[2], cols[3], pa.array(mask)], names=["doc_id", "sid", "at", "mask"]).filter(pa.array(mask != 0))
 
         for b in batches:
             a = b.column(0).to_numpy()
