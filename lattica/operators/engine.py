@@ -168,6 +168,13 @@ def iterate(g: WGraph, o: Options = Options(), rounds: int = 11, scheme: str = "
     return out
 
 
+def run_log(spark, result: Result, run: str = "run") -> DataFrame:
+    """(run, level, phase, pass, movers, objective) of every pass, and (run, phase, seconds) as rows of pass -1."""
+    rows = [(run, int(x[0]), str(x[1]), int(x[2]), int(x[3]), str(x[4]), None) for x in result.log]
+    rows += [(run, -1, k, -1, None, None, float(v)) for k, v in result.seconds.items()]
+    return spark.createDataFrame(rows, "run string, level int, phase string, pass int, movers long, objective string, seconds double")
+
+
 def is_stable(g: WGraph, before: DataFrame, after: DataFrame) -> bool:
     """An iteration that does not improve the objective."""
     return lambda_cc(g, after).first().scaled <= lambda_cc(g, before).first().scaled
@@ -231,4 +238,4 @@ class Engine:
         return out
 
 
-__all__ = ["Engine", "Result", "iterate", "label_propagation", "layered_order", "local", "recombine", "refined", "replace", "two_way"]
+__all__ = ["Engine", "Result", "iterate", "label_propagation", "layered_order", "local", "recombine", "refined", "replace", "run_log", "two_way"]

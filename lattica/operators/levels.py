@@ -61,3 +61,8 @@ def level_constant(g: WGraph, c: DataFrame) -> DataFrame:
     per = c.join(g.vertices, "id").groupBy("cid").agg(F.sum(g.long(F.col("vw"))).alias("t"), F.sum(g.long(F.col("vw")) * g.long(F.col("vw"))).alias("sq"))
     weights = per.agg(F.sum(F.col("t") * F.col("t") - F.col("sq")).alias("pairs"))
     return inside.crossJoin(weights).select((F.lit(g.den) * F.col("inside") - F.lit(g.num) * F.col("pairs")).alias("constant"))
+
+
+def fine_objective(coarse_scaled: int, constants: list[int]) -> int:
+    """den times the objective on the input graph: the coarse one and the constants of the levels between."""
+    return coarse_scaled + sum(constants)

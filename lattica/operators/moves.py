@@ -140,6 +140,21 @@ def coloured(edges: DataFrame) -> DataFrame:
     return done if done is not None else left.select("id", F.lit(0).alias("colour"))
 
 
+def batches_of(g: WGraph, o: Options) -> tuple[DataFrame, int]:
+    """(id, batch) under the chosen batching, and the number of batches."""
+    if o.batching == "color1":
+        c = coloured(g.edges).select("id", F.col("colour").alias("batch"))
+    elif o.batching == "degree":  # doubling degree classes, the last open
+        d = g.edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("d"))
+        c = d.select("id", F.least(F.floor(F.log2("d") / 2), F.lit(o.batches - 1)).cast("int").alias("batch"))
+    elif o.batching == "partition":
+        c = g.vertices.select("id", F.pmod(portable_hash("id", F.lit(0).cast("long"), o.seed), F.lit(o.batches)).cast("int").alias("batch"))
+    else:
+        raise ValueError(f"batching {o.batching} runs in the kernel only")
+    c = settle(c, "batch")
+    return c, int(c.agg(F.max("batch")).first()[0] or 0) + 1
+
+
 def local_move(g: WGraph, state: DataFrame, o: Options, single: bool = False, constrained: bool = False, log: list | None = None, level: int = 0, phase: str = "down"):
     """(state, scaled objective, start objective): passes of simultaneous moves; the best state seen is returned.
 
@@ -153,8 +168,10 @@ def local_move(g: WGraph, state: DataFrame, o: Options, single: bool = False, co
         aff = settle(aff, "aff")
     best = start = None
     best_value, stuck = None, None
-    n = None
-    for i, phi in enumerate([*o.phi, None]):
+    n = active = None
+    batch, count_of = batches_of(g, o) if o.symmetry in ("batch", "async_batches") else (None, 1)
+    turns = [(i, phi, k) for i, phi in enumerate(o.phi) for k in range(count_of)]
+    for i, phi, k in [*turns, (len(o.phi), None, 0)]:
         if phi is not None and stuck == phi:
             continue
         dest = settle(destinations(g, state, aff), "dest")
@@ -166,6 +183,10 @@ def local_move(g: WGraph, state: DataFrame, o: Options, single: bool = False, co
         if phi is None:
             break
         moves = candidates(g, dest, phi)
+        if batch is not None:
+            moves = moves.join(batch.where(F.col("batch") == k).select("id"), "id", "left_semi")
+        if o.prune and active is not None:
+            moves = moves.join(active, "id", "left_semi")
         if o.symmetry == "replay":
             moves = replay_filter(g, edges, settle(moves, "moves"), o.eps)
         elif o.symmetry == "min_label" and (i % 2 == 0) == (o.mlh_passes == "odd"):
@@ -177,9 +198,12 @@ def local_move(g: WGraph, state: DataFrame, o: Options, single: bool = False, co
         if log is not None:
             log.append((level, phase, i, count, value))
         if not count:
-            stuck = phi
+            stuck = phi if batch is None else None
             continue
         stuck = None
+        if o.prune:  # movers and their neighbours
+            gone = moves.select(F.col("id").alias("src"))
+            active = settle(g.edges.join(gone, "src", "left_semi").select(F.col("dst").alias("id")).unionByName(gone.select(F.col("src").alias("id"))).distinct(), "active")
         new = settle(applied(g, state, moves), "state")
         if o.kernel == "fused" or (o.kernel == "fused_large_moves" and count > o.patch_threshold * n):
             nxt = affinity(edges, new)

@@ -451,12 +451,45 @@ def degree_buckets(s, d):
     return graph.degree_buckets(_edges(s, d, "status_hub")).groupBy("bucket").agg(F.count("*").alias("n"))
 
 
+def order_before_event(s, d):
+    """Every event with its user's last order (users stand for customers of the same number) at or before it."""
+    from ..operators.joins import asof_join
+    from ..sources import read_table
+
+    events = read_table(s, d, "events", "event_id", "ts", "user_id").select("event_id", F.col("user_id").alias("k"), F.col("ts").cast("timestamp_ntz").alias("ts"))
+    orders = read_table(s, d, "orders", "o_orderkey", "o_custkey", "o_orderdate").select(F.col("o_custkey").alias("k"), F.col("o_orderdate").cast("timestamp_ntz").alias("ts"), "o_orderkey")
+    orders = orders.groupBy("k", "ts").agg(F.max("o_orderkey").alias("o_orderkey"))
+    return asof_join(events, orders, "k", "ts", "o_orderkey").select("event_id", "o_orderkey")
+
+
+def users_within_gap(s, d):
+    """(a, b, n): how often user b acts within ten seconds after user a."""
+    from ..operators.joins import gap_join
+    from ..sources import read_table
+
+    e = read_table(s, d, "events", "event_id", "ts", "user_id").select("event_id", "user_id", F.unix_millis(F.col("ts").cast("timestamp")).alias("t"))
+    left = e.select(F.col("event_id").alias("ea"), F.col("user_id").alias("a"), F.col("t").alias("ta"))
+    right = e.select(F.col("event_id").alias("eb"), F.col("user_id").alias("b"), F.col("t").alias("tb"))
+    return gap_join(left, right, "ta", "tb", 10_000).where("ea <> eb").groupBy("a", "b").agg(F.count("*").alias("n"))
+
+
+def batched_color1(s, d):
+    """One pass in colour batches on DataFrames."""
+    g = _g(s, d)
+    return moves.local_move(g, moves.singleton_state(g), Options(phi=(Fraction(0),), symmetry="batch", batching="color1"), True)[0].select("id", "cid")
+
+
+def pruned_passes(s, d):
+    g = _g(s, d)
+    return moves.local_move(g, moves.singleton_state(g), Options(phi=(PHI75,) * 3, prune=True), True)[0].select("id", "cid")
+
+
 def queries():
     out = {}
     for v in VIEWS:
         out[f"graph_{v}"] = _graph_query(v)
         out[f"profile_{v}"] = _profile_query(v)
-    for f in (components_labels, largest_component, modularity_of_mod25, lambda_cc_of_mod10, objective_presets, affinity_mod10, affinity_salted_mod10, affinity_singletons, affinity_patched, affinity_recomputed, best_destination_mod10, new_singleton_cases, replay_filter_pass1, mlh_pass1, nosym_pass1, contract_mod10, contract_gathered, contract_bounds, contract_weights, relabel_dense, coarse_objective_constant, project_levels, downsample_levels, multilevel_ring_cliques, multilevel_on_frames, refined_on_frames, refine_eligible, refine_choice, refine_oriented, refine_roots, refine_prefixes, separation_violations, node_violations, uniform_density_small, subset_optimality_small, disconnected_pieces, recombination, ablation_report, baseline_report, ablation_cube, memetic_vs_iterated, label_propagation, connected_components_objective, cluster_top10, cluster_rollup, cluster_diff, pair_agreement_ari, pair_agreement_nmi, stream_edges_windowed, batching_color1_conflicts, degree_buckets):
+    for f in (components_labels, largest_component, modularity_of_mod25, lambda_cc_of_mod10, objective_presets, affinity_mod10, affinity_salted_mod10, affinity_singletons, affinity_patched, affinity_recomputed, best_destination_mod10, new_singleton_cases, replay_filter_pass1, mlh_pass1, nosym_pass1, contract_mod10, contract_gathered, contract_bounds, contract_weights, relabel_dense, coarse_objective_constant, project_levels, downsample_levels, multilevel_ring_cliques, multilevel_on_frames, refined_on_frames, refine_eligible, refine_choice, refine_oriented, refine_roots, refine_prefixes, separation_violations, node_violations, uniform_density_small, subset_optimality_small, disconnected_pieces, recombination, ablation_report, baseline_report, ablation_cube, memetic_vs_iterated, label_propagation, connected_components_objective, cluster_top10, cluster_rollup, cluster_diff, pair_agreement_ari, pair_agreement_nmi, stream_edges_windowed, batching_color1_conflicts, degree_buckets, order_before_event, users_within_gap, batched_color1, pruned_passes):
         out[f.__name__] = f
     out |= {
         "candidates_phi75": _cands(PHI75),
@@ -535,6 +568,8 @@ def oracle_sql():
     out["pair_agreement_nmi"] = step(STEP, "select 2 * mi.v / (hx.v + hy.v) as nmi from mi, hx, hy", c("id % 10"), c("id % 15", "f"), ent)
     out["stream_edges_windowed"] = "select epoch(date_trunc('hour', ts))::bigint as start, user_id, count(*) as n from events group by 1, 2"
     out["batching_color1_conflicts"] = "select 0::bigint as conflicts"
+    out["order_before_event"] = "with o as (select o_custkey as k, o_orderdate::timestamp as ts, max(o_orderkey) as o_orderkey from orders group by 1, 2) select e.event_id, o.o_orderkey from events e asof left join o on e.user_id = o.k and e.ts::timestamp >= o.ts"
+    out["users_within_gap"] = "with e as (select event_id, user_id, epoch_ms(ts::timestamp) as t from events) select x.user_id as a, y.user_id as b, count(*) as n from e x join e y on y.t between x.t and x.t + 10000 and x.event_id <> y.event_id group by 1, 2"
     out["degree_buckets"] = step("status_hub", "select case when vw < 8 then 'low' when vw < 256 then 'medium' else 'high' end as bucket, count(*) as n from verts group by 1")
     return out
 

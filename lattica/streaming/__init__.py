@@ -37,6 +37,22 @@ def window_edges(active: DataFrame) -> DataFrame:
     return rows.where("b is not null").groupBy(F.col("user_id").alias("a"), "b").agg(F.count("*").alias("n"))
 
 
+def last_seen(events: DataFrame) -> DataFrame:
+    """(user_id, last_ts, n): state kept per user over all micro-batches."""
+    import pandas as pd
+
+    def step(key, frames, state):
+        n, last = state.get if state.exists else (0, None)
+        for pdf in frames:
+            n += len(pdf)
+            top = pdf.ts.max()
+            last = top.value if last is None else max(last, top.value)
+        state.update((n, last))
+        yield pd.DataFrame({"user_id": [key[0]], "last_ts": [pd.Timestamp(last)], "n": [n]})
+
+    return events.select("user_id", "ts").groupBy("user_id").applyInPandasWithState(step, "user_id long, last_ts timestamp, n long", "n long, last long", "update", "NoTimeout")
+
+
 def keep_clustered(events: DataFrame, path: str, checkpoint: str, options=None, trigger=None):
     """A query that adds each batch's edges to the graph at path/edges and clusters it again from the last clustering at path/clusters."""
     from ..operators.engine import refined

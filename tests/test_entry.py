@@ -87,3 +87,54 @@ def test_facade(spark):
     spark.createDataFrame([(a, b, 1) for x, y in [(0, 1), (1, 2), (0, 2), (3, 4), (4, 5), (3, 5), (2, 3)] for a, b in ((x, y), (y, x))], "src long, dst long, w long").createOrReplaceTempView("g")
     Engine(spark).sql_cluster("g", "clusters")
     assert spark.sql("select count(distinct cid) from clusters").first()[0] == 2
+
+
+def test_table_functions(spark):
+    from lattica.functions.tables import register_table_functions
+
+    register_table_functions(spark)
+    pairs = [(0, 1), (1, 2), (0, 2), (3, 4), (4, 5), (3, 5), (2, 3)]
+    spark.createDataFrame([(a, b, 1) for x, y in pairs for a, b in ((x, y), (y, x))], "src long, dst long, w long").createOrReplaceTempView("edges")
+    got = {r.id: r.cid for r in spark.sql("select * from small_graph_cluster(table(edges) with single partition)").collect()}
+    assert got == {0: 0, 1: 0, 2: 0, 3: 3, 4: 3, 5: 3}
+    q = spark.sql("select modularity_part(src, dst, w, src div 3, dst div 3) q from edges").first().q
+    assert q == pytest.approx(5 / 14)
+
+
+def test_joins(spark):
+    from lattica.operators.joins import asof_join, gap_join
+
+    left = spark.createDataFrame([(1, 5, "a"), (1, 1, "b"), (2, 9, "c")], "k int, t int, n string")
+    right = spark.createDataFrame([(1, 2, 20), (1, 5, 50), (2, 10, 100)], "k int, t int, v int")
+    assert {r.n: r.v for r in asof_join(left, right, "k", "t", "v").collect()} == {"a": 50, "b": None, "c": None}
+    x, y = spark.range(0, 40, 3).toDF("a"), spark.range(0, 40, 7).toDF("b")
+    got = {(r.a, r.b) for r in gap_join(x, y, "a", "b", 5).collect()}
+    assert got == {(i, j) for i in range(0, 40, 3) for j in range(0, 40, 7) if 0 <= j - i <= 5}
+
+
+def test_log_and_constants(spark):
+    from lattica.operators import engine, graph, kernel, levels
+    from lattica.operators.options import Options
+
+    pairs = spark.createDataFrame([(0, 1), (1, 2), (0, 2), (3, 4), (4, 5), (3, 5), (2, 3)], "a long, b long")
+    g = graph.modularity_graph(graph.symmetrize(pairs))
+    r = engine.two_way(g, Options())
+    assert engine.run_log(spark, r).where("pass >= 0").count() > 0
+    small = engine.local(g)
+    c = kernel.local_move(small, kernel.np.arange(6), Options())
+    coarse, _ = kernel.contract(small, c)
+    constant = kernel.objective(small, c) - kernel.objective(coarse, kernel.np.arange(coarse.n))
+    frame = engine.back(spark, small, c)
+    assert levels.level_constant(g, frame).first().constant == constant
+    assert levels.fine_objective(kernel.objective(coarse, kernel.np.arange(coarse.n)), [constant]) == kernel.objective(small, c)
+
+
+def test_last_seen_state(spark, tmp_path):
+    from lattica.streaming import EVENTS, last_seen, read_events
+
+    rows = spark.sql("select id event_id, timestamp_seconds(1000 + id) ts, id % 3 user_id, 'x' event_type, 1.0D value, '' props from range(30)").select(*EVENTS.fieldNames())
+    rows.repartition(2).write.parquet(f"{tmp_path}/in")
+    q = last_seen(read_events(spark, f"{tmp_path}/in", 9)).writeStream.format("memory").queryName("seen").outputMode("update").option("checkpointLocation", f"{tmp_path}/cp").start()
+    q.processAllAvailable()
+    q.stop()
+    assert {r.user_id: r.n for r in spark.table("seen").collect()} == {0: 10, 1: 10, 2: 10}
