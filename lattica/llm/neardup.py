@@ -11,9 +11,10 @@ Texts that agree on all registers of one of ``bands`` bands are candidates, and
 candidate is a link only if the exact Jaccard similarity of the shingle sets is at
 least ``threshold``. Classes are the connected components of the links.
 
-No bucket is expanded into pairs: in each round the members of a bucket that are
-still apart are compared with one pivot. When rounds stop merging, what is left
-apart within a bucket is compared exhaustively, so no link between candidates is lost.
+No bucket is expanded into pairs: in each round a bucket that still holds several
+components offers one pivot (first the text that meets most others), and each text is
+compared with its best few offers. After the rounds, what is still apart within a bucket
+is compared exhaustively, so no link between components is lost.
 
 Defined results: exact copies (equal word sequences) are one node; null and empty
 texts and texts without words are never near-duplicates (each row its own class);
@@ -35,6 +36,8 @@ from .components import components
 
 WIDTH = 5
 REGISTERS, BANDS = 192, 32
+#: Pivots that a node is compared with in one round.
+OFFERS = 3
 STEP = np.uint64(0xA0761D6478BD642F)
 PLACE = [np.uint64(x) for x in (0x8EBC6AF09C88C6E3, 0x589965CC75374CC3, 0x1D8E4E27C47D124F, 0xEB44ACCAB455D165, 0x9FB21C651E98DF25)]
 
@@ -151,12 +154,15 @@ def verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     return full.select("a", "b", "x", "y").mapInArrow(run, "a binary, b binary, similarity double")
 
 
-def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, rounds: int = 3) -> DataFrame:
+def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, rounds: int = 2) -> DataFrame:
     """(node, comp) of the nodes that have a link."""
     one = sketched.where("node is not null").groupBy("node").agg(F.min("bands").alias("bands"))
     spread = one.select("node", F.explode("bands").alias("bucket"))
-    shared = spread.groupBy("bucket").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("bucket")
-    members = materialize(spread.join(shared, "bucket"), "nd-members")
+    shared = spread.groupBy("bucket").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("bucket", "size")
+    spots = materialize(spread.join(shared, "bucket"), "nd-spots")
+    # how many others a node meets: in a group of edited copies the least edited one meets most
+    meets = spots.groupBy("node").agg(F.sum("size").alias("meets"))
+    members = materialize(spots.join(meets, "node").select("bucket", "node", "meets"), "nd-members")
     wanted = members.select("node").distinct()
     source = sketched.join(wanted, "node").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     texts = docs.select("doc_id", "text").where("doc_id is not null").join(source, "doc_id")
@@ -164,12 +170,14 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
     sets = materialize(shingle_sets(sketch_text(texts)), "nd-sets")
     comps, seen, last = None, [], False
     for r in range(rounds + 1):
-        state = members.withColumn("comp", F.col("node")) if comps is None else members.join(comps, "node", "left").select("bucket", "node", F.coalesce("comp", "node").alias("comp"))
+        state = members.withColumn("comp", F.col("node")) if comps is None else members.join(comps, "node", "left").select("bucket", "node", "meets", F.coalesce("comp", "node").alias("comp"))
         last = last or r == rounds
-        if not last:  # every bucket that holds several components: its members against one pivot
-            rank = F.struct(F.xxhash64(F.lit(r), "node").alias("h"), "node", "comp")
+        if not last:  # a bucket that holds several components offers one pivot; a node is compared with its few best offers
+            rank = F.struct((F.xxhash64(F.lit(r), "node") if r else -F.col("meets")).alias("h"), "node", "comp")
             split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(rank).alias("p")).where("lo <> hi")
-            pairs = state.join(split.select("bucket", F.col("p.node").alias("pivot"), F.col("p.comp").alias("pcomp")), "bucket").where("comp <> pcomp").select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b"))
+            offers = state.join(split.select("bucket", "p"), "bucket").where(F.col("comp") != F.col("p.comp")).select("node", "p").distinct()
+            best = offers.groupBy("node").agg(F.slice(F.sort_array(F.collect_list("p")), 1, OFFERS).alias("ps"))  # at most one offer a band
+            pairs = best.select("node", F.explode("ps").alias("p")).select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"))
         else:  # what is still apart in a bucket, each against each
             split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("bucket")
             left = materialize(state.join(split, "bucket"), "nd-apart")
@@ -187,7 +195,7 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
         if last:
             break
         last = none  # pivots merge no more
-    release(members, sets)
+    release(spots, members, sets)
     return comps
 
 
