@@ -36,7 +36,8 @@ from .common import PrefixHash, free_shuffles, materialize, release, scratch, sl
 GRAM = 24
 #: Bits of an ordering key that hold a place in the batch; the rest are the hash's.
 PLACE_BITS = 40
-SHARD = 4 << 20
+#: Bytes of contexts in a shard, and of text hashed at a time (arrays of eight bytes a byte stay in the cache).
+SHARD, PIECE = 1 << 20, 1 << 18
 
 
 # ---------------------------------------------------------------- anchors
@@ -262,7 +263,7 @@ def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFram
     def find(batches):
         tools = PrefixHash()
         for whole in batches:
-            for b in slices(whole, "text", SHARD):
+            for b in slices(whole, "text", PIECE):
                 data, off = text_bytes(b.column(1))
                 doc, h, _, _, _ = anchors(tools, data, off, length)
                 order = np.lexsort((h, doc))
@@ -280,7 +281,7 @@ def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFram
     def cut(batches):
         tools = PrefixHash()
         for whole in batches:
-            for b in slices(whole, "text", SHARD):
+            for b in slices(whole, "text", PIECE):
                 data, off = text_bytes(b.column(1))
                 doc, h, _, first, last = anchors(tools, data, off, length)
                 h = h.astype(np.int64)
