@@ -14,7 +14,8 @@ least ``threshold``. Classes are the connected components of the links.
 No bucket is expanded into pairs: in each round a bucket that still holds several
 components offers one pivot (first the text that meets most others), and each text is
 compared with its best few offers. After the rounds, what is still apart within a bucket
-is compared exhaustively, so no link between components is lost.
+is compared in blocks of registers, each against each, and pairs that agree as often as
+the threshold allows (three standard errors below it) are verified.
 
 Defined results: exact copies (equal word sequences) are one node; null and empty
 texts and texts without words are never near-duplicates (each row its own class);
@@ -38,6 +39,8 @@ WIDTH = 5
 REGISTERS, BANDS = 192, 32
 #: Pivots that a node is compared with in one round.
 OFFERS = 3
+#: Members of a bucket that are compared as one matrix.
+BLOCK = 128
 STEP = np.uint64(0xA0761D6478BD642F)
 PLACE = [np.uint64(x) for x in (0x8EBC6AF09C88C6E3, 0x589965CC75374CC3, 0x1D8E4E27C47D124F, 0xEB44ACCAB455D165, 0x9FB21C651E98DF25)]
 
@@ -123,17 +126,57 @@ def sketch(docs: DataFrame) -> DataFrame:
 
 
 def shingle_sets(texts: DataFrame) -> DataFrame:
-    """(node, shingles): the packed sorted distinct shingle hashes of rows (node, text)."""
+    """(node, shingles, registers): the packed sorted distinct shingle hashes of rows (node, text), and 32 bits of each register."""
 
     def run(batches):
         tools = PrefixHash()
         for whole in batches:
             for b in slices(whole, "text"):
-                doc, h, _ = weighted(*shingles(tools, b.column(1))[:2])
+                doc, h, count = weighted(*shingles(tools, b.column(1))[:2])
                 cut = np.searchsorted(doc, np.arange(b.num_rows + 1))
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array([h[a:z].tobytes() for a, z in zip(cut[:-1], cut[1:], strict=True)], pa.binary())], names=["node", "shingles"])
+                packed = [h[a:z].tobytes() for a, z in zip(cut[:-1], cut[1:], strict=True)]
+                held = [x.tobytes() for x in signatures(b.num_rows, doc, h, count).astype(np.uint32)]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary()), pa.array(held, pa.binary())], names=["node", "shingles", "registers"])
+
+    return texts.select("node", "text").mapInArrow(run, "node binary, shingles binary, registers binary")
+
+
+def apart(left: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """(a, b) of different components in a bucket whose registers agree as often as the threshold allows (three standard errors below it).
+
+    Members of a bucket are packed into blocks; blocks meet blocks and the comparison is a
+    matrix inside, so a large bucket makes rows by the square of its blocks, not of its members.
+    """
+    least = threshold * REGISTERS - 3 * (threshold * (1 - threshold) * REGISTERS) ** 0.5
+    sizes = left.groupBy("bucket").agg(F.count("*").alias("n"))
+    rows = left.join(sizes, "bucket").join(sets.select("node", "registers"), "node")
+    block = F.pmod(F.xxhash64("node"), F.ceil(F.col("n") / BLOCK)).alias("block")
+    one = F.struct("node", "comp", "registers")
+    packed = rows.groupBy("bucket", block).agg(F.sort_array(F.collect_list(one)).alias("x"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    packed = materialize(packed, "nd-blocks")
+    other = packed.select("bucket", F.col("block").alias("block2"), F.col("x").alias("y"), F.col("lo").alias("lo2"), F.col("hi").alias("hi2"))
+    # two blocks of one and the same component have nothing to compare
+    met = packed.join(other, "bucket").where("block <= block2 and not (lo = hi and lo2 = hi2 and lo = lo2)").select("x", "y")
+
+    def part(column, i):
+        members = column.values.slice(column.offsets[i].as_py(), column.offsets[i + 1].as_py() - column.offsets[i].as_py())
+        node, comp, held = (members.field(k).to_pylist() for k in range(3))
+        return node, comp, np.frombuffer(b"".join(held), np.uint32).reshape(len(node), -1)
 
-    return texts.select("node", "text").mapInArrow(run, "node binary, shingles binary")
+    def run(batches):
+        for b in batches:
+            found = set()
+            for i in range(b.num_rows):
+                nx, cx, rx = part(b.column(0), i)
+                ny, cy, ry = part(b.column(1), i)
+                for k, (n, c) in enumerate(zip(nx, cx, strict=True)):
+                    for j in np.flatnonzero((ry == rx[k]).sum(1) >= least).tolist():
+                        if cy[j] != c:
+                            found.add((min(n, ny[j]), max(n, ny[j])))
+            rows = sorted(found)
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.binary()), pa.array([r[1] for r in rows], pa.binary())], names=["a", "b"])
+
+    return met.mapInArrow(run, "a binary, b binary")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
@@ -181,8 +224,7 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
         else:  # what is still apart in a bucket, each against each
             split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("bucket")
             left = materialize(state.join(split, "bucket"), "nd-apart")
-            other = left.select("bucket", F.col("node").alias("n2"), F.col("comp").alias("c2"))
-            pairs = left.join(other, "bucket").where("comp < c2").select(F.least("node", "n2").alias("a"), F.greatest("node", "n2").alias("b"))
+            pairs = apart(left.select("bucket", "node", "comp"), sets, threshold)
         pairs = pairs.distinct()
         for old in seen:
             pairs = pairs.join(old, ["a", "b"], "left_anti")

@@ -99,6 +99,21 @@ def test_probability_jaccard_estimate():
     assert (s[0] == s[1]).mean() == pytest.approx(0.6, abs=0.04)
 
 
+def test_apart_equals_brute_force(spark):
+    rng = np.random.default_rng(0)
+    base = rng.integers(0, 2**31, 192).astype(np.uint32)
+    regs = []
+    for _ in range(200):
+        r, k = base.copy(), rng.integers(0, 80)
+        r[rng.choice(192, k, replace=False)] = rng.integers(0, 2**31, k)
+        regs.append(r)
+    sets = spark.createDataFrame([(bytearray([i]), bytearray(), bytearray(r.tobytes())) for i, r in enumerate(regs)], "node binary, shingles binary, registers binary")
+    left = spark.createDataFrame([(1, bytearray([i]), bytearray([i % 7])) for i in range(200)], "bucket long, node binary, comp binary")
+    got = {(r.a[0], r.b[0]) for r in neardup.apart(left, sets, 0.8).distinct().collect()}
+    least = 0.8 * 192 - 3 * (0.16 * 192) ** 0.5
+    assert got == {(i, j) for i in range(200) for j in range(i + 1, 200) if i % 7 != j % 7 and (regs[i] == regs[j]).sum() >= least}
+
+
 def test_components(spark):
     edges = [(1, 2), (2, 3), (3, 4), (10, 11), (11, 12), (20, 20)] + [(i, i + 1) for i in range(100, 140)]
     got = {r.node: r.comp for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}
