@@ -255,7 +255,10 @@ def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFram
     path = scratch(spark, "sa-texts")
     name = "t_" + path.rpartition("-")[2]
     hashed = docs.where("doc_id is not null and text is not null").select("doc_id", "text", F.unhex(F.sha2("text", 256)).alias("sha"))
-    hashed.join(firsts, ["doc_id", "sha"], "left_semi").repartition(parts, "doc_id").write.option("compression", "zstd").option("path", path).bucketBy(parts, "doc_id").sortBy("doc_id").saveAsTable(name)
+    # joined by doc_id alone, so that the one exchange of texts serves the join and the buckets
+    wanted = firsts.groupBy("doc_id").agg(F.collect_set("sha").alias("wanted"))
+    kept = hashed.repartition(parts, "doc_id").join(wanted.repartition(parts, "doc_id"), "doc_id").where(F.array_contains("wanted", F.col("sha"))).drop("wanted")
+    kept.write.option("compression", "zstd").option("path", path).bucketBy(parts, "doc_id").sortBy("doc_id").saveAsTable(name)
     texts = spark.table(name)
     texts._scratch = path
     free_shuffles(spark)
