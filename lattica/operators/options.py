@@ -28,7 +28,7 @@ class Options:
     strict_method: str = "pairs"  # pairs, prefix
     seed: int = 0
     kernel_limit: int = 200_000
-    cap: int = 10_000
+    cap: int = 10_000  # movers up to which the strict move goes pair by pair; above it prefix sums
     max_levels: int = 64
     redraw_limit: int = 8
 

@@ -13,6 +13,10 @@ from .kernel import BIG
 from .moves import affinity, destinations, multiple
 
 
+#: Movers whose running sums one window adds up.
+STRETCH = 1 << 14
+
+
 def _zero():
     return F.lit(0).cast("long")
 
@@ -100,18 +104,25 @@ def refine(g: WGraph, b: DataFrame, seed: int, mode: str = "forest") -> DataFram
     return settle(committed(prefixes(g, forest, elig), mode == "racy"), "refined")
 
 
-def movers(g: WGraph, state: DataFrame, cap: int) -> DataFrame:
-    """(id, pos, vw, old, new, gain) of the first `cap` vertices that gain by moving, in hash order."""
+def movers(g: WGraph, state: DataFrame, cap: int | None = None) -> DataFrame:
+    """(id, pos, vw, old, new, gain) of all vertices that gain by moving, in hash order; of the first `cap` if given."""
     dest = destinations(g, state, affinity(g.edges, state))
     alone = F.col("s_new").isNull() | (F.col("s_new") < 0)
     zero = g.long(_zero())
     rows = dest.select("id", "vw", F.col("cid").alias("old"), F.when(~alone, F.col("c_new")).alias("new"), (F.when(alone, zero).otherwise(F.col("s_new")) - F.col("s_own")).alias("gain")).where("gain > 0")
-    top = rows.withColumn("h", portable_hash("id", _zero(), 5)).orderBy("h", "id").limit(cap)  # a capped prefix of an arbitrary order
-    return top.withColumn("pos", F.row_number().over(W.orderBy("h", "id"))).drop("h")
+    rows = rows.withColumn("h", portable_hash("id", _zero(), 5))
+    if cap is not None:
+        return rows.orderBy("h", "id").limit(cap).withColumn("pos", F.row_number().over(W.orderBy("h", "id"))).drop("h")
+    # ranges of the hash are numbered apart and moved by the counts of the ranges before
+    rows = settle(rows.withColumn("range", F.shiftright("h", 21)), "movers")
+    sizes = rows.groupBy("range").agg(F.count("*").alias("n"))
+    before = sizes.select("range", F.coalesce(F.sum("n").over(W.orderBy("range").rowsBetween(W.unboundedPreceding, -1)), _zero()).alias("before"))  # one row per range
+    pos = F.col("before") + F.row_number().over(W.partitionBy("range").orderBy("h", "id"))
+    return rows.join(before, "range").withColumn("pos", pos).drop("h", "range", "before")
 
 
 def strict_pairs(g: WGraph, m: DataFrame) -> DataFrame:
-    """(id, pos, old, new, gain, change, run): gains after all earlier movers, pair by pair (capped movers)."""
+    """(id, pos, old, new, gain, change, run): gains after all earlier movers, pair by pair (for few movers)."""
     u = m.select(F.col("id").alias("src"), F.col("pos").alias("u_pos"), F.col("vw").alias("u_vw"), F.col("old").alias("u_old"), F.col("new").alias("u_new"))
     v = m.select(F.col("id").alias("dst"), F.col("pos").alias("v_pos"), F.col("vw").alias("v_vw"), F.col("old").alias("v_old"), F.col("new").alias("v_new"))
     pairs = u.join(F.broadcast(v), F.col("u_pos") < F.col("v_pos")).join(g.edges, ["src", "dst"], "left")
@@ -129,19 +140,26 @@ def strict_prefix(g: WGraph, m: DataFrame) -> DataFrame:
     drift = every.withColumn("drift", before).where("id is not null").groupBy("id").agg(F.sum(-g.long(F.col("vw")) * g.num * F.col("sign") * F.col("drift")).alias("far"))
     u = m.select(F.col("id").alias("src"), F.col("pos").alias("u_pos"), F.col("old").alias("u_old"), F.col("new").alias("u_new"))
     v = m.select(F.col("id").alias("dst"), F.col("pos").alias("v_pos"), F.col("old").alias("v_old"), F.col("new").alias("v_new"))
-    near = g.edges.join(F.broadcast(u), "src").join(F.broadcast(v), "dst").where("u_pos < v_pos").groupBy(F.col("dst").alias("id")).agg(F.sum(g.long(F.col("w")) * g.den * multiple()).alias("near"))
+    near = g.edges.join(u, "src").join(v, "dst").where("u_pos < v_pos").groupBy(F.col("dst").alias("id")).agg(F.sum(g.long(F.col("w")) * g.den * multiple()).alias("near"))
     both = m.join(drift, "id", "left").join(near, "id", "left")
     return _running(g, both.withColumn("change", F.coalesce("far", g.long(_zero())) + F.coalesce("near", g.long(_zero()))).drop("far", "near"))
 
 
 def _running(g: WGraph, rows: DataFrame) -> DataFrame:
-    rows = rows.withColumn("change", F.coalesce("change", g.long(_zero())))
-    return rows.withColumn("run", F.sum(F.col("gain") + F.col("change")).over(W.orderBy("pos").rowsBetween(W.unboundedPreceding, 0)))  # at most `cap` rows
-
-
-def strict_move(g: WGraph, state: DataFrame, cap: int = 10_000, method: str = "pairs") -> DataFrame:
-    """(id, c_new) of the best prefix (largest running sum, first of equals)."""
-    m = settle(movers(g, state, cap), "movers")
-    rows = settle((strict_pairs if method == "pairs" else strict_prefix)(g, m), "strict")
+    """Running sums inside stretches of the order, moved by the sums of the stretches before."""
+    rows = rows.withColumn("change", F.coalesce("change", g.long(_zero()))).withColumn("part", F.floor(F.col("pos") / STRETCH))
+    rows = settle(rows, "changes")
+    step = F.col("gain") + F.col("change")
+    sums = rows.groupBy("part").agg(F.sum(step).alias("s"))
+    before = sums.select("part", F.sum("s").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)).alias("before"))  # one row per stretch
+    inner = F.sum(step).over(W.partitionBy("part").orderBy("pos").rowsBetween(W.unboundedPreceding, 0))
+    return rows.join(before, "part").withColumn("run", inner + F.coalesce("before", g.long(_zero()))).drop("part", "before")
+
+
+def strict_move(g: WGraph, state: DataFrame, bound: int = 10_000, method: str = "pairs") -> DataFrame:
+    """(id, c_new) of the best prefix of all movers (largest running sum, first of equals); pairs only up to `bound` movers."""
+    m = settle(movers(g, state), "movers")
+    few = method == "pairs" and m.count() <= bound
+    rows = settle((strict_pairs if few else strict_prefix)(g, m), "strict")
     best = rows.orderBy(F.desc("run"), "pos").limit(1).select(F.col("pos").alias("end"))
     return rows.join(F.broadcast(best), F.col("pos") <= F.col("end")).select("id", F.col("new").alias("c_new"))

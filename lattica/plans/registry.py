@@ -277,6 +277,13 @@ def _strict(method):
     return run
 
 
+def strict_move_all(s, d):
+    """The strict move over every mover (the SQL of strict_move_pairs and strict_move_prefix takes the first 60)."""
+    g = _g(s, d)
+    m = settle(refine.movers(g, _state(g, 100)), "movers")
+    return refine.strict_prefix(g, m).select("id", "pos", "new", F.col("run").cast("long").alias("run"))
+
+
 def separation_violations(s, d):
     g = _g(s, d)
     return checks.violations_separation(g, _blocks(g))
@@ -489,7 +496,7 @@ def queries():
     for v in VIEWS:
         out[f"graph_{v}"] = _graph_query(v)
         out[f"profile_{v}"] = _profile_query(v)
-    for f in (components_labels, largest_component, modularity_of_mod25, lambda_cc_of_mod10, objective_presets, affinity_mod10, affinity_salted_mod10, affinity_singletons, affinity_patched, affinity_recomputed, best_destination_mod10, new_singleton_cases, replay_filter_pass1, mlh_pass1, nosym_pass1, contract_mod10, contract_gathered, contract_bounds, contract_weights, relabel_dense, coarse_objective_constant, project_levels, downsample_levels, multilevel_ring_cliques, multilevel_on_frames, refined_on_frames, refine_eligible, refine_choice, refine_oriented, refine_roots, refine_prefixes, separation_violations, node_violations, uniform_density_small, subset_optimality_small, disconnected_pieces, recombination, ablation_report, baseline_report, ablation_cube, memetic_vs_iterated, label_propagation, connected_components_objective, cluster_top10, cluster_rollup, cluster_diff, pair_agreement_ari, pair_agreement_nmi, stream_edges_windowed, batching_color1_conflicts, degree_buckets, order_before_event, users_within_gap, batched_color1, pruned_passes):
+    for f in (components_labels, largest_component, modularity_of_mod25, lambda_cc_of_mod10, objective_presets, affinity_mod10, affinity_salted_mod10, affinity_singletons, affinity_patched, affinity_recomputed, best_destination_mod10, new_singleton_cases, replay_filter_pass1, mlh_pass1, nosym_pass1, contract_mod10, contract_gathered, contract_bounds, contract_weights, relabel_dense, coarse_objective_constant, project_levels, downsample_levels, multilevel_ring_cliques, multilevel_on_frames, refined_on_frames, refine_eligible, refine_choice, refine_oriented, refine_roots, refine_prefixes, strict_move_all, separation_violations, node_violations, uniform_density_small, subset_optimality_small, disconnected_pieces, recombination, ablation_report, baseline_report, ablation_cube, memetic_vs_iterated, label_propagation, connected_components_objective, cluster_top10, cluster_rollup, cluster_diff, pair_agreement_ari, pair_agreement_nmi, stream_edges_windowed, batching_color1_conflicts, degree_buckets, order_before_event, users_within_gap, batched_color1, pruned_passes):
         out[f.__name__] = f
     out |= {
         "candidates_phi75": _cands(PHI75),

@@ -5,6 +5,7 @@ from fractions import Fraction
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from lattica.functions import portable_hash, portable_hash_np
 from lattica.operators import checks, engine, graph, kernel, levels, measures, moves, refine
@@ -281,3 +282,26 @@ def test_sources(spark, tmp_path):
         assert read_edges(spark, f"{tmp_path}/{fmt}", fmt).exceptAll(e).count() == 0
     (tmp_path / "m.mtx").write_text("%%MatrixMarket matrix coordinate pattern symmetric\n% note\n6 6 2\n1 2\n3 4\n")
     assert sorted(map(tuple, read_edges(spark, f"{tmp_path}/m.mtx", "coordinate").collect())) == [(1, 2, 1), (3, 4, 1)]
+
+
+def test_strict_move_takes_every_mover(spark, monkeypatch):
+    monkeypatch.setattr(refine, "STRETCH", 7)
+    side = 9
+    grid = [(i, i + 1) for i in range(side * side) if i % side < side - 1] + [(i, i + side) for i in range(side * (side - 1))]
+    g = frames(spark, grid)
+    state = moves.state_of(g, g.vertices.select("id", F.pmod("id", F.lit(5)).alias("cid")))
+    m = refine.movers(g, state)
+    rows = {r.id: r for r in m.collect()}
+    small, c = engine.local(g), kernel.canonical(np.arange(side * side) % 5)
+    base, now, want = kernel.objective(small, c), np.array(c), {}
+    for r in sorted(rows.values(), key=lambda r: r.pos):  # each mover applied in turn and the whole objective taken anew
+        now[r.id] = r.new if r.new is not None else small.n + r.id
+        want[r.id] = (kernel.objective(small, now) - base) // 2
+    assert len(want) > 60 and sorted(r.pos for r in rows.values()) == list(range(1, len(rows) + 1))
+    for judge in (refine.strict_pairs, refine.strict_prefix):
+        assert {r.id: int(r.run) for r in judge(g, m).collect()} == want
+    best = kernel.strict_move(small, c, Options()).tolist()
+    assert kernel.strict_move(small, c, Options(cap=3)).tolist() == best
+    for bound in (3, 10_000):
+        got = as_dict(moves.applied(g, state, refine.strict_move(g, state, bound)).select("id", "cid"))
+        assert [got[i] for i in range(side * side)] == best
