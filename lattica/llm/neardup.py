@@ -1,11 +1,13 @@
 """Near-duplicate classes by ProbMinHash, banding and verification.
 
-A text is the weighted set of its shingles of five lower-case words (runs of
-characters other than ASCII white space; a shorter text is one shingle), weighted
-by 1 + ln(count). Each shingle is a Poisson process whose rate is its weight and
-whose arrivals and registers derive from its hash; a register keeps the shingle
-that arrives first. Two registers agree with the probability Jaccard of the sets.
-A shingle stops as soon as its next arrival is later than every register.
+A text is the set of its shingles of five lower-case words (runs of characters
+other than ASCII white space; a shorter text is one shingle). Each shingle is a
+Poisson process whose rate is its weight and whose arrivals and registers derive
+from its hash; a register keeps the shingle that arrives first. Two registers agree
+with the probability Jaccard of the weighted sets. All weights are 1 here, so that
+the registers estimate the very similarity that the links are tested for, however
+often a passage is repeated. A shingle stops as soon as its next arrival is later
+than every register.
 
 Texts that agree on all registers of one of ``bands`` bands are candidates, and a
 candidate is a link only if the exact Jaccard similarity of the shingle sets is at
@@ -14,8 +16,8 @@ least ``threshold``. Classes are the connected components of the links.
 No bucket is expanded into pairs: in each round a bucket that still holds several
 components offers one pivot (first the text that meets most others), and each text is
 compared with its best few offers. After the rounds, what is still apart within a bucket
-is compared in blocks of registers, each against each, and pairs that agree as often as
-the threshold allows (three standard errors below it) are verified.
+is compared in blocks of shingle sets, each against each and exactly; of its links a block
+gives only those that join components that it has not joined yet.
 
 Defined results: exact copies (equal word sequences) are one node; null and empty
 texts and texts without words are never near-duplicates (each row its own class);
@@ -41,6 +43,8 @@ REGISTERS, BANDS = 192, 32
 OFFERS = 3
 #: Members of a bucket that are compared as one matrix.
 BLOCK = 128
+#: Bytes of shingles that a block holds on average at most.
+BLOCK_BYTES = 1 << 20
 STEP = np.uint64(0xA0761D6478BD642F)
 PLACE = [np.uint64(x) for x in (0x8EBC6AF09C88C6E3, 0x589965CC75374CC3, 0x1D8E4E27C47D124F, 0xEB44ACCAB455D165, 0x9FB21C651E98DF25)]
 
@@ -113,7 +117,8 @@ def sketch(docs: DataFrame) -> DataFrame:
             for b in slices(whole, "text"):
                 n = b.num_rows
                 doc, h, word, cut = shingles(tools, b.column(1))
-                keys = band_keys(signatures(n, *weighted(doc, h))).astype(np.int64)
+                doc, h, count = weighted(doc, h)
+                keys = band_keys(signatures(n, doc, h, np.ones(len(count)))).astype(np.int64)
                 nodes, bands = [], []
                 for i in range(n):
                     own = word[cut[i] : cut[i + 1]]
@@ -126,19 +131,79 @@ def sketch(docs: DataFrame) -> DataFrame:
 
 
 def shingle_sets(texts: DataFrame) -> DataFrame:
-    """(node, shingles, registers): the packed sorted distinct shingle hashes of rows (node, text), and 32 bits of each register."""
+    """(node, shingles): the packed sorted distinct shingle hashes of rows (node, text)."""
 
     def run(batches):
         tools = PrefixHash()
         for whole in batches:
             for b in slices(whole, "text"):
-                doc, h, count = weighted(*shingles(tools, b.column(1))[:2])
+                doc, h, _ = weighted(*shingles(tools, b.column(1))[:2])
                 cut = np.searchsorted(doc, np.arange(b.num_rows + 1))
                 packed = [h[a:z].tobytes() for a, z in zip(cut[:-1], cut[1:], strict=True)]
-                held = [x.tobytes() for x in signatures(b.num_rows, doc, h, count).astype(np.uint32)]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary()), pa.array(held, pa.binary())], names=["node", "shingles", "registers"])
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary())], names=["node", "shingles"])
+
+    return texts.select("node", "text").mapInArrow(run, "node binary, shingles binary")
+
+
+def block_links(x: tuple[list, list, list], y: tuple[list, list, list], threshold: float) -> list[tuple[bytes, bytes]]:
+    """Links that join the components of two blocks (nodes, components, packed shingles), exact and without cycles."""
+    sets = [np.frombuffer(v, np.uint64) for v in (*x[2], *y[2])]
+    sizes = np.array([len(v) for v in sets])
+    code = np.unique(np.concatenate(sets), return_inverse=True)[1] if len(sets) else np.empty(0, np.int64)
+    at = np.concatenate([[0], np.cumsum(sizes)])
+    mark = np.zeros(len(code) + 1, bool)
+    k = len(x[0])
+    theirs, n = code[at[k] :], sizes[k:]
+    starts = at[k:-1] - at[k]
+    top: dict[bytes, bytes] = {}
+
+    def root(c):
+        while c in top:
+            c = top[c]
+        return c
+
+    out = []
+    for i in range(k):
+        # sets of such different sizes cannot be as similar
+        fits = np.flatnonzero(np.minimum(n, sizes[i]) / np.maximum(1, np.maximum(n, sizes[i])) >= threshold)
+        mine = root(x[1][i])
+        fits = [j for j in fits.tolist() if y[1][j] != x[1][i] and root(y[1][j]) != mine]
+        if not fits:
+            continue
+        own = code[at[i] : at[i + 1]]
+        mark[own] = True
+        both = np.add.reduceat(mark[theirs], starts, dtype=np.int64)[fits]
+        mark[own] = False
+        for j in np.array(fits)[both / np.maximum(1, sizes[i] + n[fits] - both) >= threshold].tolist():
+            r, q = root(x[1][i]), root(y[1][j])
+            if r != q:
+                top[max(r, q)] = min(r, q)
+                out.append((min(x[0][i], y[0][j]), max(x[0][i], y[0][j])))
+    return out
+
+
+def compared(left: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """(a, b): links between components that share a bucket; every pair of a bucket is compared exactly, as in apart()."""
+    rows = left.join(sets.select("node", "shingles"), "node")
+    sizes = rows.groupBy("bucket").agg(F.greatest(F.count("*") / BLOCK, F.sum(F.length("shingles")) / BLOCK_BYTES).alias("n"))
+    block = F.pmod(F.xxhash64("node"), F.ceil("n")).alias("block")
+    packed = rows.join(sizes, "bucket").groupBy("bucket", block).agg(F.collect_list(F.struct("node", "comp", "shingles")).alias("x"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
+    packed = materialize(packed, "nd-blocks")
+    other = packed.select("bucket", F.col("block").alias("block2"), F.col("x").alias("y"), F.col("lo").alias("lo2"), F.col("hi").alias("hi2"))
+    # two blocks of one and the same component have nothing to compare
+    met = packed.join(other, "bucket").where("block <= block2 and not (lo = hi and lo2 = hi2 and lo = lo2)").select("x", "y")
 
-    return texts.select("node", "text").mapInArrow(run, "node binary, shingles binary, registers binary")
+    def part(column, i):
+        a, z = column.offsets[i].as_py(), column.offsets[i + 1].as_py()
+        members = column.values.slice(a, z - a)
+        return tuple(members.field(k).to_pylist() for k in range(3))
+
+    def run(batches):
+        for b in batches:
+            rows = sorted({r for i in range(b.num_rows) for r in block_links(part(b.column(0), i), part(b.column(1), i), threshold)})
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.binary()), pa.array([r[1] for r in rows], pa.binary())], names=["a", "b"])
+
+    return met.mapInArrow(run, "a binary, b binary")
 
 
 def apart(left: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
@@ -224,16 +289,17 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
         else:  # what is still apart in a bucket, each against each
             split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("bucket")
             left = materialize(state.join(split, "bucket"), "nd-apart")
-            pairs = apart(left.select("bucket", "node", "comp"), sets, threshold)
-        pairs = pairs.distinct()
-        for old in seen:
-            pairs = pairs.join(old, ["a", "b"], "left_anti")
-        pairs = materialize(pairs, "nd-pairs")
-        found = materialize(verified(pairs, sets, threshold).select("a", "b"), "nd-links")
+            found = materialize(compared(left.select("bucket", "node", "comp"), sets, threshold).distinct(), "nd-links")
+        if not last:
+            pairs = pairs.distinct()
+            for old in seen:
+                pairs = pairs.join(old, ["a", "b"], "left_anti")
+            pairs = materialize(pairs, "nd-pairs")
+            found = materialize(verified(pairs, sets, threshold).select("a", "b"), "nd-links")
+            seen.append(pairs)
         none = found.isEmpty()
         if not none:
             comps = joined_up(comps, found)
-        seen.append(pairs)
         if last:
             break
         last = none  # pivots merge no more

@@ -114,6 +114,37 @@ def test_apart_equals_brute_force(spark):
     assert got == {(i, j) for i in range(200) for j in range(i + 1, 200) if i % 7 != j % 7 and (regs[i] == regs[j]).sum() >= least}
 
 
+def repeated_passages(rng, most=200):
+    """Texts with as many shared shingles as two similar ones, in which one repeats a passage over and over."""
+    base = sentence(rng, 104, [f"w{i}{rng.random()}" for i in range(400)]).split()
+    more = [f"q{i}{rng.random()}" for i in range(rng.choice((0, 3, 8)))]
+    part = base[40:61]
+    return " ".join(base), " ".join(base + (part * most) + more)
+
+
+def test_near_duplicates_with_repeated_passages(spark):
+    rng = random.Random(8)
+    texts = [t for _ in range(60) for t in repeated_passages(rng)]
+    got = {r.doc_id: r.class_id for r in neardup.classes(docs(spark, texts)).collect()}
+    want = brute_classes(texts)
+    assert sum(a != i for i, a in enumerate(want)) > 30
+    assert [got[i] for i in range(len(texts))] == want
+
+
+def test_last_comparison_is_exact(spark):
+    rng = random.Random(9)
+    texts = [t for _ in range(60) for t in repeated_passages(rng, 30)]
+    texts += [" ".join(w if rng.random() > 0.03 else "zz" + str(rng.random()) for w in texts[0].split()) for _ in range(40)]
+    node = lambda i: bytearray(i.to_bytes(2, "big"))
+    sets = neardup.shingle_sets(spark.createDataFrame([(node(i), t) for i, t in enumerate(texts)], "node binary, text string"))
+    left = spark.createDataFrame([(1, node(i), node(i)) for i in range(len(texts))], "bucket long, node binary, comp binary")
+    top = list(range(len(texts)))
+    for r in neardup.compared(left, sets, 0.8).collect():
+        a, b = (top[int.from_bytes(x, "big")] for x in (r.a, r.b))
+        top = [min(a, b) if x in (a, b) else x for x in top]
+    assert top == brute_classes(texts)
+
+
 def test_components(spark):
     edges = [(1, 2), (2, 3), (3, 4), (10, 11), (11, 12), (20, 20)] + [(i, i + 1) for i in range(100, 140)]
     got = {r.node: r.comp for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}
