@@ -49,17 +49,21 @@ ANY_TITLE = re.compile(rf"(?<!\w)(?:{TITLES['m']}|{TITLES['f']})\s")
 EMAIL = re.compile(r"[\w.+%-]+@(?:[\w-]+\.)+[^\W\d_]{2,24}(?!\w)")
 #: The numeric formats, most specific first.
 NUMERIC = (
-    ("secret", re.compile(r"(?<![\w])(?:[0-9a-f]{32,128}|[0-9A-F]{32,128})(?![\w])")),
-    ("key", re.compile(r"(?<!\w)(?:AKIA[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{36}|sk-[A-Za-z0-9]{20,64})(?!\w)")),
+    ("secret", re.compile(r"(?<![\w])(?:[0-9a-f]{32,}|[0-9A-F]{32,})(?![\w])")),
+    ("key", re.compile(r"(?<!\w)(?:AKIA[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{36}|sk-[A-Za-z0-9]{20,})(?!\w)")),
     ("iban", re.compile(r"(?<!\w)[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?!\w)")),
     ("ipv6", re.compile(r"(?<![\w:])(?:[0-9a-fA-F]{1,4}:){7}[0-9a-fA-F]{1,4}(?![\w:])")),
     ("ipv4", re.compile(r"(?<![\w.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?!\w|\.\d)")),
     ("card", re.compile(r"(?<![\w-])\d(?:[ -]?\d){12,18}(?![\w-]|\.\d)")),
     ("ssn", re.compile(r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])")),
     ("phone", re.compile(r"(?<![\w.])(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?)?\d{2,4}(?:[ .-]\d{2,4}){1,4}(?![\w-]|\.\d)")),
+    # with a country code: without separators, or in groups of up to eight digits
+    ("phone", re.compile(r"(?<![\w.+])\+[1-9](?:[ .-]?\(\d{1,4}\)|[ .-]?\d{1,8}){1,7}(?![\w-]|\.\d)")),
 )
-ASSIGNED = re.compile(r"(?i)\b(?:token|secret|passw(?:or)?d|api[_-]?key|access[_-]?key)[\"']?\s*[=:]\s*[\"']?([^\s\"'#]{8,128})")
+ASSIGNED = re.compile(r"(?i)\b(?:token|secret|passw(?:or)?d|api[_-]?key|access[_-]?key)[\"']?\s*[=:]\s*[\"']?([^\s\"'#]{8,})")
 DIGIT = re.compile(r"\d")
+#: Characters of a long secret that are permuted as one number.
+PIECE = 512
 
 
 def _phone_like(v: str) -> bool:
@@ -110,7 +114,10 @@ def _permute(x: int, size: int, key: bytes, tweak: bytes) -> int:
     while True:
         left, right = x >> half, x & mask
         for r in range(8):
-            f = hashlib.blake2b(tweak + bytes([r]) + right.to_bytes(width, "big"), key=key, digest_size=min(64, width)).digest()
+            data = right.to_bytes(width, "big")
+            f = hashlib.blake2b(tweak + bytes([r]) + data, key=key, digest_size=min(64, width)).digest()
+            for i in range(64, width, 64):  # every bit of a wide half is mixed
+                f += hashlib.blake2b(tweak + bytes([r]) + i.to_bytes(8, "big") + data, key=key, digest_size=min(64, width - i)).digest()
             left, right = right, left ^ (int.from_bytes(f, "big") & mask)
         x = left << half | right
         if x < size:
@@ -175,10 +182,10 @@ def surrogate(kind: str, value: str, key: bytes, attempt: int = 0) -> str:
         return out[: places[-1]] + str(luhn(re.sub(r"\D", "", out)[:-1])) + out[places[-1] + 1 :] if checked else out
     elif kind == "phone":
         if value.startswith("+"):
-            for i in range(1, len(value)):
-                if not value[i].isdigit():
-                    break
-                fields[i] = None
+            code = len(re.match(r"\d*", value[1:])[0])
+            if code > 3:  # no separator after the country code
+                code = 1 if value[1] in "17" else 2
+            fields[1 : 1 + code] = [None] * code
         first = next((i for i, a in enumerate(fields) if a), 0)
         if value[first] != "0":
             valid = lambda v: v[first] != "0"
@@ -187,6 +194,9 @@ def surrogate(kind: str, value: str, key: bytes, attempt: int = 0) -> str:
     elif kind == "key":
         lead = 4 if value[:4] in ("AKIA", "ghp_", "gho_", "ghu_", "ghs_", "ghr_") else 3
         fields[:lead] = [None] * lead
+    if kind in ("secret", "key") and len(value) > PIECE:  # in pieces, each under a tweak of those before it
+        cuts = range(0, len(value), PIECE)
+        return "".join(_letters(value[i : i + PIECE], fields[i : i + PIECE], key, tweak + hashlib.blake2b(value[:i].encode(), digest_size=16).digest(), valid) for i in cuts)
     return _letters(value, fields, key, tweak, valid)
 
 

@@ -374,6 +374,20 @@ def test_pii(spark):
     assert pii.replace(docs(spark, [])).count() == 0
 
 
+def test_long_secrets_and_plain_phone_numbers():
+    rng = random.Random(4)
+    long = lambda n, a="0123456789abcdefghijklmnopqrstuvwxyz": "".join(rng.choice(a) for _ in range(n))
+    values = [("secret", "token={}", long(240)), ("secret", "password: '{}'", long(700)), ("secret", "sum {} end", long(300, "0123456789abcdef")), ("key", "use {} now", "sk-" + long(150))]
+    values += [("phone", "call {} today", v) for v in ("+14155552671", "+49 30 1234567", "+44 7911 123456", "+33612345678", "+1 (743) 555-3824", "+9 (123) 456-7890")]
+    for kind, frame, v in values:
+        t = frame.format(v)
+        assert [(t[a:z], k) for a, z, k in pii.detect(t)] == [(v, kind)], t
+        new = pii.surrogate(kind, v, b"k")
+        assert new != v and len(new) == len(v)
+        assert kind != "secret" or not any(v[i : i + 24] in new for i in range(len(v) - 24))
+    assert pii.detect("costs +12 in 2024, 1234567 items, +5 to +10, a+1234567890") == []
+
+
 def test_surrogates_are_distinct(spark):
     values = [f"u{i}@m.example.com" for i in range(300)]
     made = {pii.surrogate("email", v, b"k") for v in values}
