@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -11,6 +12,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+#: Text bytes that are worked on at a time: the arrays of eight bytes and more a byte stay small.
+PIECE = 1 << 18
 DOC_COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
@@ -20,15 +23,35 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh folder in the shared checkpoint folder (a local one only where none is set)."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or "/tmp/checkpoints/lattica"
+    """A fresh folder in the shared checkpoint folder; only a session on one machine may do without that setting."""
+    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        base = "/tmp/checkpoints/lattica"
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
+#: Runtime setting under which Spark drops an execution's shuffle files when it has ended.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+@contextmanager
+def cleaned_shuffles(spark: SparkSession):
+    """Writes inside leave no shuffle files behind: what they made is on shared storage."""
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write df to scratch space and read it back: lineage ends here and lost executors cost nothing."""
     path = scratch(df.sparkSession, name)
-    df.write.option("compression", "zstd").parquet(path)
+    with cleaned_shuffles(df.sparkSession):
+        df.write.option("compression", "zstd").parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._scratch = path
     return out
@@ -54,14 +77,6 @@ def crc_mod(column, n: int):
     return F.coalesce(F.pmod(F.crc32(F.coalesce(column.cast("string"), F.lit("")).cast("binary")), F.lit(n)), F.lit(0))
 
 
-def free_shuffles(spark: SparkSession) -> None:
-    """Let Spark drop the shuffle files of finished phases (its cleaner acts on collected objects)."""
-    import gc
-
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-
-
 # ---------------------------------------------------------------- numpy text hashing
 
 BASE = 0x9E3779B97F4A7C15
@@ -88,7 +103,7 @@ class PrefixHash:
     def sums(self, data: np.ndarray) -> np.ndarray:
         n = len(data) + 1
         if len(self.up) < n:
-            size = max(n, 1 << 20)
+            size = max(n, PIECE + (PIECE >> 2))
             for name, base in (("up", BASE), ("down", INV)):
                 p = np.full(size, base, np.uint64)
                 p[0] = 1
@@ -136,7 +151,7 @@ def words(data: np.ndarray, gap: np.ndarray = SPACE) -> tuple[np.ndarray, np.nda
     return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
 
 
-def slices(batch: pa.RecordBatch, text: str, most: int = 4 << 20):
+def slices(batch: pa.RecordBatch, text: str, most: int = PIECE):
     """Cuts of a batch of at most `most` text bytes each (one long text stays whole)."""
     sizes = pc.fill_null(pc.binary_length(batch.column(batch.schema.get_field_index(text))), 0).to_numpy(zero_copy_only=False)
     ends, start, total = [], 0, 0

@@ -4,18 +4,22 @@ A byte goes if a string of ``length`` bytes that covers it also starts in a docu
 with a smaller doc_id. Phases:
 
 1. equal texts become one (their first document); later copies go whole;
-2. anchors: in every window of ``length`` bytes the smallest hashed ``GRAM``-byte gram
+2. anchors: in every window of ``length`` bytes the smallest hashed gram
    (leftmost of equals) is the anchor, so equal windows have equal anchors at
    equal places; only anchors that two documents share can lie in a repeat;
-3. the stretches of text around shared anchors meet by anchor in shards; each shard
-   gets a suffix array by Larsson-Sadakane refinement (prefix doubling that sorts
-   only groups still unsorted, started from 8-byte keys) and common prefixes by
-   Kasai's inequality; suffixes with a common prefix of ``length`` bytes form a
-   group whose smallest doc_id decides. An anchor with more text than a shard is cut
-   into several, whose sorted distinct strings are merged by binary search;
-4. marked windows return to their documents and become maximal removed runs.
-
-Every phase is written to the shared folder, so a lost executor repeats single tasks.
+3. the stretches of text around shared anchors (contexts) become distinct before
+   they move, each with the smallest doc_id that holds it. They meet by anchor in
+   shards; each shard gets a suffix array by Larsson-Sadakane refinement (prefix
+   doubling that sorts only groups still unsorted, started from 8-byte keys) and
+   common prefixes by Kasai's inequality; suffixes with a common prefix of ``length``
+   bytes form a group whose smallest doc_id decides;
+4. an anchor with more distinct contexts than a shard holds is dealt over several
+   shards; their sorted distinct strings are brought together by string, and each
+   shard finds by binary search which of its own an earlier document has elsewhere;
+5. marked windows return to their documents and become maximal removed runs.
+
+No task holds more than a shard of contexts, however often a passage occurs. Every
+phase is written to the shared folder, so a lost executor repeats single tasks.
 
 Defined results: null and empty texts have nothing to remove; rows with a null doc_id
 neither remove nor lose anything; rows with the same doc_id do not affect each other;
@@ -28,24 +32,28 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import PrefixHash, free_shuffles, materialize, release, scratch, slices, table
+from .common import PrefixHash, cleaned_shuffles, materialize, release, scratch, slices, table
 
-GRAM = 24
+#: Bytes of a gram (longer ones where a mask could not hold a bit for each of a context's windows).
+GRAM, MOST_WINDOWS = 20, 62
 #: Bits of an ordering key that hold a place in the batch; the rest are the hash's.
 PLACE_BITS = 40
-#: Bytes of contexts in a shard, and of text hashed at a time (arrays of eight bytes a byte stay in the cache).
-SHARD, PIECE = 1 << 20, 1 << 18
+#: Bytes of distinct contexts in a shard.
+SHARD = 1 << 20
+
+
+def gram_bytes(length: int) -> int:
+    return max(min(GRAM, length), length - MOST_WINDOWS + 1)
 
 
 # ---------------------------------------------------------------- anchors
 
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    import pyarrow.compute as pc
-
     column = pc.fill_null(column.cast(pa.large_string()), "")
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
@@ -56,12 +64,14 @@ def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def anchors(tools: PrefixHash, data: np.ndarray, off: np.ndarray, length: int):
-    """(text, hash, place, first window, last window) of the anchors of all windows inside single texts."""
-    windows = length - GRAM + 1
+    """(text, hash, first window, last window, hash of the stretch they cover) of the anchors of all windows inside single texts."""
+    gram = gram_bytes(length)
+    windows = length - gram + 1
     empty = np.zeros(0, np.int64)
     if len(data) < length:
-        return empty, empty.astype(np.uint64), empty, empty, empty
-    grams = tools.grams(tools.sums(data), GRAM)
+        return empty, empty.astype(np.uint64), empty, empty, empty.astype(np.uint64)
+    sums = tools.sums(data)
+    grams = tools.grams(sums, gram)
     # smallest gram of each run of `windows` grams: the hash's top bits order, then the place (leftmost of equals),
     # so the choice depends on a window's bytes alone; minima are taken over doubling spans
     low = np.uint64((1 << PLACE_BITS) - 1)
@@ -83,7 +93,7 @@ def anchors(tools: PrefixHash, data: np.ndarray, off: np.ndarray, length: int):
     first = np.flatnonzero(new)
     last = np.append(first[1:], len(n))[: len(first)] - 1
     doc = np.searchsorted(off, n[first], "right") - 1
-    return doc, grams[where[first]], where[first], n[first], n[last]
+    return doc, grams[where[first]], n[first], n[last], tools.ranges(sums, n[first], n[last] + length)
 
 
 # ---------------------------------------------------------------- suffix arrays
@@ -217,22 +227,9 @@ class Shard:
         return out
 
 
-def merge(shards: list[Shard]) -> None:
-    """Bring the smallest owners of equal strings together: sorted runs searched in the sorted union."""
-    if len(shards) < 2:
-        return
-    keys = [s.strings() for s in shards]
-    # a last byte of one keeps zero bytes at the end from being taken for padding
-    text = [np.ascontiguousarray(np.pad(m, ((0, 0), (0, 1)), constant_values=1)).view(f"S{m.shape[1] + 1}").ravel() for m in keys]
-    union, low = text[0], shards[0].low.copy()
-    for t, s in zip(text[1:], shards[1:], strict=True):
-        at = np.searchsorted(union, t)
-        known = (at < len(union)) & (union[np.minimum(at, len(union) - 1)] == t) if len(union) else np.zeros(len(t), bool)
-        np.minimum.at(low, at[known], s.low[known])
-        low = np.insert(low, at[~known], s.low[~known])
-        union = np.insert(union, at[~known], t[~known])
-    for t, s in zip(text, shards, strict=True):
-        s.low = low[np.searchsorted(union, t)]
+def as_keys(strings: np.ndarray) -> np.ndarray:
+    """Rows of bytes as comparable values; a last byte of one keeps zero bytes at the end from being taken for padding."""
+    return np.ascontiguousarray(np.pad(strings, ((0, 0), (0, 1)), constant_values=1)).view(f"S{strings.shape[1] + 1}").ravel()
 
 
 # ---------------------------------------------------------------- phases
@@ -245,92 +242,80 @@ def distinct_texts(docs: DataFrame, length: int) -> tuple[DataFrame, DataFrame]:
     return rows, firsts
 
 
-def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFrame]:
-    """(rows, repeats): repeats has (doc_id, sha, n_removed, n_spans, kept_sha256, spans) of first documents that lose bytes."""
-    spark = docs.sparkSession
-    rows, firsts = distinct_texts(docs, length)
-    # the distinct texts, bucketed by document: later joins by doc_id do not move texts again
-    sizes = rows.agg(F.sum("n_bytes").alias("n")).first()
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), int((sizes.n or 0) // (64 << 20)))
-    path = scratch(spark, "sa-texts")
-    name = "t_" + path.rpartition("-")[2]
-    hashed = docs.where("doc_id is not null and text is not null").select("doc_id", "text", F.unhex(F.sha2("text", 256)).alias("sha"))
-    # joined by doc_id alone, so that the one exchange of texts serves the join and the buckets
-    wanted = firsts.groupBy("doc_id").agg(F.collect_set("sha").alias("wanted"))
-    kept = hashed.repartition(parts, "doc_id").join(wanted.repartition(parts, "doc_id"), "doc_id").where(F.array_contains("wanted", F.col("sha"))).drop("wanted")
-    kept.write.option("compression", "zstd").option("path", path).bucketBy(parts, "doc_id").sortBy("doc_id").saveAsTable(name)
-    texts = spark.table(name)
-    texts._scratch = path
-    free_shuffles(spark)
+def find_anchors(length: int):
+    """The distinct anchors of rows (doc_id, text)."""
 
-    def find(batches):
+    def run(batches):
         tools = PrefixHash()
         for whole in batches:
-            for b in slices(whole, "text", PIECE):
-                data, off = text_bytes(b.column(1))
-                doc, h, _, _, _ = anchors(tools, data, off, length)
+            for b in slices(whole, "text"):
+                doc, h, *_ = anchors(tools, *text_bytes(b.column(1)), length)
                 order = np.lexsort((h, doc))
                 doc, h = doc[order], h[order]
                 new = np.ones(len(h), bool)
                 new[1:] = (doc[1:] != doc[:-1]) | (h[1:] != h[:-1])
                 yield pa.RecordBatch.from_arrays([pa.array(h[new].astype(np.int64)), b.column(0).take(pa.array(doc[new]))], names=["anchor", "doc_id"])
 
-    found = texts.select("doc_id", "text").mapInArrow(find, "anchor long, doc_id long")
-    shared = materialize(found.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor"), "sa-shared")
-    free_shuffles(spark)
-    reply = materialize(found.join(shared.hint("shuffle_hash"), "anchor", "left_semi").groupBy("doc_id").agg(F.collect_list("anchor").alias("anchors")), "sa-reply")
-    free_shuffles(spark)
+    return run
+
 
-    def cut(batches):
+def cut_contexts(length: int):
+    """The distinct contexts of rows (doc_id, text, sid, anchors) at those anchors, with all their places."""
+
+    def run(batches):
         tools = PrefixHash()
         for whole in batches:
-            for b in slices(whole, "text", PIECE):
+            for b in slices(whole, "text"):
                 data, off = text_bytes(b.column(1))
-                doc, h, _, first, last = anchors(tools, data, off, length)
-                h = h.astype(np.int64)
+                doc, h, first, last, ctx = anchors(tools, data, off, length)
+                h, ctx = h.astype(np.int64), ctx.astype(np.int64)
                 edge = np.searchsorted(doc, np.arange(b.num_rows + 1))
                 keep = np.concatenate([np.isin(h[a:z], b.column(3)[i].values.to_numpy()) for i, (a, z) in enumerate(zip(edge[:-1], edge[1:], strict=True))] or [np.zeros(0, bool)])
-                doc, h, first, last = doc[keep], h[keep], first[keep], last[keep]
+                order = np.flatnonzero(keep)
+                order = order[np.lexsort((first[order], ctx[order], h[order], doc[order]))]
+                doc, h, first, last, ctx = doc[order], h[order], first[order], last[order], ctx[order]
+                new = np.ones(len(h), bool)
+                new[1:] = (doc[1:] != doc[:-1]) | (h[1:] != h[:-1]) | (ctx[1:] != ctx[:-1])
+                at = np.flatnonzero(new)
+                places = pa.ListArray.from_arrays(pa.array(np.append(at, len(h)), pa.int32()), pa.array(first - off[doc]))
                 raw = data.tobytes()
-                context = [raw[a : z + length] for a, z in zip(first.tolist(), last.tolist(), strict=True)]
-                pick = pa.array(doc)
-                yield pa.RecordBatch.from_arrays([pa.array(h), b.column(0).take(pick), b.column(2).take(pick), pa.array(first - off[doc]), pa.array(context, pa.binary())], names=["anchor", "doc_id", "sid", "at", "context"])
+                context = [raw[a : z + length] for a, z in zip(first[at].tolist(), last[at].tolist(), strict=True)]
+                pick = pa.array(doc[at])
+                yield pa.RecordBatch.from_arrays([pa.array(h[at]), pa.array(ctx[at]), b.column(0).take(pick), b.column(2).take(pick), places, pa.array(context, pa.binary())], names=["anchor", "ctx", "doc_id", "sid", "at", "context"])
 
-    joined = texts.join(reply, "doc_id").select("doc_id", "text", F.xxhash64("text").alias("sid"), "anchors")
-    contexts = joined.mapInArrow(cut, "anchor long, doc_id long, sid long, at long, context binary")
+    return run
+
+
+JUDGED = "anchor long, ctx long, owner long, hi long, below long, whole long"
+
+
+def verdict_rows(cols, below: np.ndarray, length: int) -> pa.RecordBatch:
+    """Rows of JUDGED for contexts (anchor, ctx, owner, hi, context); those that cost no document a byte are left out."""
+    size = pc.binary_length(cols[4]).to_numpy(zero_copy_only=False).astype(np.int64)
+    whole = (np.int64(1) << (size - length + 1)) - 1
+    keep = (below != 0) | (cols[3].to_numpy() > cols[2].to_numpy())
+    return pa.RecordBatch.from_arrays([*cols[:4], pa.array(below), pa.array(whole)], names=["anchor", "ctx", "owner", "hi", "below", "whole"]).filter(pa.array(keep))
 
-    def judge(batches):
-        """Contexts in the order of their anchors."""
-        hold: list[tuple] = []
-        size = 0
 
-        def work(cols):
-            anchor, ids = cols[0].to_numpy(), cols[1].to_numpy()
-            # equal contexts are one, owned by their first document; an anchor with one distinct context needs no sorting
-            place: dict = {}
-            which = np.array([place.setdefault(t, len(place)) for t in cols[4].to_pylist()])
-            text = list(place)
-            owner = np.full(len(text), np.iinfo(np.int64).max)
-            np.minimum.at(owner, which, ids)
-            of = np.zeros(len(text), np.int64)
-            of[which] = anchor
-            _, group, size = np.unique(of, return_inverse=True, return_counts=True)
-            mixed = np.flatnonzero(size[group] > 1)
-            mixed = mixed[np.argsort(of[mixed], kind="stable")]
-            sizes = np.array([len(text[i]) for i in mixed], np.int64)
-            piece = (np.cumsum(sizes) - sizes) // (2 * SHARD)
-            cuts = [0, *(np.flatnonzero(np.diff(piece)) + 1).tolist(), len(mixed)] if len(mixed) else [0]
-            shards = [Shard([text[i] for i in mixed[a:z]], owner[mixed[a:z]], length) for a, z in zip(cuts[:-1], cuts[1:], strict=True)]
-            merge(shards)
-            below = np.zeros(len(text), np.int64)  # windows of a context that a document before its owner has
-            if shards:
-                below[mixed] = np.concatenate([s.masks() for s in shards])
-            whole = np.array([(1 << (len(t) - length + 1)) - 1 for t in text], np.int64)
-            mask = np.where(ids > owner[which], whole[which], below[which])
-            return pa.RecordBatch.from_arrays([cols[1], cols[2], cols[3], pa.array(mask)], names=["doc_id", "sid", "at", "mask"]).filter(pa.array(mask != 0))
+def judge_sorted(length: int):
+    """Verdicts over contexts in the order of their anchors, a shard at a time; no anchor here has more than a shard."""
 
+    def work(cols):
+        anchor = cols[0].to_numpy()
+        edge = np.flatnonzero(np.append(True, anchor[1:] != anchor[:-1]))
+        size = np.diff(np.append(edge, len(anchor)))
+        mixed = np.flatnonzero(np.repeat(size, size) > 1)  # one context alone needs no sorting
+        below = np.zeros(len(anchor), np.int64)
+        if len(mixed):
+            below[mixed] = Shard(cols[4].take(pa.array(mixed)).to_pylist(), cols[2].to_numpy()[mixed], length).masks()
+        return verdict_rows(cols, below, length)
+
+    def run(batches):
+        hold: list[tuple] = []
+        size = 0
         for b in batches:
-            a = b.column(0).to_numpy()
+            if not b.num_rows:
+                continue
             hold.append(tuple(b.columns))
             size += b.column(4).nbytes
             if size < SHARD:
@@ -340,30 +325,77 @@ def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFram
             end = int(np.searchsorted(a, a[-1]))  # the last anchor may go on in the next batch
             if end:
                 yield work([c.slice(0, end) for c in cols])
-            hold = [tuple(c.slice(end) for c in cols)]
-            size = 0  # wait for another shard's worth: what is held may be the start of one anchor's long run
-        if hold:
-            cols = [pa.concat_arrays([h[i] for h in hold]) for i in range(5)]
-            if len(cols[0]):
-                yield work(cols)
+            # copied, so that what is done with can be freed
+            hold = [tuple(c.slice(end).take(pa.array(np.arange(len(c) - end))) for c in cols)]
+            size = hold[0][4].nbytes if end else 0
+        if hold and len(cols := [pa.concat_arrays([h[i] for h in hold]) for i in range(5)]):
+            yield work(cols)
+
+    return run
+
+
+def judge_large(rows: DataFrame, length: int) -> DataFrame:
+    """Verdicts over contexts (anchor, ctx, owner, hi, context, shard) of anchors that take several shards."""
+
+    def shard_of(t: pa.Table) -> Shard:
+        return Shard(t["context"].to_pylist(), t["owner"].to_numpy(), length)
+
+    def runs(t: pa.Table) -> pa.Table:
+        s = shard_of(t)
+        text = [x.tobytes() for x in s.strings()]
+        return pa.table({"anchor": pa.array([t["anchor"][0].as_py()] * len(text), pa.int64()), "shard": pa.array([t["shard"][0].as_py()] * len(text), pa.int64()), "string": pa.array(text, pa.binary()), "low": pa.array(s.low, pa.int64())})
+
+    def finish(t: pa.Table, lower: pa.Table) -> pa.Table:
+        if not t.num_rows:
+            return pa.table({k: pa.array([], pa.int64()) for k in ("anchor", "ctx", "owner", "hi", "below", "whole")})
+        s = shard_of(t)
+        if lower.num_rows:
+            own = as_keys(s.strings())
+            want = as_keys(np.frombuffer(b"".join(lower["string"].to_pylist()), np.uint8).reshape(lower.num_rows, length))
+            at = np.searchsorted(own, want)
+            s.low[at] = np.minimum(s.low[at], lower["least"].to_numpy())
+        cols = [t[k].combine_chunks() for k in ("anchor", "ctx", "owner", "hi", "context")]
+        return pa.Table.from_batches([verdict_rows(cols, s.masks(), length)])
+
+    strings = materialize(rows.groupBy("anchor", "shard").applyInArrow(runs, "anchor long, shard long, string binary, low long"), "sa-strings")
+    least = strings.groupBy("anchor", "string").agg(F.min("low").alias("least"), F.max("low").alias("most")).where("least < most")
+    lower = materialize(strings.join(least, ["anchor", "string"]).where("least < low").select("anchor", "shard", "string", "least"), "sa-lower")
+    out = materialize(rows.groupBy("anchor", "shard").cogroup(lower.groupBy("anchor", "shard")).applyInArrow(finish, JUDGED), "sa-large")
+    release(strings, lower)
+    return out
 
-    marks = contexts.repartition(parts, "anchor").sortWithinPartitions("anchor").mapInArrow(judge, "doc_id long, sid long, at long, mask long")
-    spans = materialize(marks.groupBy("doc_id", "sid").agg(F.collect_list(F.struct("at", "mask")).alias("marks")), "sa-marks")
-    free_shuffles(spark)
 
-    def strip(batches):
+def judge(contexts: DataFrame, parts: int, length: int) -> DataFrame:
+    """Verdicts over distinct contexts (anchor, ctx, owner, hi, context)."""
+    large = materialize(contexts.groupBy("anchor").agg(F.sum(F.length("context")).alias("n")).where(F.col("n") > SHARD), "sa-large-anchors")
+    none = large.isEmpty()
+    plain = contexts if none else contexts.join(large.select("anchor"), "anchor", "left_anti")
+    plain = plain.select("anchor", "ctx", "owner", "hi", "context").repartition(parts, "anchor").sortWithinPartitions("anchor").mapInArrow(judge_sorted(length), JUDGED)
+    if not none:
+        dealt = contexts.join(large, "anchor").withColumn("shard", F.pmod(F.xxhash64("ctx"), F.ceil(F.col("n") / SHARD)))
+        plain = plain.unionByName(judge_large(materialize(dealt.drop("n"), "sa-dealt"), length))
+    return materialize(plain, "sa-judged")
+
+
+def strip_marked(length: int):
+    """What is left of rows (doc_id, text, sha, marks)."""
+    steps = np.arange(length - gram_bytes(length) + 1)
+
+    def run(batches):
         for b in batches:
             out = []
             for t, m in zip(b.column(1), b.column(3), strict=True):
                 raw = t.as_py().encode()
-                at = m.values.field(0).to_numpy()
-                bits = m.values.field(1).to_numpy()
-                gone = np.zeros(len(raw) + 1, np.int64)
-                for i in range(length - GRAM + 1):
-                    p = at[(bits >> i) & 1 == 1] + i
-                    np.add.at(gone, p, 1)
-                    np.add.at(gone, p + length, -1)
-                gone = np.cumsum(gone)[:-1] > 0
+                places = m.values.field(0)
+                sizes = places.value_lengths().to_numpy()
+                at = places.flatten().to_numpy()
+                bits = np.repeat(m.values.field(1).to_numpy(), sizes)
+                turn = np.zeros(len(raw) + 1, np.int64)
+                for i in range(0, len(at), 1 << 14):
+                    on = (bits[i : i + (1 << 14), None] >> steps) & 1 == 1
+                    p = (at[i : i + (1 << 14), None] + steps)[on]
+                    turn += np.bincount(p, minlength=len(turn)) - np.bincount(p + length, minlength=len(turn))
+                gone = np.cumsum(turn)[:-1] > 0
                 edge = np.diff(np.concatenate([[0], gone.astype(np.int8), [0]]))
                 a, z = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
                 kept = np.frombuffer(raw, np.uint8)[~gone].tobytes()
@@ -371,11 +403,53 @@ def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFram
             cols = list(zip(*out, strict=True)) if out else [()] * 4
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.string()), pa.array(cols[3], pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])))], names=["doc_id", "sha", "n_removed", "n_spans", "kept_sha256", "spans"])
 
+    return run
+
+
+def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFrame]:
+    """(rows, repeats): repeats has (doc_id, sha, n_removed, n_spans, kept_sha256, spans) of first documents that lose bytes."""
+    spark = docs.sparkSession
+    rows, firsts = distinct_texts(docs, length)
+    # the distinct texts, bucketed by document: later joins by doc_id do not move texts again
+    sizes = rows.agg(F.sum("n_bytes").alias("n")).first()
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), int((sizes.n or 0) // (64 << 20)))
+    path = scratch(spark, "sa-texts")
+    name = "t_" + path.rpartition("-")[2]
+    hashed = docs.where("doc_id is not null and text is not null").select("doc_id", "text", F.unhex(F.sha2("text", 256)).alias("sha"))
+    # joined by doc_id alone, so that the one exchange of texts serves the join and the buckets
+    wanted = firsts.groupBy("doc_id").agg(F.collect_set("sha").alias("wanted"))
+    kept = hashed.repartition(parts, "doc_id").join(wanted.repartition(parts, "doc_id"), "doc_id").where(F.array_contains("wanted", F.col("sha"))).drop("wanted")
+    try:
+        with cleaned_shuffles(spark):
+            kept.write.option("compression", "zstd").option("path", path).bucketBy(parts, "doc_id").sortBy("doc_id").saveAsTable(name)
+        return rows, repeats_of(spark.table(name), parts, length)
+    finally:
+        spark.sql(f"drop table if exists {name}")
+        gone = spark.range(0)
+        gone._scratch = path
+        release(gone)
+
+
+def repeats_of(texts: DataFrame, parts: int, length: int) -> DataFrame:
+    """(doc_id, sha, n_removed, n_spans, kept_sha256, spans) of the distinct texts (doc_id, text, sha) that lose bytes."""
+    found = texts.select("doc_id", "text").mapInArrow(find_anchors(length), "anchor long, doc_id long")
+    shared = materialize(found.groupBy("anchor").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("anchor"), "sa-shared")
+    reply = materialize(found.join(shared.hint("shuffle_hash"), "anchor", "left_semi").groupBy("doc_id").agg(F.collect_list("anchor").alias("anchors")), "sa-reply")
+    joined = texts.join(reply, "doc_id").select("doc_id", "text", F.xxhash64("text").alias("sid"), "anchors")
+    places = materialize(joined.mapInArrow(cut_contexts(length), "anchor long, ctx long, doc_id long, sid long, at array<long>, context binary"), "sa-places")
+    release(shared, reply)
+    # each distinct context once, with the first and the last document that have it
+    contexts = materialize(places.groupBy("anchor", "ctx", "context").agg(F.min("doc_id").alias("owner"), F.max("doc_id").alias("hi")), "sa-contexts")
+    judged = judge(contexts, parts, length)
+    release(contexts)
+    mask = F.when(F.col("doc_id") > F.col("owner"), F.col("whole")).otherwise(F.col("below"))
+    marks = places.select("anchor", "ctx", "doc_id", "sid", "at").join(judged, ["anchor", "ctx"]).select("doc_id", "sid", "at", mask.alias("mask")).where("mask <> 0")
+    spans = materialize(marks.groupBy("doc_id", "sid").agg(F.collect_list(F.struct("at", "mask")).alias("marks")), "sa-marks")
+    release(places, judged)
     own = texts.withColumn("sid", F.xxhash64("text")).join(spans, ["doc_id", "sid"]).select("doc_id", "text", "sha", "marks")
-    repeats = materialize(own.mapInArrow(strip, "doc_id long, sha binary, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:long,end:long>>"), "sa-repeats")
-    release(shared, reply, spans, texts)
-    spark.sql(f"drop table if exists {name}")
-    return rows, repeats
+    repeats = materialize(own.mapInArrow(strip_marked(length), "doc_id long, sha binary, n_removed long, n_spans long, kept_sha256 string, spans array<struct<start:long,end:long>>"), "sa-repeats")
+    release(spans)
+    return repeats
 
 
 def remove_repeats(docs: DataFrame, length: int = 50) -> DataFrame:
