@@ -1,10 +1,13 @@
 """Toxicity by a factorization machine over hashed terms.
 
-A text is the set of its hashed lower-case words and word stems. The score is the logistic of
-bias + linear weights + all pairwise interactions (the inner products of the terms'
-factors), so an insult counts for more beside a mention of a group than the sum
-of both. Terms are hashed to 63 bits; those whose document frequency differs between
-the labels by at least ``least_z`` standard errors enter the model.
+A text is the set of its lower-case words and word stems, hashed to ``BITS`` bits. The
+score is the logistic of bias + linear weights + all pairwise interactions (the inner
+products of the terms' factors), so an insult counts for more beside a mention of a
+group than the sum of both. A term enters the model if the labels differ by it alone
+(its document frequencies by ``least_z`` standard errors) or by it beside another term
+(their joint frequencies by ``pair_z``, and clearly more than by either alone), so words
+that tell something only together are kept. Pairs are sought among the ``pair_terms``
+most frequent terms.
 
 The model is fitted on the driver on at most ``sample`` labelled rows (the smallest
 hashes of doc_id); scoring reads whole texts and is one pass without a shuffle.
@@ -29,12 +32,14 @@ from .common import NOT_WORD, PrefixHash, crc_mod, padded, plus, slices, table,
 
 #: Byte lengths of the stems that are terms beside the whole words.
 STEMS = (6, 7)
+#: Bits of a term's hash.
+BITS = 22
 
 
 @dataclass
 class Machine:
     bias: float = 0.0
-    terms: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
+    terms: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int32))
     linear: np.ndarray = field(default_factory=lambda: np.zeros(0))
     factors: np.ndarray = field(default_factory=lambda: np.zeros((0, 1)))
 
@@ -58,7 +63,7 @@ def term_sets(tools: PrefixHash, batch: pa.RecordBatch, text: str):
         docs.append(doc[long])
     doc = np.concatenate(docs)
     order = np.argsort(doc, kind="stable")
-    return doc[order], (np.concatenate(hashes)[order] >> np.uint64(1)).astype(np.int64)
+    return doc[order], (np.concatenate(hashes)[order] >> np.uint64(64 - BITS)).astype(np.int32)
 
 
 def labelled_terms(rows: DataFrame) -> list:
@@ -78,31 +83,61 @@ def labelled_terms(rows: DataFrame) -> list:
     return sorted(((r.doc_id, r.label, r.terms) for r in got), key=lambda r: (r[0] is None, r[0], r[1]))
 
 
-def fit(rows: DataFrame, sample: int = 8000, least_z: float = 3.0, rank: int = 6, epochs: int = 12, batch: int = 128, rate: float = 0.05, shrink: float = 2e-4, seed: int = 7) -> Machine:
+def fit(rows: DataFrame, sample: int = 8000, **how) -> Machine:
     """Fit on at most `sample` rows (doc_id, text, label 0 or 1)."""
     got = labelled_terms(rows.where("label is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample))
-    y = np.array([x[1] for x in got], float)
+    return train(np.array([x[1] for x in got], float), [np.frombuffer(x[2], np.int32) for x in got], **how)
+
+
+def apart(one: np.ndarray, all_: np.ndarray, n1: float, n: int) -> np.ndarray:
+    """Standard errors between the labels' shares of texts, of which `one` have label 1 and `all_` any."""
+    p = all_ / n
+    return (one / n1 - (all_ - one) / (n - n1)) / np.sqrt(np.maximum(p * (1 - p), 1e-12) * (1 / n1 + 1 / (n - n1)))
+
+
+def telling(y: np.ndarray, every: np.ndarray, owner: np.ndarray, least_z: float, pair_z: float, pair_terms: int, least_texts: int) -> np.ndarray:
+    """The terms by which the labels differ, alone or in pairs."""
+    n1, n = y.sum(), len(y)
+    df = np.bincount(every, minlength=1 << BITS)
+    alone = apart(np.bincount(every, y[owner], 1 << BITS), df, n1, n)
+    keep = (np.abs(alone) >= least_z) & (df >= least_texts)
+    often = np.flatnonzero(df >= least_texts)
+    often = often[np.argsort(-df[often], kind="stable")[:pair_terms]]
+    place = np.full(1 << BITS, -1, np.int32)
+    place[often] = np.arange(len(often))
+    joint = np.zeros((2, len(often), len(often)), np.float32)
+    for at in range(0, n, 512):  # joint frequencies by label, some texts at a time
+        a, z = np.searchsorted(owner, [at, at + 512])
+        here = place[every[a:z]]
+        has = np.zeros((min(512, n - at), len(often)), np.float32)
+        has[owner[a:z][here >= 0] - at, here[here >= 0]] = 1
+        for label in (0, 1):
+            own = has[y[at : at + 512] == label]
+            joint[label] += own.T @ own
+    both = np.abs(apart(joint[1], joint[0] + joint[1], n1, n))
+    single = np.abs(alone[often])
+    both[(joint[0] + joint[1] < least_texts) | (both < pair_z) | (both < np.maximum(single[:, None], single) + least_z)] = 0
+    keep[often[both.any(1)]] = True
+    return np.flatnonzero(keep)
+
+
+def train(y: np.ndarray, sets: list[np.ndarray], least_z: float = 3.0, pair_z: float = 6.0, pair_terms: int = 1024, least_texts: int = 3, rank: int = 6, epochs: int = 12, batch: int = 128, rate: float = 0.05, shrink: float = 2e-4, seed: int = 7) -> Machine:
+    """Adaptive gradient steps on the logistic loss of labels y over distinct terms."""
     if not len(y) or y.min() == y.max():
         p = min(max(y.mean() if len(y) else 0.0, 1e-6), 1 - 1e-6)
         return Machine(float(np.log(p / (1 - p))))
-    sets = [np.frombuffer(x[2], np.int64) for x in got]
-    every = np.concatenate(sets)
-    terms, where = np.unique(every, return_inverse=True)
-    owner = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
     n1, n = y.sum(), len(y)
-    df = np.bincount(where, minlength=len(terms))
-    df1 = np.bincount(where, y[owner], len(terms))
-    p = df / n
-    z = (df1 / n1 - (df - df1) / (n - n1)) / np.sqrt(np.maximum(p * (1 - p), 1e-12) * (1 / n1 + 1 / (n - n1)))
-    keep = (np.abs(z) >= least_z) & (df >= 3)
-    place = np.full(len(terms), -1)
-    place[keep] = np.arange(keep.sum())
-    index = place[where]
+    every = np.concatenate(sets)
+    owner = np.repeat(np.arange(n, dtype=np.int32), [len(s) for s in sets])
+    terms = telling(y, every, owner, least_z, pair_z, pair_terms, least_texts)
+    place = np.full(1 << BITS, -1, np.int32)
+    place[terms] = np.arange(len(terms))
+    index = place[every]
     use = index >= 0
     owner, index = owner[use], index[use]
-    k = int(keep.sum())
+    k = len(terms)
     rng = np.random.default_rng(seed)
-    m = Machine(float(np.log(n1 / (n - n1))), terms[keep], np.zeros(k), rng.normal(0, 0.05, (k, rank)))
+    m = Machine(float(np.log(n1 / (n - n1))), terms.astype(np.int32), np.zeros(k), rng.normal(0, 0.05, (k, rank)))
     start = np.searchsorted(owner, np.arange(n + 1))
     theta = [np.array([m.bias]), m.linear, m.factors]
     first, second, t = [np.zeros_like(x) for x in theta], [np.zeros_like(x) for x in theta], 0
@@ -140,7 +175,7 @@ def score(docs: DataFrame, model: Machine) -> DataFrame:
                 doc, h = term_sets(tools, b, "text")
                 i = np.searchsorted(model.terms, h)
                 hit = np.flatnonzero(model.terms[np.minimum(i, len(model.terms) - 1)] == h) if len(model.terms) else np.zeros(0, int)
-                pair = np.unique(doc[hit] * max(1, len(model.terms)) + i[hit])
+                pair = np.unique(doc[hit] * np.int64(max(1, len(model.terms))) + i[hit])
                 d, t = np.divmod(pair, max(1, len(model.terms)))
                 p = model.scores(b.num_rows, d, t)
                 yield pa.RecordBatch.from_arrays([*b.columns, pa.array(p)], names=[*names, "score"])
