@@ -32,25 +32,28 @@ def scratch(spark: SparkSession, name: str) -> str:
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-#: Runtime setting under which Spark drops an execution's shuffle files when it has ended.
-CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+#: Runtime settings of writes: Spark drops an execution's shuffle files when it has ended, and a batch that goes to
+#: Python is bounded by its bytes and not by its rows alone.
+WRITING = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxBytesPerBatch": str(4 << 20)}
 
 
 @contextmanager
-def cleaned_shuffles(spark: SparkSession):
-    """Writes inside leave no shuffle files behind: what they made is on shared storage."""
-    before = spark.conf.get(CLEANUP, None)
-    spark.conf.set(CLEANUP, "true")
+def writing(spark: SparkSession):
+    """Writes inside leave no shuffle files behind (what they made is on shared storage) and move bounded batches."""
+    before = {k: spark.conf.get(k, None) for k in WRITING}
+    for k, v in WRITING.items():
+        spark.conf.set(k, v)
     try:
         yield
     finally:
-        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write df to scratch space and read it back: lineage ends here and lost executors cost nothing."""
     path = scratch(df.sparkSession, name)
-    with cleaned_shuffles(df.sparkSession):
+    with writing(df.sparkSession):
         df.write.option("compression", "zstd").parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._scratch = path

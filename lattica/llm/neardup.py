@@ -183,7 +183,11 @@ def block_links(x: tuple[list, list, list], y: tuple[list, list, list], threshol
 
 
 def compared(left: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
-    """(a, b): links between components that share a bucket; every pair of a bucket is compared exactly, as in apart()."""
+    """(a, b): links between components that share a bucket; every pair of a bucket is compared exactly.
+
+    Members of a bucket are packed into blocks; blocks meet blocks and the comparison is a
+    matrix inside, so a large bucket makes rows by the square of its blocks, not of its members.
+    """
     rows = left.join(sets.select("node", "shingles"), "node")
     sizes = rows.groupBy("bucket").agg(F.greatest(F.count("*") / BLOCK, F.sum(F.length("shingles")) / BLOCK_BYTES).alias("n"))
     block = F.pmod(F.xxhash64("node"), F.ceil("n")).alias("block")
@@ -206,44 +210,6 @@ def compared(left: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     return met.mapInArrow(run, "a binary, b binary")
 
 
-def apart(left: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
-    """(a, b) of different components in a bucket whose registers agree as often as the threshold allows (three standard errors below it).
-
-    Members of a bucket are packed into blocks; blocks meet blocks and the comparison is a
-    matrix inside, so a large bucket makes rows by the square of its blocks, not of its members.
-    """
-    least = threshold * REGISTERS - 3 * (threshold * (1 - threshold) * REGISTERS) ** 0.5
-    sizes = left.groupBy("bucket").agg(F.count("*").alias("n"))
-    rows = left.join(sizes, "bucket").join(sets.select("node", "registers"), "node")
-    block = F.pmod(F.xxhash64("node"), F.ceil(F.col("n") / BLOCK)).alias("block")
-    one = F.struct("node", "comp", "registers")
-    packed = rows.groupBy("bucket", block).agg(F.sort_array(F.collect_list(one)).alias("x"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
-    packed = materialize(packed, "nd-blocks")
-    other = packed.select("bucket", F.col("block").alias("block2"), F.col("x").alias("y"), F.col("lo").alias("lo2"), F.col("hi").alias("hi2"))
-    # two blocks of one and the same component have nothing to compare
-    met = packed.join(other, "bucket").where("block <= block2 and not (lo = hi and lo2 = hi2 and lo = lo2)").select("x", "y")
-
-    def part(column, i):
-        members = column.values.slice(column.offsets[i].as_py(), column.offsets[i + 1].as_py() - column.offsets[i].as_py())
-        node, comp, held = (members.field(k).to_pylist() for k in range(3))
-        return node, comp, np.frombuffer(b"".join(held), np.uint32).reshape(len(node), -1)
-
-    def run(batches):
-        for b in batches:
-            found = set()
-            for i in range(b.num_rows):
-                nx, cx, rx = part(b.column(0), i)
-                ny, cy, ry = part(b.column(1), i)
-                for k, (n, c) in enumerate(zip(nx, cx, strict=True)):
-                    for j in np.flatnonzero((ry == rx[k]).sum(1) >= least).tolist():
-                        if cy[j] != c:
-                            found.add((min(n, ny[j]), max(n, ny[j])))
-            rows = sorted(found)
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.binary()), pa.array([r[1] for r in rows], pa.binary())], names=["a", "b"])
-
-    return met.mapInArrow(run, "a binary, b binary")
-
-
 def verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     """The pairs (a, b) whose shingle sets have at least the similarity, with it."""
 
@@ -272,7 +238,7 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
     meets = spots.groupBy("node").agg(F.sum("size").alias("meets"))
     members = materialize(spots.join(meets, "node").select("bucket", "node", "meets"), "nd-members")
     wanted = members.select("node").distinct()
-    source = sketched.join(wanted, "node").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
+    source = sketched.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id")).join(wanted, "node", "left_semi")
     texts = docs.select("doc_id", "text").where("doc_id is not null").join(source, "doc_id")
     # ids may repeat with other texts: the set of the right text is the one whose words give the node
     sets = materialize(shingle_sets(sketch_text(texts)), "nd-sets")

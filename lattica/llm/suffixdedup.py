@@ -36,7 +36,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import PrefixHash, cleaned_shuffles, materialize, release, scratch, slices, table
+from .common import PrefixHash, writing, materialize, release, scratch, slices, table
 
 #: Bytes of a gram (longer ones where a mask could not hold a bit for each of a context's windows).
 GRAM, MOST_WINDOWS = 20, 62
@@ -420,7 +420,7 @@ def find_repeats(docs: DataFrame, length: int = 50) -> tuple[DataFrame, DataFram
     wanted = firsts.groupBy("doc_id").agg(F.collect_set("sha").alias("wanted"))
     kept = hashed.repartition(parts, "doc_id").join(wanted.repartition(parts, "doc_id"), "doc_id").where(F.array_contains("wanted", F.col("sha"))).drop("wanted")
     try:
-        with cleaned_shuffles(spark):
+        with writing(spark):
             kept.write.option("compression", "zstd").option("path", path).bucketBy(parts, "doc_id").sortBy("doc_id").saveAsTable(name)
         return rows, repeats_of(spark.table(name), parts, length)
     finally:
