@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from lattica.llm import decontaminate, mixing, neardup, pii, toxicity
-from lattica.llm.common import DOC_COLUMNS, materialize, table
+from lattica.llm.common import DOC_COLUMNS, materialize, release, table
 
 
 def drop_toxic(spark, docs, sf_dir):
@@ -56,5 +56,6 @@ ORACLE_SQL = None
 def run(spark, sf_dir):
     docs = table(spark, sf_dir, "documents", *DOC_COLUMNS)
     for name, stage in STAGES:
-        docs = materialize(stage(spark, docs, sf_dir), f"stage-{name}")
+        before, docs = docs, materialize(stage(spark, docs, sf_dir), f"stage-{name}")
+        release(before)  # scratch of the stage before; the input has none
     return docs
