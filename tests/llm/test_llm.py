@@ -4,6 +4,7 @@ import hashlib
 import itertools
 import random
 import re
+import zlib
 
 import numpy as np
 import pytest
@@ -99,19 +100,34 @@ def test_probability_jaccard_estimate():
     assert (s[0] == s[1]).mean() == pytest.approx(0.6, abs=0.04)
 
 
-def test_apart_equals_brute_force(spark):
+def test_compared_blocks_equal_brute_force(spark, monkeypatch):
+    # members of one bucket, exactly compared in blocks: what the links join is what all pairs join
+    monkeypatch.setattr(neardup, "BLOCK", 16)
     rng = np.random.default_rng(0)
-    base = rng.integers(0, 2**31, 192).astype(np.uint32)
-    regs = []
-    for _ in range(200):
-        r, k = base.copy(), rng.integers(0, 80)
-        r[rng.choice(192, k, replace=False)] = rng.integers(0, 2**31, k)
-        regs.append(r)
-    sets = spark.createDataFrame([(bytearray([i]), bytearray(), bytearray(r.tobytes())) for i, r in enumerate(regs)], "node binary, shingles binary, registers binary")
-    left = spark.createDataFrame([(1, bytearray([i]), bytearray([i % 7])) for i in range(200)], "bucket long, node binary, comp binary")
-    got = {(r.a[0], r.b[0]) for r in neardup.apart(left, sets, 0.8).distinct().collect()}
-    least = 0.8 * 192 - 3 * (0.16 * 192) ** 0.5
-    assert got == {(i, j) for i in range(200) for j in range(i + 1, 200) if i % 7 != j % 7 and (regs[i] == regs[j]).sum() >= least}
+    sets = []
+    for _ in range(6):
+        base = rng.integers(0, 2**62, 80).astype(np.uint64)
+        for _ in range(20):
+            x, k = base.copy(), rng.integers(0, 24)
+            x[rng.choice(80, k, replace=False)] = rng.integers(0, 2**62, k)
+            sets.append(np.unique(x))
+    frame = spark.createDataFrame([(bytearray([i]), bytearray(x.tobytes())) for i, x in enumerate(sets)], "node binary, shingles binary")
+    left = spark.createDataFrame([(1, bytearray([i]), bytearray([i])) for i in range(len(sets))], "bucket long, node binary, comp binary")
+    links = neardup.compared(left, frame, 0.8).collect()
+    sim = lambda a, b: len(np.intersect1d(a, b)) / len(np.union1d(a, b))
+    assert all(sim(sets[r.a[0]], sets[r.b[0]]) >= 0.8 for r in links)
+
+    def joined(pairs):
+        top = list(range(len(sets)))
+        for a, b in pairs:
+            x, y = top[a], top[b]
+            top = [min(x, y) if t in (x, y) else t for t in top]
+        return top
+
+    every = [(i, j) for i, j in itertools.combinations(range(len(sets)), 2) if sim(sets[i], sets[j]) >= 0.8]
+    assert joined((r.a[0], r.b[0]) for r in links) == joined(every) and len(every) > 100
+    blocks = -(-len(sets) // 16)
+    assert len(links) <= blocks * (blocks + 1) / 2 * 32  # rows by blocks, not by pairs
 
 
 def repeated_passages(rng, most=200):
@@ -241,6 +257,52 @@ def test_html_host_consensus():
     assert htmltext.extract(page, None).startswith("long")
 
 
+def main_text(page):
+    return htmltext.extract(page, htmltext.best_path(htmltext.blocks(page)))
+
+
+def test_html_keeps_all_parts_of_the_article():
+    long = "long text " * 40
+    # sections of different classes, a headline beside the body, an article beside its title, nested containers
+    assert main_text('<body><main><section class="a"><p>one</p></section><section class="b"><p>two two</p></section></main></body>') == "one\n\ntwo two"
+    assert main_text(f'<body><article><h1>T</h1><div class="body"><p>{long}</p></div></article></body>') == "T\n\n" + long.strip()
+    assert main_text(f"<body><main><h1>T</h1><article><p>{long}</p></article></main></body>") == "T\n\n" + long.strip()
+    assert main_text(f'<body><div class="content"><h1>T</h1><div class="x"><div class="y"><p>{long}</p></div></div><ul><li>end</li></ul></div></body>') == f"T\n\n{long.strip()}\n\nend"
+    # of several articles in main, the one that holds most
+    assert main_text(f"<body><main><article class='teaser'><p>short</p></article><article><p>{long}</p></article></main></body>") == long.strip()
+
+
+def test_html_noise_words():
+    assert main_text('<body><article><p>He said <span class="comment">word</span> and <b id="menu">more</b>.</p></article>') == "He said word and more."
+    assert main_text('<body><div class="content no-sidebar has-comments"><h1>H</h1><p>abc</p></div></body>') == "H\n\nabc"
+    assert main_text('<body><div class="page-with-menu sidebar"><h1>H</h1><p>abc</p></div></body>') == "H\n\nabc"  # holds the headline
+    for noise in ('class="ad-slot"', 'class="cookie_notice"', 'id="comments"', 'class="post-comments"', 'class="x related"', 'role="navigation"', "hidden", 'style="display: none"'):
+        assert main_text(f"<body><article><h1>H</h1><p>abc</p><div {noise}><p>noise noise noise noise</p></div></article></body>") == "H\n\nabc", noise
+
+
+def test_html_takes_linear_time():
+    import time
+
+    started = time.perf_counter()
+    for part in ('<a "', '<a href="', "<div>", "<!--", "<p><b>x", "</div>", '<div class="menu">', "<x y='>", "<script>"):
+        htmltext.extract(part * (1_000_000 // len(part)), None)
+    assert time.perf_counter() - started < 60
+
+
+def test_html_query(spark, tmp_path):
+    host = '<body><div class="story-9"><p>{}</p></div><div class="other"><p>{}</p></div></body>'
+    rows = [(i, f"http://h.com/{i}", host.format("words " * 60, "few")) for i in range(5)]
+    rows += [(9, "http://h.com/9", host.format("short", "text " * 50)), (9, "http://h.com/9", host.format("short", "text " * 50)), (None, None, None), (11, "", ""), (12, "x", "é &lt;b&gt; " * 40_000)]
+    spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("text", common.F.lit("clash")).write.parquet(f"{tmp_path}/pages.parquet")
+    out = htmltext.op4_html_main_text(spark, str(tmp_path))
+    assert [(f.name, f.dataType.simpleString()) for f in out.schema] == [("page_id", "bigint"), ("url", "string"), ("text", "string"), ("n_chars", "bigint")]
+    got = out.collect()
+    assert len(got) == len(rows) and all(r.n_chars == len(r.text) for r in got)
+    by = {r.page_id: r.text for r in got}
+    assert by[0] == ("words " * 60).strip() and by[9] == "short"  # equal rows agree, the host decides
+    assert by[None] == by[11] == "" and by[12] == ("é <b> " * 40_000).strip()
+
+
 def test_html_never_fails():
     rng = random.Random(4)
     bits = ["<p>", "</p>", "<div", ">", "<!--", "-->", "text", "<a href='x", "&amp;", "<script>", "</script>", "<ul><li>", "</article>", "<article>", "<br/>", "\x00", "<![CDATA[", "]]>"]
@@ -348,6 +410,43 @@ def test_toxicity_learns_a_pair(spark):
     assert np.mean([(s >= 0.5) == bool(y) for s, y in held]) > 0.95
 
 
+def test_toxicity_learns_exclusive_words():
+    # neither word tells anything alone: label 1 has exactly one of them
+    rng = np.random.default_rng(3)
+    rows = 900
+    a, b = rng.random(rows) < 0.5, rng.random(rows) < 0.5
+    sets = [np.unique(np.concatenate([rng.choice(40, 15).astype(np.int32) + 100, [1] * int(x), [2] * int(z)]).astype(np.int32)) for x, z in zip(a, b, strict=True)]
+    y = (a ^ b).astype(float)
+    m = toxicity.train(y[:600], sets[:600], epochs=40)
+    assert {1, 2} <= set(m.terms.tolist())
+    right = []
+    for s, label in zip(sets[600:], y[600:], strict=True):
+        at = np.flatnonzero(np.isin(m.terms, s))
+        right.append((m.scores(1, np.zeros(len(at), int), at)[0] >= 0.5) == bool(label))
+    assert np.mean(right) > 0.9
+
+
+def test_toxicity_query(spark, tmp_path):
+    rng = random.Random(12)
+    texts = [sentence(rng, 30) + (" vile scum" if i % 4 == 0 else "") for i in range(400)]
+    docs(spark, [*texts, *EDGE]).write.parquet(f"{tmp_path}/documents.parquet")
+    # a repeated label counts once, the largest; null labels are not learned from
+    labels = [(i, int(i % 4 == 0)) for i in range(400)] + [(0, 0), (1, None), (None, 1)]
+    spark.createDataFrame(labels, "doc_id long, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    out = toxicity.op8_toxicity(spark, str(tmp_path))
+    assert [(f.name, f.dataType.simpleString()) for f in out.schema][:4] == [("doc_id", "bigint"), ("held_out", "boolean"), ("score", "double"), ("predicted", "int")]
+    rows = out.collect()
+    assert len(rows) == len(texts) + len(EDGE)
+    for r in rows:
+        assert r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 5 == 0) and r.predicted == int(r.score >= 0.5)
+    held = [r for r in rows if r.held_out and r.doc_id < 400]
+    assert np.mean([r.predicted == int(r.doc_id % 4 == 0) for r in held]) > 0.95
+    # an empty table of documents, and one without labels
+    spark.createDataFrame([], DOC).write.parquet(f"{tmp_path}/none/documents.parquet")
+    spark.createDataFrame([], "doc_id long, toxic int").write.parquet(f"{tmp_path}/none/labels.parquet")
+    assert toxicity.op8_toxicity(spark, f"{tmp_path}/none").count() == 0
+
+
 def test_toxicity_edges(spark):
     d = docs(spark, EDGE)
     empty = spark.createDataFrame([], "doc_id long, toxic int")
