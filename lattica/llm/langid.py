@@ -6,8 +6,11 @@ chunk is compressed with every dictionary, and the language with the smallest
 total wins. The margin between the two smallest totals, relative to the larger,
 is the evidence; below ``margin`` the operator's ``accepted`` is false.
 
-Training is fitted on a bounded sample: at most ``per_lang`` labelled texts of
-each language (the smallest hashes of doc_id), ``dict_bytes`` bytes in all of each.
+Training is fitted on a bounded sample of each language: the first ``2 * dict_bytes /
+per_lang`` characters of at most ``per_lang`` labelled texts of ``LONG`` characters or more
+(the smallest hashes of doc_id), and, as far as those leave room, at most ``FILL`` shorter
+texts. A dictionary keeps ``dict_bytes`` bytes. Every language with a labelled text that
+has a letter is learned, however short its texts are.
 
 Defined results: null texts and texts without a letter are 'und' with score 0;
 equal sizes go to the language first in order; one learned language wins every
@@ -26,6 +29,8 @@ from pyspark.sql import functions as F
 
 from .common import crc_mod, slices, table
 
+#: Characters from which a text is preferred for training, and the most shorter ones that fill a dictionary up.
+LONG, FILL = 200, 1024
 LETTER = re.compile(r"[^\W\d_]")
 
 
@@ -37,15 +42,17 @@ def clean(text: str) -> str:
 def fit(labelled: DataFrame, per_lang: int = 48, dict_bytes: int = 64 << 10) -> dict[str, bytes]:
     """Dictionaries by language from rows (doc_id, text, lang); the sample bound is per_lang texts of dict_bytes / per_lang * 2 characters."""
     piece = max(1, 2 * dict_bytes // per_lang)
-    rank = F.row_number().over(W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    rows = labelled.where("lang is not null and text is not null and length(text) >= 200").withColumn("r", rank).where(F.col("r") <= per_lang).select("lang", "r", F.substring("text", 1, piece).alias("text"))
-    parts: dict[str, list[tuple[int, str]]] = {}
-    for x in rows.collect():  # at most languages * per_lang * piece characters
-        parts.setdefault(x.lang, []).append((x.r, x.text))
-    if not parts:
-        for x in labelled.where("lang is not null and text is not null").groupBy("lang").agg(F.min(F.substring("text", 1, piece)).alias("text")).collect():
-            parts[x.lang] = [(1, x.text)]
-    return {k: " ".join(clean(t) for _, t in sorted(v)).encode()[-dict_bytes:] for k, v in sorted(parts.items())}
+    parts: dict[str, list[str]] = {}
+    known = labelled.where("lang is not null and text is not null")
+    rank = F.row_number().over(W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id", "text"))
+    size = F.length("text")
+    for few, wanted in ((per_lang, size >= LONG), (FILL, size < LONG)):
+        rows = known.where(wanted).select("lang", "doc_id", F.substring("text", 1, piece).alias("text")).withColumn("r", rank).where(F.col("r") <= few)
+        for x in sorted(rows.select("lang", "r", "text").collect()):  # at most languages * (per_lang * piece + FILL * LONG) characters
+            own = parts.setdefault(x.lang, [])
+            if sum(map(len, own)) < 2 * dict_bytes:
+                own.append(clean(x.text))
+    return {k: " ".join(t for t in v if t).encode()[-dict_bytes:] for k, v in sorted(parts.items())}
 
 
 def predict(docs: DataFrame, model: dict[str, bytes], margin: float = 0.01, chunk: int = 16384) -> DataFrame:
