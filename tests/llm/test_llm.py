@@ -327,6 +327,36 @@ def test_language(spark):
     assert {r.lang_pred for r in langid.predict(test, {}).collect()} == {"und"}
 
 
+def test_language_with_short_texts_only(spark):
+    rng = random.Random(6)
+    vocab = {k: ["".join(rng.choice(c) for _ in range(9)) for _ in range(40)] for k, c in {"aa": "abcde", "bb": "fghij", "cc": "klmno"}.items()}
+    rows = [(i, sentence(rng, 80 if k == "aa" else 4, vocab[k]), k) for i, k in enumerate(["aa", "bb", "cc"] * 60)] + [(500, "123", "dd"), (501, "x", None), (None, None, "ee")]
+    model = langid.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert {k for k, v in model.items() if v} == {"aa", "bb", "cc"}
+    test = [(i, sentence(rng, 30, vocab[k]), k) for i, k in enumerate(["aa", "bb", "cc"] * 10)]
+    got = {r.doc_id: r.lang_pred for r in langid.predict(spark.createDataFrame(test, "doc_id long, text string, lang string"), model).collect()}
+    assert all(got[i] == k for i, _, k in test)
+
+
+def test_language_query(spark, tmp_path):
+    rng = random.Random(7)
+    vocab = {k: ["".join(rng.choice(c) for _ in range(9)) for _ in range(60)] for k, c in {"aa": "abcde", "bb": "fghij"}.items()}
+    rows = [(i, sentence(rng, 60, vocab["ab"[i % 2] * 2]), "ab"[i % 2] * 2, "s", 1) for i in range(200)]
+    # repeated rows, a text of a megabyte, one that is half and half, and one label that is wrong but held out
+    held = [i for i in range(1000, 1100) if zlib.crc32(str(i).encode()) % 3 == 1]
+    rows += [rows[0], (held[0], sentence(rng, 200_000, vocab["bb"]), "aa", "s", 1), (held[1], "abcd and fghi", None, "s", 1), (held[2], None, "aa", "s", None), (None, "42", "bb", "s", 2)]
+    spark.createDataFrame(rows, DOC).withColumn("score", common.F.lit("clash")).write.parquet(f"{tmp_path}/documents.parquet")
+    out = langid.op5_language_id(spark, str(tmp_path))
+    assert [(f.name, f.dataType.simpleString()) for f in out.schema][:4] == [("doc_id", "bigint"), ("held_out", "boolean"), ("lang_pred", "string"), ("score", "double")]
+    got = out.collect()
+    assert len(got) == len(rows) and all(0 <= r.score <= 1 and r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 3 == 1) for r in got if r.doc_id is not None)
+    by = {r.doc_id: r.lang_pred for r in got}
+    assert np.mean([by[i] == "ab"[i % 2] * 2 for i in range(200)]) > 0.99
+    assert by[held[0]] == "bb" and by[held[1]] in ("aa", "bb") and by[held[2]] == by[None] == "und"
+    spark.createDataFrame([], DOC).write.parquet(f"{tmp_path}/none/documents.parquet")
+    assert langid.op5_language_id(spark, f"{tmp_path}/none").count() == 0
+
+
 # ------------------------------------------------------------------ 6 media
 
 
