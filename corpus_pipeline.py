@@ -31,7 +31,7 @@ def drop_leaks(spark, docs, sf_dir):
 
 def hide_personal_data(spark, docs, sf_dir):
     """All documents, with surrogates for personal data."""
-    out = pii.replace(docs)
+    out = pii.replace(docs, pii.session_key(spark))
     size = F.when(F.col("n_entities") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
     return out.withColumn("n_chars", size).select(*DOC_COLUMNS)
 

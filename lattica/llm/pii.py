@@ -4,21 +4,30 @@ Each detected value is mapped by a keyed permutation of the values of its own
 format (a Feistel network over its characters' alphabets, walked until the result
 is valid for the type), so different values stay different, the same value gets
 the same surrogate in every document, and length, script, case and punctuation
-stay. Given names come from lists of the same gender and script.
+stay. Given names and surnames come from lists of the same gender and script, and
+after the first draws are composed of syllables of the script and an ending of the
+gender, more syllables with every few draws, so that names never run out.
 
 Collisions are checked over the whole corpus: a surrogate that two values share,
 or that is itself a real value somewhere, is drawn again with the next attempt
-number until none is left; only such exceptions are joined to the documents.
+number until none is left; only such exceptions are joined to the documents. A format
+with no free value left (64 attempts) grows by a character an attempt, so no
+clash is ever kept.
+
+The permutation can be undone with its key: callers pass their own secret bytes. A call
+without one draws a key that is kept nowhere, so that nothing can be undone.
 
 Defined results: null text stays null; empty and clean texts are unchanged;
 repeated values count each time in n_entities; overlapping finds go to the
-earliest, then the longest; all columns of the input pass through.
+earliest, then the longest; a text takes time in proportion to its length; all
+columns of the input pass through (but for n_entities and entity_kinds).
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
+import secrets
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -44,9 +53,28 @@ SURNAMES = {
 #: Titles by gender.
 TITLES = {"m": r"Mr\.?|Sir|Herr|Herrn|Señor|Sr\.|Don|Monsieur|M\.|господин", "f": r"Mrs\.?|Ms\.?|Miss|Madam|Frau|Señora|Sra\.|Doña|Madame|Mme\.?|госпожа"}
 NAME = r"[A-ZÀ-ÖØ-ÞА-ЯЁ][\w'’-]+"
-TITLED = {g: re.compile(rf"(?<!\w)(?:{t})\s+({NAME}(?:\s+{NAME}){{0,2}})") for g, t in TITLES.items()}
+TITLED = {g: re.compile(rf"(?<!\w)(?:{t})[^\S\n]+({NAME}(?:[^\S\n]+{NAME}){{0,2}})") for g, t in TITLES.items()}
 ANY_TITLE = re.compile(rf"(?<!\w)(?:{TITLES['m']}|{TITLES['f']})\s")
-EMAIL = re.compile(r"[\w.+%-]+@(?:[\w-]+\.)+[^\W\d_]{2,24}(?!\w)")
+NAMED = re.compile(rf"(?<!\w){NAME}")
+DOMAIN = re.compile(r"[\w-]++(?:\.[\w-]++)++")
+TOP = re.compile(r"[^\W\d_]{2,24}(?!\w)")
+#: Syllables of composed names by script, and their endings by gender ("s": surnames).
+SYLLABLES = {
+    "latin": "ba be bo da de do fa fe fi ga ge ka ke ko la le li lo ma me mi mo na ne ni no pa pe ra re ri ro sa se si so ta te ti to va ve vi wa we ya za zo".split(),
+    "cyrillic": "ба бе бо ва ве ви га го да де до за зо ка ко ла ле ли ло ма ме ми мо на не ни но па по ра ре ри ро са се си со та те ти то фа фи".split(),
+}
+ENDINGS = {
+    ("m", "latin"): "n rd rt ld s us nd r".split(),
+    ("f", "latin"): "lla nna ria tta lia sa na ra".split(),
+    ("s", "latin"): "mann son ley ton berg well nez rick".split(),
+    ("m", "cyrillic"): "слав мир н р лий сей".split(),
+    ("f", "cyrillic"): "на ра лия са нна тья".split(),
+    ("s", "cyrillic"): "нов ров ленко ский чук тин".split(),
+}
+#: Draws from the lists, and draws from the formats before they grow.
+LISTED, MOST_DRAWS = 4, 64
+#: Exceptions that are sent to the tasks; more are joined by document.
+MOST_FIXED = 20_000
 #: The numeric formats, most specific first.
 NUMERIC = (
     ("secret", re.compile(r"(?<![\w])(?:[0-9a-f]{32,}|[0-9A-F]{32,})(?![\w])")),
@@ -77,11 +105,34 @@ def luhn(digits: str) -> int:
     return -total % 10
 
 
+def emails(text: str):
+    """Spans of the addresses: every @ with the longest local part before it and the longest domain after it."""
+    at, free = text.find("@"), 0
+    while at >= 0:
+        start, end = at, None
+        while start > free and (text[start - 1].isalnum() or text[start - 1] in "_.+%-"):
+            start -= 1
+        m = DOMAIN.match(text, at + 1) if start < at else None
+        if m:
+            labels = m[0].split(".")
+            stop = m.end()
+            for label in reversed(labels[1:]):
+                begin = stop - len(label)
+                if top := TOP.match(text, begin, m.end()):
+                    end = top.end()
+                    break
+                stop = begin - 1
+        if end is not None:
+            yield start, end
+            free = end
+        at = text.find("@", max(at + 1, free))
+
+
 def detect(text: str) -> list[tuple[int, int, str]]:
     """(start, end, kind) of the entities, without overlaps, in order."""
     spans = []
     if "@" in text:
-        spans += [(*m.span(), "email") for m in EMAIL.finditer(text)]
+        spans += [(*m, "email") for m in emails(text)]
     if DIGIT.search(text):
         for kind, rx in NUMERIC:
             spans += [(*m.span(), kind) for m in rx.finditer(text) if kind != "phone" or _phone_like(m[0])]
@@ -95,8 +146,12 @@ def detect(text: str) -> list[tuple[int, int, str]]:
                 for i, (a, b) in enumerate(parts):
                     known.setdefault(text[a:b], "surname" if i == len(parts) - 1 else f"given_{gender}")
         if known:
-            rx = re.compile(r"(?<!\w)(?:" + "|".join(re.escape(k) for k in sorted(known, key=len, reverse=True)) + r")(?!\w)")
-            spans += [(*m.span(), known[m[0]]) for m in rx.finditer(text)]
+            for m in NAMED.finditer(text):
+                word = m[0]
+                while word and word not in known:  # a possessive or a compound of a known name
+                    word = word[: max(word.rfind(c) for c in "'’-") if any(c in word for c in "'’-") else 0]
+                if word:
+                    spans.append((m.start(), m.start() + len(word), known[word]))
     order = {k: i for i, k in enumerate(["email", *(k for k, _ in NUMERIC)])}
     spans.sort(key=lambda s: (s[0], -s[1], order.get(s[2], 99)))
     out, free = [], 0
@@ -151,14 +206,37 @@ def _script(v: str) -> str:
     return "cyrillic" if any("Ѐ" <= c <= "ӿ" for c in v) else "latin"
 
 
+def _name(kind: str, value: str, key: bytes, attempt: int) -> str:
+    """A name of the same gender and script: listed at first, then composed of two syllables and more."""
+    script, part = _script(value), "s" if kind == "surname" else kind[-1]
+    h = int.from_bytes(hashlib.blake2b(f"{kind}|{attempt}|".encode() + value.lower().encode(), key=key, digest_size=32).digest(), "big")
+    if attempt < LISTED:
+        pool = SURNAMES[script] if part == "s" else GIVEN[part, script]
+        name = pool[h % len(pool)]
+    else:
+        h, e = divmod(h, len(ENDINGS[part, script]))
+        out = []
+        for _ in range(min(20, 2 + (attempt - LISTED) // 4)):
+            h, s = divmod(h, len(SYLLABLES[script]))
+            out.append(SYLLABLES[script][s])
+        name = "".join([*out, ENDINGS[part, script][e]]).capitalize()
+    return name.upper() if value.isupper() and len(value) > 1 else name
+
+
+def _grown(kind: str, value: str, more: int) -> str:
+    """The value in a wider format: further characters like one of its own (before the @ of an address)."""
+    place = value.index("@") - 1 if kind == "email" else max((i for i, c in enumerate(value) if c in PLACE), default=len(value) - 1)
+    return value[: place + 1] + (value[place] if value[place] in PLACE else "0") * more + value[place + 1 :]
+
+
 def surrogate(kind: str, value: str, key: bytes, attempt: int = 0) -> str:
     """The replacement of a value; another attempt gives another one."""
+    if kind in ("surname", "given_m", "given_f"):
+        return _name(kind, value, key, attempt)
+    if attempt >= MOST_DRAWS:
+        value = _grown(kind, value, attempt - MOST_DRAWS + 1)
+        kind = kind if kind in ("email", "secret", "key") else "grown"
     tweak = f"{kind}|{attempt}|{len(value)}|".encode()
-    if kind[:5] in ("given", "surna") and attempt < 8:
-        pool = SURNAMES[_script(value)] if kind == "surname" else GIVEN[kind[-1], _script(value)]
-        h = int.from_bytes(hashlib.blake2b(tweak + value.lower().encode(), key=key, digest_size=8).digest(), "big")
-        name = pool[h % len(pool)]
-        return name.upper() if value.isupper() and len(value) > 1 else name
     fields: list = [PLACE.get(c, (None, 0))[0] for c in value]
     valid = lambda v: True
     if kind == "email":
@@ -234,8 +312,8 @@ def exceptions(found: DataFrame, key: bytes) -> DataFrame:
         clash = keeper.join(real, ["space", "other"], "left").where("n > 1 or real")
         judged = drawn.join(clash, ["space", "other"], "left")
         again = F.coalesce(F.col("real"), F.lit(False)) | (F.col("n") > 1) & ~((F.col("k.kind") == F.col("kind")) & (F.col("k.value") == F.col("value")))
-        # a value that is alone in its format (or a fixed point) cannot move: it keeps its first surrogate after 64 attempts
-        nxt = materialize(judged.select("kind", "value", F.when(F.coalesce(again, F.lit(False)) & (F.col("attempt") < 64), F.col("attempt") + 1).otherwise(F.col("attempt")).alias("attempt"), (F.coalesce(again, F.lit(False)) & (F.col("attempt") < 64)).alias("moved")), "pii-state")
+        moved = F.coalesce(again, F.lit(False))
+        nxt = materialize(judged.select("kind", "value", (F.col("attempt") + moved.cast("int")).alias("attempt"), moved.alias("moved")), "pii-state")
         release(state)
         state = nxt.select("kind", "value", "attempt")
         state._scratch = nxt._scratch
@@ -243,15 +321,16 @@ def exceptions(found: DataFrame, key: bytes) -> DataFrame:
             return state
 
 
-def replace(docs: DataFrame, key: bytes = b"corpus-key", text: str = "text") -> DataFrame:
-    """The documents with surrogates in their text, and n_entities and entity_kinds."""
+def replace(docs: DataFrame, key: bytes | None = None, text: str = "text") -> DataFrame:
+    """The documents with surrogates in their text, and n_entities and entity_kinds; key is the caller's secret."""
+    key = secrets.token_bytes(32) if key is None else key
     found = materialize(entities(docs, text), "pii-entities")
     state = exceptions(found, key)
     odd = materialize(state.where("attempt > 0"), "pii-odd")
     release(found, state)
     few = odd.count()
     fixed: dict = {}
-    if few <= 20_000:  # checked bound of what is sent to the tasks
+    if few <= MOST_FIXED:  # checked bound of what is sent to the tasks
         fixed = {(r.kind, r.value): r.attempt for r in odd.collect()}
         source, extra = docs, []
     else:
@@ -295,6 +374,16 @@ def replace(docs: DataFrame, key: bytes = b"corpus-key", text: str = "text") ->
     return source.select(*names, *extra).mapInArrow(run, schema)
 
 
+#: Session setting that holds the secret key (text) of the query and of the pipeline.
+KEY_SETTING = "spark.lattica.surrogate.key"
+
+
+def session_key(spark) -> bytes | None:
+    """The session's secret key, hashed to the length that the permutation takes."""
+    own = spark.conf.get(KEY_SETTING, None)
+    return hashlib.blake2b(own.encode(), digest_size=32).digest() if own else None
+
+
 def op9_pii_surrogates(spark, sf_dir) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
-    return replace(docs).select("doc_id", "text", "n_entities", "entity_kinds", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
+    return replace(docs, session_key(spark)).select("doc_id", "text", "n_entities", "entity_kinds", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
