@@ -489,7 +489,7 @@ def test_toxicity_edges(spark):
 
 def test_pii(spark):
     texts = ["write to ann.b@mail.example.com or +1 (743) 555-3824 from 10.2.3.4", "ann.b@mail.example.com again, card 4111 1111 1111 1111", 'token = "f33e61083db5dbdf4bd2369d2f80176e57f7fda2"', "Dear Mr. John Smith, Smith wrote to Frau Anna Weber", *EDGE, "clean text with 42 apples in 2024 and v1.2.3"]
-    out = {r.doc_id: r for r in pii.replace(docs(spark, texts).withColumn("n_entities", common.F.lit(1))).collect()}
+    out = {r.doc_id: r for r in pii.replace(docs(spark, texts).withColumn("n_entities", common.F.lit(1)), b"secret").collect()}
     for i, t in enumerate(texts):
         if t:
             for a, z, _ in pii.detect(t):
@@ -529,6 +529,66 @@ def test_surrogates_are_distinct(spark):
     assert sorted(space) == list(range(1000))
 
 
+def test_email_finder_equals_pattern():
+    pattern = re.compile(r"[\w.+%-]+@(?:[\w-]+\.)+[^\W\d_]{2,24}(?!\w)")
+    rng = random.Random(1)
+    bits = ["a", "b1", "@", ".", "-", "com", "org", "x.y", "@m.ex.com", " ", "_", "+", "é", "c0", "9"]
+    for _ in range(20_000):
+        t = "".join(rng.choice(bits) for _ in range(rng.randint(3, 12)))
+        assert list(pii.emails(t)) == [m.span() for m in pattern.finditer(t)], t
+
+
+def test_personal_data_takes_linear_time():
+    import time
+
+    started = time.perf_counter()
+    for part in ("a", "a.", "a@", "a@b.", "+1 ", "1-", "Mr. Xu ", "1 ", "Ab-", "token="):
+        pii.detect(part * (400_000 // len(part)))
+    assert time.perf_counter() - started < 30
+
+
+def test_names_stay_gendered_under_collisions(spark):
+    # every listed name is a real value, so no listed name may be a surrogate
+    men, women = pii.GIVEN["m", "latin"], pii.GIVEN["f", "latin"]
+    russian = pii.GIVEN["f", "cyrillic"]
+    text = "\n".join([f"Mr. {n} Xu" for n in men] + [f"Frau {n} Xu" for n in women] + [f"госпожа {n} Иванова" for n in russian])
+    out = pii.replace(docs(spark, [text, text, text + " " * 300_000]), b"secret").collect()
+    new = [re.findall(r"(?:Mr\.|Frau|госпожа) (\S+)", r.text) for r in out]
+    assert new[0] == new[1] == new[2]  # one surrogate for a value everywhere
+    made = new[0]
+    assert len(set(made)) == len(men) + len(women) + len(russian) and not set(made) & {*men, *women, *russian}
+    for names, kind in ((made[: len(men)], ("m", "latin")), (made[len(men) : -len(russian)], ("f", "latin")), (made[-len(russian) :], ("f", "cyrillic"))):
+        for n in names:
+            stem = n.lower()
+            end = max((e for e in pii.ENDINGS[kind] if stem.endswith(e)), key=len)
+            assert re.fullmatch(f"(?:{'|'.join(pii.SYLLABLES[kind[1]])})+", stem[: -len(end)]), n
+
+
+def test_exceptions_by_document_equal_those_sent_to_tasks(spark, monkeypatch):
+    names = pii.GIVEN["m", "latin"]
+    texts = [f"Mr. {n} Xu wrote to {n.lower()}@m.example.com" for n in names] + ["clean", None, ""]
+    sent = sorted((r.doc_id, r.text) for r in pii.replace(docs(spark, texts), b"secret").collect())
+    monkeypatch.setattr(pii, "MOST_FIXED", 0)
+    joined = pii.replace(docs(spark, [*texts, texts[0]]), b"secret")
+    got = sorted((r.doc_id, r.text) for r in joined.collect())
+    assert got[:-1] == sent and got[-1][1] == got[0][1]
+
+
+def test_full_formats_grow():
+    values = [f"{a}@{b}.com" for a in range(10) for b in range(10)]
+    grown = [pii.surrogate("email", v, b"k", pii.MOST_DRAWS) for v in values]
+    assert len(set(grown)) == len(values) and not set(grown) & set(values)
+    for kind, v in (("ssn", "123-45-6789"), ("ipv4", "1.2.3.4"), ("card", "4111 1111 1111 1111"), ("phone", "+1 (743) 555-3824"), ("iban", "DE44500105175407324931"), ("secret", "ab" * 20), ("key", "sk-" + "a1" * 12)):
+        assert len(pii.surrogate(kind, v, b"k", pii.MOST_DRAWS + 2)) == len(v) + 3
+
+
+def test_pii_key(spark):
+    d = docs(spark, ["mail ann@mail.example.com"])
+    one = {pii.replace(d, k).first().text for k in (b"a", b"b", b"a")}
+    assert len(one) == 2
+    assert pii.replace(d).first().text != pii.replace(d).first().text  # a key of its own, kept nowhere
+
+
 # ------------------------------------------------------------------ 10 decontamination
 
 
