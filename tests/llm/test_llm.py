@@ -390,6 +390,70 @@ def test_media(spark):
     assert [(r.offset, r.media_type, bytes(r.content)) for r in cut] == [(4, "image/png", png()), (8 + len(png()), "image/gif", gif)]
 
 
+def flac(frames, announced=None):
+    def crc(data, bits, poly):
+        c = 0
+        for x in data:
+            c ^= x << (bits - 8)
+            for _ in range(8):
+                c = (c << 1 ^ poly if c >> (bits - 1) & 1 else c << 1) & ((1 << bits) - 1)
+        return c
+
+    total = 192 * (frames if announced is None else announced)
+    info = b"\x00\xc0\x00\xc0" + bytes(6) + (44100 << 12 | 7 << 4 | total >> 32).to_bytes(4, "big") + (total & 0xFFFFFFFF).to_bytes(4, "big") + bytes(16)
+    out = b"fLaC\x00" + (34).to_bytes(3, "big") + info + b"\x81" + (5).to_bytes(3, "big") + b"extra"
+    for i in range(frames):  # one constant sample value a block
+        head = bytes([0xFF, 0xF8, 0x19, 0x02, i])
+        body = head + bytes([crc(head, 8, 0x07), 0, 40 + i])
+        out += body + crc(body, 16, 0x8005).to_bytes(2, "big")
+    return out
+
+
+def test_media_lengths():
+    auto = media.automaton()
+    kind = lambda data: [(a, n, k) for a, n, k in media.found(auto, data)]
+    whole = flac(9)
+    assert kind(whole) == [(0, len(whole), "flac")]
+    assert kind(b"zz" + whole + b"tail" * 9) == [(2, len(whole), "flac")]
+    assert kind(whole[:-1]) == [] and kind(flac(3, 4)) == [] and kind(whole[:60] + b"\x00" + whole[61:]) == []
+    # a document that was saved twice ends at its last confirmed mark
+    body = b"%PDF-1.4\n1 0 obj\nx\nendobj\n"
+    once = body + b"xref\ntrailer\nstartxref\n%d\n%%%%EOF" % len(body)
+    twice = once + b"\nxref\ntrailer\nstartxref\n%d\n%%%%EOF" % (len(once) + 1)
+    assert kind(twice + b" %%EOF not confirmed") == [(0, len(twice), "pdf")]
+    assert kind(once + b"--" + once) == [(0, len(once), "pdf"), (len(once) + 2, len(once), "pdf")]
+
+
+def test_media_edges(spark):
+    none = spark.createDataFrame([], "id long, content binary, declared string")
+    assert media.sniff(none, "content", "declared").count() == 0 and media.carve(none, "id", "content").count() == 0
+    # names that clash with the added ones, strings, nulls in every column
+    rows = spark.createDataFrame([(1, "GIF89a", "x", "y"), (None, None, None, None), (2, "x" + media.to_wave(b"ab").decode("latin-1") * 0, "", "z")], "id long, content string, sniffed_type string, declared string")
+    out = media.sniff(rows, "content", "declared").collect()
+    assert sorted((r.id or 0, r.sniffed_type, r.type_corrected) for r in out) == [(0, "empty", False), (1, "unknown", True), (2, "unknown", True)]
+    assert media.carve(rows, "id", "content", "declared").count() == 0
+
+
+def test_media_query(spark, tmp_path):
+    rows = [(i, t) for i, t in enumerate([*EDGE, "word " * 300_000, *[f"text {i % 9}" for i in range(40)]])] + [(None, "no id"), (3, "one")]
+    spark.createDataFrame(rows, "doc_id long, text string").withColumn("media", common.F.lit(1)).write.parquet(f"{tmp_path}/documents.parquet")
+    got = media.op6_media_columns(spark, str(tmp_path)).collect()
+    want = []
+    for i, t in rows:
+        raw = (t or "").encode()
+        pay = raw + bytes(-len(raw) % 64 or (0 if raw else 64))
+        wave = media.to_wave(pay)
+        want.append((i, len(raw), len(pay), hashlib.sha256(pay).hexdigest(), zlib.crc32(pay[-64:]), len(wave), hashlib.sha256(wave).hexdigest(), "audio/wav"))
+    key = lambda r: str(r)
+    assert sorted(((r.doc_id, r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32, r.media_bytes, r.media_sha256, r.media_type) for r in got), key=key) == sorted(want, key=key)
+    # declared types vary by row; most are wrong, and each is judged
+    said = {r.feature.split("declared=")[1].split(";")[0] for r in got}
+    assert len(said) == len(media.DECLARED)
+    assert all(("declared=audio/wav" in r.feature) == ("corrected=False" in r.feature) for r in got)
+    spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/none/documents.parquet")
+    assert media.op6_media_columns(spark, f"{tmp_path}/none").count() == 0
+
+
 def test_media_texts_round_trip(spark):
     rows = {r.key: r for r in media.pack_texts(docs(spark, EDGE)).collect()}
     for i, t in enumerate(EDGE):
