@@ -131,16 +131,18 @@ def sketch(docs: DataFrame) -> DataFrame:
 
 
 def shingle_sets(texts: DataFrame) -> DataFrame:
-    """(node, shingles): the packed sorted distinct shingle hashes of rows (node, text)."""
+    """(node, shingles): the packed sorted distinct shingle hashes of rows (node, text), without texts of another node."""
 
     def run(batches):
         tools = PrefixHash()
         for whole in batches:
             for b in slices(whole, "text"):
-                doc, h, _ = weighted(*shingles(tools, b.column(1))[:2])
-                cut = np.searchsorted(doc, np.arange(b.num_rows + 1))
-                packed = [h[a:z].tobytes() for a, z in zip(cut[:-1], cut[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary())], names=["node", "shingles"])
+                doc, h, word, cut = shingles(tools, b.column(1))
+                doc, h, _ = weighted(doc, h)
+                edge = np.searchsorted(doc, np.arange(b.num_rows + 1))
+                own = [hashlib.blake2b(word[a:z].tobytes(), digest_size=16).digest() == n for a, z, n in zip(cut[:-1], cut[1:], b.column(0).to_pylist(), strict=True)]
+                packed = [h[a:z].tobytes() for a, z in zip(edge[:-1], edge[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary())], names=["node", "shingles"]).filter(pa.array(own, pa.bool_()))
 
     return texts.select("node", "text").mapInArrow(run, "node binary, shingles binary")
 
@@ -241,7 +243,7 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
     source = sketched.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id")).join(wanted, "node", "left_semi")
     texts = docs.select("doc_id", "text").where("doc_id is not null").join(source, "doc_id")
     # ids may repeat with other texts: the set of the right text is the one whose words give the node
-    sets = materialize(shingle_sets(sketch_text(texts)), "nd-sets")
+    sets = materialize(shingle_sets(texts), "nd-sets")
     comps, seen, last = None, [], False
     for r in range(rounds + 1):
         state = members.withColumn("comp", F.col("node")) if comps is None else members.join(comps, "node", "left").select("bucket", "node", "meets", F.coalesce("comp", "node").alias("comp"))
@@ -287,20 +289,6 @@ def joined_up(comps: DataFrame | None, links: DataFrame) -> DataFrame:
     return materialize(old.unionByName(fresh), "nd-comps")
 
 
-def sketch_text(texts: DataFrame) -> DataFrame:
-    """(node, text) of rows (doc_id, text, node) whose text has that node."""
-
-    def run(batches):
-        tools = PrefixHash()
-        for whole in batches:
-            for b in slices(whole, "text"):
-                _, _, word, cut = shingles(tools, b.column(0))
-                keep = [hashlib.blake2b(word[a:z].tobytes(), digest_size=16).digest() == n for a, z, n in zip(cut[:-1], cut[1:], b.column(1).to_pylist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([b.column(1), b.column(0)], names=["node", "text"]).filter(pa.array(keep, pa.bool_()))
-
-    return texts.select("text", "node").mapInArrow(run, "node binary, text string")
-
-
 def classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     """(doc_id, text_key, class_id, is_first) of every row of docs (doc_id, text)."""
     sketched = materialize(sketch(docs), "nd-sketch")
