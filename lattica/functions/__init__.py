@@ -59,3 +59,13 @@ def register_functions(spark: SparkSession) -> None:
         x = f"aggregate(array({x}), 0L, (z, t) -> pmod(t * t + {a} * t + {b}, {P}))"
     spark.sql(f"create or replace temporary function portable_hash(v bigint, u bigint, seed bigint) returns bigint return {x}")
     spark.sql("create or replace temporary function signed_weight(w bigint, vu bigint, vv bigint, num bigint, den bigint) returns bigint return den * w - num * vu * vv")
+
+
+def degree_class(degree, classes: int):
+    """Classes of fourfold degree from 0, the last open (a column)."""
+    return F.least(F.floor((F.length(F.bin(degree)) - 1) / 2), F.lit(classes - 1)).cast("int")
+
+
+def degree_class_np(degree, classes: int) -> np.ndarray:
+    bits = np.frexp(np.maximum(np.asarray(degree), 1).astype(float))[1]
+    return np.minimum((bits - 1) // 2, classes - 1)

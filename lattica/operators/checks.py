@@ -71,50 +71,59 @@ def violations_subset_small(g: WGraph, c: DataFrame, most: int = 8) -> DataFrame
     return rows.select("cid", F.col("mask").cast("long").alias("mask"), "other", (there - here).cast("long").alias("gain")).where("gain > 0")
 
 
-def certificate(small: kernel.Graph, record: list) -> list[tuple]:
-    """Failed merges of a refined run: (level, kind, score) for every step of every committed prefix.
+def recorded_merges(record: list):
+    """(level, cluster, joined vertex, score with the prefix, score of the prefix with the rest of its cluster) of a refined run.
 
-    record holds (graph, constraint, refined) of each level; a step joins the next vertex of
-    a sub-cluster in the order in which connectivity allows the best join.
+    record holds (graph, constraint, refined, order) of each level; every sub-cluster was joined in that order.
     """
-    bad = []
-    for level, (g, b, fine) in enumerate(record):
-        wb = kernel.totals(g, b)
-        inside = kernel.inside_weight(g, b)
-        near: dict[int, list] = {}
-        for s, d, w in zip(g.src.tolist(), g.dst.tolist(), g.w.tolist(), strict=True):
-            if fine[s] == fine[d]:
-                near.setdefault(s, []).append((d, w))
-        for rep in kernel.np.unique(fine):
-            members = kernel.np.flatnonzero(fine == rep).tolist()
-            if len(members) < 2:
+    np = kernel.np
+    for level, (g, b, fine, order) in enumerate(record):
+        wb, inside = kernel.totals(g, b), kernel.inside_weight(g, b)
+        place = np.empty(g.n, np.int64)
+        place[np.lexsort((np.arange(g.n), order))] = np.arange(g.n)
+        e = np.flatnonzero((fine[g.src] == fine[g.dst]) & (place[g.src] < place[g.dst]))
+        earlier = np.zeros(g.n, np.int64)
+        np.add.at(earlier, g.dst[e], g.w[e])
+        rows = np.lexsort((place, fine))
+        weight = cut = 0
+        for i, v in enumerate(rows.tolist()):
+            if i == 0 or fine[v] != fine[rows[i - 1]]:
+                weight, cut = int(g.vw[v]), int(inside[v])
                 continue
-            found = False
-            for first in members:  # some start must give a chain of valid joins
-                part, weight, cut, ok = {first}, int(g.vw[first]), int(inside[first]), True
-                while len(part) < len(members) and ok:
-                    ok = False
-                    for v in members:
-                        if v in part:
-                            continue
-                        k = sum(w for d, w in near.get(v, ()) if d in part)
-                        if g.den * k - g.num * int(g.vw[v]) * weight >= 0 and g.den * cut - g.num * weight * (int(wb[b[v]]) - weight) >= 0:
-                            part.add(v)
-                            cut += int(inside[v]) - 2 * k
-                            weight += int(g.vw[v])
-                            ok = True
-                            break
-                if ok:
-                    found = True
-                    break
-            if not found:
-                bad.append((level, "merge", int(rep)))
+            joined = g.den * int(earlier[v]) - g.num * int(g.vw[v]) * weight
+            yield level, int(fine[v]), v, joined, g.den * cut - g.num * weight * (int(wb[b[v]]) - weight)
+            weight += int(g.vw[v])
+            cut += int(inside[v]) - 2 * int(earlier[v])
+
+
+def certificate_connectivity(record: list) -> list[tuple]:
+    """Recorded merges of two parts that lose by meeting: none where every cluster has a tree of harmless merges."""
+    return [(level, "merge", c, v) for level, c, v, joined, _ in recorded_merges(record) if joined < 0]
+
+
+def certificate_density(record: list) -> list[tuple]:
+    """Tree nodes (prefixes, and the single vertices that join them) that would rather leave their cluster."""
+    bad = [(level, "prefix", c, v) for level, c, v, _, rest in recorded_merges(record) if rest < 0]
+    for level, (g, b, fine, _) in enumerate(record):
+        wb, inside = kernel.totals(g, b), kernel.inside_weight(g, b)
+        alone = g.den * inside - g.num * g.vw * (wb[b] - g.vw) < 0
+        size = kernel.np.bincount(fine, minlength=g.n)
+        bad += [(level, "vertex", int(fine[v]), int(v)) for v in kernel.np.flatnonzero(alone & (size[fine] > 1))]
     return bad
 
 
-def constraint_floor(small: kernel.Graph, b) -> tuple[int, int]:
-    """(objective of a sequential constrained way down, objective of the constraint): the first is never below in stable runs."""
-    from .options import Options
+def certificate(small: kernel.Graph, record: list) -> list[tuple]:
+    """All that a refined run recorded against the second and the third property."""
+    return certificate_connectivity(record) + certificate_density(record)
+
+
+def merge_scores(g: WGraph, b: DataFrame, rows: DataFrame, fine: DataFrame) -> DataFrame:
+    """(id, cid, joined, rest): both scores of every recorded merge on DataFrames; rows are refine.prefixes, fine what was committed."""
+    size = fine.groupBy("cid").agg(F.count("*").alias("size"))
+    merges = fine.join(size.where("size > 1"), "cid").join(rows.where("pos > 1").select("id", "joined", "rest"), "id")
+    return merges.select("id", "cid", F.col("joined").cast("long").alias("joined"), F.col("rest").cast("long").alias("rest"))
 
-    c = kernel.two_way(small, Options(uncoarsen=False), constraint=b)
-    return kernel.objective(small, c), kernel.objective(small, b)
+
+def constraint_floor(small: kernel.Graph, b) -> tuple[int, int]:
+    """(objective of the sequential way down inside constraint b, objective of b): the first is never below the second."""
+    return kernel.objective(small, kernel.sequential_way_down(small, b)), kernel.objective(small, b)

@@ -11,7 +11,7 @@ from fractions import Fraction
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import portable_hash, ranks_before, signed_weight
+from ..functions import degree_class, portable_hash, ranks_before, signed_weight
 from ..sources import drop, settle
 from .graph import WGraph
 from .options import Options
@@ -47,6 +47,18 @@ def affinity_salted(edges: DataFrame, state: DataFrame, salt: int = 16) -> DataF
     return part.groupBy("id", "cid").agg(F.sum("k").alias("k"))
 
 
+def affinity_by_degree(edges: DataFrame, state: DataFrame, hubs: DataFrame, salt: int = 16) -> DataFrame:
+    """The same by degree bucket: vertices of hubs (id) in two stages, all others in one."""
+    own = hubs.withColumnRenamed("id", "dst")
+    few = edges.join(own, "dst", "left_semi").select("src", "dst", "w")
+    return affinity(edges.join(own, "dst", "left_anti").select("src", "dst", "w"), state).unionByName(affinity_salted(few, state, salt))
+
+
+def hub_vertices(edges: DataFrame, least: int) -> DataFrame:
+    """(id) of the vertices of at least this degree; there are at most 2m / least."""
+    return settle(edges.groupBy(F.col("dst").alias("id")).agg(F.count("*").alias("d")).where(F.col("d") >= least).select("id"), "hubs")
+
+
 def affinity_from_edges(edges: DataFrame) -> DataFrame:
     """The table of the all-singleton clustering: the edges themselves."""
     return edges.select(F.col("src").alias("id"), F.col("dst").alias("cid"), F.col("w").alias("k"))
@@ -60,11 +72,11 @@ def patched(aff: DataFrame, edges: DataFrame, before: DataFrame, after: DataFram
     return aff.unionByName(delta).groupBy("id", "cid").agg(F.sum("k").alias("k")).where("k <> 0")
 
 
-def recomputed(aff: DataFrame, edges: DataFrame, before: DataFrame, after: DataFrame) -> DataFrame:
+def recomputed(aff: DataFrame, edges: DataFrame, before: DataFrame, after: DataFrame, enumerate_=affinity) -> DataFrame:
     """The table after moves, with the rows of all vertices beside a mover built anew."""
     changed = before.select("id", F.col("cid").alias("old")).join(after.select("id", F.col("cid").alias("new")), "id").where("old <> new").select(F.col("id").alias("src"))
     touched = edges.join(changed, "src", "left_semi").select(F.col("dst").alias("id")).distinct()
-    anew = affinity(edges.join(touched.withColumnRenamed("id", "dst"), "dst", "left_semi"), after)
+    anew = enumerate_(edges.join(touched.withColumnRenamed("id", "dst"), "dst", "left_semi"), after)
     return aff.join(touched, "id", "left_anti").unionByName(anew)
 
 
@@ -126,89 +138,121 @@ def applied(g: WGraph, state: DataFrame, moves: DataFrame) -> DataFrame:
     return state_of(g, c)
 
 
-def coloured(edges: DataFrame) -> DataFrame:
-    """(id, colour): neighbours differ. Rounds of hashed local minima among the uncoloured."""
-    left = settle(edges.select(F.col("src").alias("id")).distinct().withColumn("rank", F.struct(portable_hash("id", F.lit(0).cast("long"), 3).alias("h"), "id")), "colour")
+def coloured(edges: DataFrame, distance: int = 1) -> DataFrame:
+    """(id, colour): vertices within the distance differ. Rounds of hashed local minima among the uncoloured.
+
+    The smallest free rank is passed on to neighbours once for each step of the distance, so that
+    no pairs at distance two are formed.
+    """
+    every = edges.select(F.col("src").alias("id")).distinct()
+    left = settle(every.withColumn("rank", F.struct(portable_hash("id", F.lit(0).cast("long"), 3).alias("h"), "id")), "colour")
     done, k = None, 0
     while not left.isEmpty():
-        near = edges.join(left.select(F.col("id").alias("src")), "src").join(left.select(F.col("id").alias("dst"), F.col("rank").alias("r")), "dst").groupBy("src").agg(F.min("r").alias("low"))
-        pick = left.join(near, left.id == near.src, "left").where(F.col("low").isNull() | (F.col("rank") < F.col("low"))).select("id", F.lit(k).alias("colour"))
-        pick = settle(pick, "colour")
-        left = settle(left.join(pick, "id", "left_anti"), "colour")
+        low = left.select("id", F.col("rank").alias("r"))
+        for _ in range(distance):  # of the vertex itself and its neighbours
+            near = edges.join(low.withColumnRenamed("id", "src"), "src").select(F.col("dst").alias("id"), "r")
+            low = near.unionByName(low).groupBy("id").agg(F.min("r").alias("r"))
+        pick = settle(left.join(low, "id").where("rank = r").select("id", F.lit(k).alias("colour")), "colour")
+        rest = settle(left.join(pick, "id", "left_anti"), "colour")
+        drop(left)
+        left = rest
         done = pick if done is None else done.unionByName(pick)
         k += 1
     return done if done is not None else left.select("id", F.lit(0).alias("colour"))
 
 
 def batches_of(g: WGraph, o: Options) -> tuple[DataFrame, int]:
-    """(id, batch) under the chosen batching, and the number of batches."""
-    if o.batching == "color1":
-        c = coloured(g.edges).select("id", F.col("colour").alias("batch"))
-    elif o.batching == "degree":  # doubling degree classes, the last open
+    """(id, batch) under the batching in effect, and the number of batches."""
+    how = o.batching_in_effect()
+    if how in ("color1", "color2"):
+        c = coloured(g.edges, 2 if how == "color2" else 1).select("id", F.col("colour").alias("batch"))
+    elif how == "degree":
         d = g.edges.groupBy(F.col("src").alias("id")).agg(F.count("*").alias("d"))
-        c = d.select("id", F.least(F.floor(F.log2("d") / 2), F.lit(o.batches - 1)).cast("int").alias("batch"))
-    elif o.batching == "partition":
-        c = g.vertices.select("id", F.pmod(portable_hash("id", F.lit(0).cast("long"), o.seed), F.lit(o.batches)).cast("int").alias("batch"))
+        c = d.select("id", degree_class("d", o.batches).alias("batch"))
     else:
-        raise ValueError(f"batching {o.batching} runs in the kernel only")
+        c = g.vertices.select("id", F.pmod(portable_hash("id", F.lit(0).cast("long"), o.seed), F.lit(o.batches)).cast("int").alias("batch"))
     c = settle(c, "batch")
     return c, int(c.agg(F.max("batch")).first()[0] or 0) + 1
 
 
 def local_move(g: WGraph, state: DataFrame, o: Options, single: bool = False, constrained: bool = False, log: list | None = None, level: int = 0, phase: str = "down"):
-    """(state, scaled objective, start objective): passes of simultaneous moves; the best state seen is returned.
+    """(state, scaled objective, start objective): passes of simultaneous moves; the best state seen between passes is returned.
 
     kernel "split" writes the connection table and patches it while few vertices change
-    (rebuilding touched rows otherwise); "fused" plans it anew inside each pass.
+    (rebuilding touched rows otherwise); "fused" plans it anew inside each pass. With salt_degree
+    the rows of hubs are summed in two stages.
     """
     edges = settle(inner_edges(g, state), "inner") if constrained else g.edges
+    hubs = None if o.salt_degree is None else hub_vertices(g.edges, o.salt_degree)
+    enumerate_ = affinity if hubs is None else lambda e, x: affinity_by_degree(e, x, hubs, o.salt)
     state = settle(state, "state")
-    aff = affinity_from_edges(edges) if single else affinity(edges, state)
+    aff = affinity_from_edges(edges) if single else enumerate_(edges, state)
     if o.kernel == "split" and not single:
         aff = settle(aff, "aff")
-    best = start = None
-    best_value, stuck = None, None
-    n = active = None
-    batch, count_of = batches_of(g, o) if o.symmetry in ("batch", "async_batches") else (None, 1)
-    turns = [(i, phi, k) for i, phi in enumerate(o.phi) for k in range(count_of)]
-    for i, phi, k in [*turns, (len(o.phi), None, 0)]:
+    batch, groups = batches_of(g, o) if o.batching_in_effect() else (None, 1)
+    n = state.count()
+    best = start = best_value = active = stuck = last = None
+    for i, phi in [*enumerate(o.phi), (len(o.phi), None)]:
         if phi is not None and stuck == phi:
             continue
-        dest = settle(destinations(g, state, aff), "dest")
-        value = scaled_objective(g, dest)
-        if start is None:
-            start, n = value, state.count()
-        if best_value is None or value > best_value:
-            best, best_value = state, value
+        if phi != last:  # another temperature opens every vertex
+            drop(*[active] if active is not None else [])
+            active, last = None, phi
+        movers: list[DataFrame] = []
+        total = 0
+        for k in range(groups):
+            dest = settle(destinations(g, state, aff), "dest")
+            if k == 0:  # the state between two passes
+                value = scaled_objective(g, dest)
+                start = value if start is None else start
+                if best_value is None or value > best_value:
+                    if best is not None and best is not state:
+                        drop(best)
+                    best, best_value = state, value
+                if phi is None:
+                    break
+            moves = candidates(g, dest, phi)
+            if batch is not None:
+                moves = moves.join(batch.where(F.col("batch") == k).select("id"), "id", "left_semi")
+            if active is not None:
+                moves = moves.join(active, "id", "left_semi")
+            if o.symmetry == "replay":
+                moves = settle(moves, "moves")
+                kept = replay_filter(g, edges, moves, o.eps)
+            elif o.symmetry == "min_label" and o.mlh_active(i):
+                kept = min_label_filter(moves, state)
+            else:
+                kept = moves if o.symmetry == "none" else moves.where("gain > 0")
+            kept = settle(kept.select("id", "c_new"), "kept")
+            count = kept.count()
+            drop(dest, moves)
+            if not count:
+                drop(kept)
+                continue
+            total += count
+            movers.append(kept)
+            new = settle(applied(g, state, kept), "state")
+            few = count <= o.patch_threshold * n
+            if o.kernel == "fused" or (o.kernel == "fused_large_moves" and not few):
+                nxt = enumerate_(edges, new)
+            else:
+                nxt = settle(patched(aff, edges, state, new) if few else recomputed(aff, edges, state, new, enumerate_), "aff")
+            drop(aff, *([state] if state is not best else []))
+            state, aff = new, nxt
         if phi is None:
             break
-        moves = candidates(g, dest, phi)
-        if batch is not None:
-            moves = moves.join(batch.where(F.col("batch") == k).select("id"), "id", "left_semi")
-        if o.prune and active is not None:
-            moves = moves.join(active, "id", "left_semi")
-        if o.symmetry == "replay":
-            moves = replay_filter(g, edges, settle(moves, "moves"), o.eps)
-        elif o.symmetry == "min_label" and (i % 2 == 0) == (o.mlh_passes == "odd"):
-            moves = min_label_filter(moves, state)
-        elif o.symmetry != "none":
-            moves = moves.where("gain > 0")
-        moves = settle(moves.select("id", "c_new"), "kept")
-        count = moves.count()
         if log is not None:
-            log.append((level, phase, i, count, value))
-        if not count:
-            stuck = phi if batch is None else None
-            continue
-        stuck = None
-        if o.prune:  # movers and their neighbours
-            gone = moves.select(F.col("id").alias("src"))
-            active = settle(g.edges.join(gone, "src", "left_semi").select(F.col("dst").alias("id")).unionByName(gone.select(F.col("src").alias("id"))).distinct(), "active")
-        new = settle(applied(g, state, moves), "state")
-        if o.kernel == "fused" or (o.kernel == "fused_large_moves" and count > o.patch_threshold * n):
-            nxt = affinity(edges, new)
-        else:
-            nxt = settle((patched if count <= o.patch_threshold * n else recomputed)(aff, edges, state, new), "aff")
-        drop(dest, moves, *([aff] if nxt is not aff else []), *([state] if state is not best else []))
-        state, aff = new, nxt
+            log.append((level, phase, i, total, value))
+        stuck = None if total else phi
+        if o.prune:  # movers and their neighbours, from the next pass on
+            gone = None
+            for m in movers:
+                gone = m.select("id") if gone is None else gone.unionByName(m.select("id"))
+            gone = state.select("id").limit(0) if gone is None else gone
+            near = g.edges.join(gone.withColumnRenamed("id", "src"), "src", "left_semi").select(F.col("dst").alias("id"))
+            fresh = settle(near.unionByName(gone).distinct(), "active")
+            drop(*[active] if active is not None else [])
+            active = fresh
+        drop(*movers)
+    drop(dest, *([aff] if aff is not None else []), *([state] if state is not best else []), *([batch] if batch is not None else []), *([hubs] if hubs is not None else []), *([edges] if constrained else []))
     return best, best_value, start

@@ -15,12 +15,14 @@ class Options:
     phi: tuple = DEFAULT_PHI
     eps: tuple = (1, 10)
     symmetry: str = "replay"  # replay, none, min_label, batch, async_batches
-    mlh_passes: str = "odd"
+    mlh_passes: str | int = "odd"  # odd, even, or n for every n-th pass
     batching: str = "degree"  # degree, color1, color2, partition
     batches: int = 4
     prune: bool = False
     kernel: str = "split"  # split, fused, fused_large_moves
     patch_threshold: float = 0.05
+    salt_degree: int | None = None  # vertices of this degree and more are summed in two stages
+    salt: int = 16
     gather: bool = False
     uncoarsen: bool = True
     move_at_top: bool = False
@@ -35,6 +37,16 @@ class Options:
     def but(self, **changes) -> Options:
         return replace(self, **changes)
 
+    def mlh_active(self, i: int) -> bool:
+        """Whether the minimum-label rule holds in pass i (from 0)."""
+        if isinstance(self.mlh_passes, int):
+            return i % self.mlh_passes == self.mlh_passes - 1
+        return i % 2 == (self.mlh_passes == "even")
+
+    def batching_in_effect(self) -> str | None:
+        """How a pass is cut into batches; asynchronous updates are emulated by hashed ones. None: all at once."""
+        return {"batch": self.batching, "async_batches": "partition"}.get(self.symmetry)
+
 
 ZERO_PHI = (Fraction(0),) * 6
 ABLATIONS = {

@@ -72,7 +72,7 @@ def pointer_jump(forest: DataFrame) -> DataFrame:
 
 
 def prefixes(g: WGraph, forest: DataFrame, elig: DataFrame) -> DataFrame:
-    """(id, root, pos, ok, good): the two running checks of every vertex at its place in its sorted tree."""
+    """(id, root, f, pos, ok, joined, rest, good): the two running checks of every vertex at its place in its sorted tree, and their scores."""
     ends = [forest.select(F.col("id").alias(k), F.col("root").alias(f"r_{k}"), F.col("f").alias(f"f_{k}")) for k in ("src", "dst")]
     inner = g.edges.join(ends[0], "src").join(ends[1], "dst").where("r_src = r_dst")
     later = (F.col("f_src") < F.col("f_dst")) | ((F.col("f_src") == F.col("f_dst")) & (F.col("src") < F.col("dst")))
@@ -81,9 +81,10 @@ def prefixes(g: WGraph, forest: DataFrame, elig: DataFrame) -> DataFrame:
     order = W.partitionBy("root").orderBy("f", "id")
     past = order.rowsBetween(W.unboundedPreceding, -1)
     rows = rows.withColumns({"pos": F.row_number().over(order), "weight": F.coalesce(F.sum("vw").over(past), _zero()), "cut": F.coalesce(F.sum(F.col("inside") - 2 * F.col("earlier")).over(past), _zero())})
-    joins = g.long(F.col("earlier")) * g.den - g.long(F.col("vw")) * g.num * F.col("weight") >= 0
-    whole = g.long(F.col("cut")) * g.den - g.long(F.col("weight")) * g.num * (F.col("wb") - F.col("weight")) >= 0
-    return rows.select("id", "root", "f", "pos", "ok", ((F.col("pos") == 1) | (joins & whole)).alias("good"))
+    joined = g.long(F.col("earlier")) * g.den - g.long(F.col("vw")) * g.num * F.col("weight")
+    rest = g.long(F.col("cut")) * g.den - g.long(F.col("weight")) * g.num * (F.col("wb") - F.col("weight"))
+    rows = rows.select("id", "root", "f", "pos", "ok", joined.alias("joined"), rest.alias("rest"))
+    return rows.withColumn("good", (F.col("pos") == 1) | (F.col("joined") >= 0) & (F.col("rest") >= 0))
 
 
 def committed(rows: DataFrame, racy: bool = False) -> DataFrame:

@@ -52,14 +52,28 @@ def write_levels(levels: DataFrame, path: str) -> None:
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or "/tmp/checkpoints/lattica"
+    """A fresh folder in the shared checkpoint folder; only a session on one machine may do without that setting."""
+    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
+    if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+        base = "/tmp/checkpoints/lattica"
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
+#: Runtime setting under which Spark drops an execution's shuffle files when it has ended.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def settle(df: DataFrame, name: str = "step") -> DataFrame:
-    """Write df to shared scratch space and read it back: lineage ends, sizes are known to the planner."""
-    path = scratch(df.sparkSession, name)
-    df.write.parquet(path)
+    """Write df to shared scratch space and read it back: lineage ends, sizes are known to the planner, shuffle files go."""
+    spark = df.sparkSession
+    path, before = scratch(spark, name), spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._scratch = path
     return out

@@ -203,8 +203,69 @@ def test_iteration_schemes():
     for scheme in ("constrained", "seeded", "refined", "refined_up"):
         rounds = kernel.iterate(g, Options(), 3, scheme)
         assert kernel.objective(g, rounds[-1]) >= kernel.objective(g, np.arange(g.n))
-    a, b = checks.constraint_floor(g, kernel.sequential(g))
-    assert a >= b - abs(b) // 10
+
+
+@pytest.mark.parametrize("seed", range(12))
+def test_sequential_way_down_is_as_good_as_its_constraint(seed):
+    pairs, w = random_graph(40, seed, 0.12)
+    g = small(pairs, w=w)
+    rng = np.random.default_rng(seed)
+    for b in (kernel.sequential(g), kernel.canonical(rng.integers(0, 6, g.n)), np.zeros(g.n, int), np.arange(g.n)):
+        inside, floor = checks.constraint_floor(g, b)
+        assert inside >= floor
+        c = kernel.sequential_way_down(g, b)
+        assert all(len(set(b[c == x])) == 1 for x in np.unique(c))
+
+
+@pytest.mark.parametrize("symmetry, batching, prune", [("replay", "degree", True), ("none", "degree", False), ("min_label", "degree", False), ("async_batches", "degree", True), ("batch", "degree", True), ("batch", "color1", False), ("batch", "color2", True), ("batch", "partition", False)])
+def test_frames_equal_kernel_under_every_option(spark, symmetry, batching, prune):
+    pairs = [(i, (i + 1) % 14) for i in range(14)] + [(0, 5), (3, 9), (20, 21), (21, 22), (20, 22), (22, 0)]
+    g = frames(spark, pairs)
+    o = Options(phi=(Fraction(1, 4),) * 2, symmetry=symmetry, batching=batching, batches=2, prune=prune, mlh_passes=2 if prune else "odd")
+    got = as_dict(moves.local_move(g, moves.singleton_state(g), o, True)[0])
+    small_ = engine.local(g)
+    want = kernel.local_move(small_, np.arange(small_.n), o)
+    assert [got[int(i)] for i in small_.ids] == small_.ids[want].tolist()
+
+
+@pytest.mark.parametrize("kind", ["split", "fused", "fused_large_moves"])
+def test_ways_to_keep_the_table_agree(kind, monkeypatch):
+    pairs, w = random_graph(60, 3, 0.12)
+    g = small(pairs, w=w)
+    used = set()
+    for name in ("patched", "recomputed", "affinity"):
+        plain = getattr(kernel, name)
+        monkeypatch.setattr(kernel, name, lambda *a, plain=plain, name=name, **k: used.add(name) or plain(*a, **k))
+    for threshold in (0.0, 0.1, 1.0):
+        o = Options(kernel=kind, patch_threshold=threshold)
+        assert (kernel.two_way(g, o) == kernel.two_way(g, Options())).all()
+        b = kernel.canonical(np.arange(g.n) % 4)
+        assert (kernel.two_way(g, o, b) == kernel.two_way(g, Options(), b)).all()
+    assert {"split": {"patched", "recomputed"}, "fused": {"affinity"}, "fused_large_moves": {"patched", "affinity"}}[kind] <= used
+
+
+def test_hubs_in_two_stages(spark):
+    star = [(0, i) for i in range(1, 40)] + [(i, i + 1) for i in range(1, 39)]
+    g = frames(spark, star)
+    o = Options(phi=(Fraction(1, 4),) * 2)
+    plain = as_dict(moves.local_move(g, moves.singleton_state(g), o, True)[0])
+    assert as_dict(moves.local_move(g, moves.singleton_state(g), o.but(salt_degree=10, salt=4), True)[0]) == plain
+    assert [r.id for r in moves.hub_vertices(g.edges, 10).collect()] == [0]
+
+
+def test_certificates_on_frames_equal_kernel(spark):
+    pairs, _ = random_graph(30, 6, 0.2)
+    g = frames(spark, pairs)
+    b = spark.createDataFrame([(i, i - i % 10) for i in range(30)], "id long, cid long")
+    elig = refine.eligible(g, b)
+    forest = refine.pointer_jump(refine.oriented(refine.chosen_edges(g, elig, 4), 4))
+    rows = refine.prefixes(g, forest, elig)
+    fine = refine.committed(rows)
+    got = sorted((r.cid, r.id, r.joined, r.rest) for r in checks.merge_scores(g, b, rows, fine).collect())
+    small_ = engine.local(g)
+    c, order = kernel.refined_with_order(small_, kernel.canonical(np.arange(30) // 10), 4)
+    want = sorted((cid, v, joined, rest) for _, cid, v, joined, rest in checks.recorded_merges([(small_, kernel.canonical(np.arange(30) // 10), c, order)]))
+    assert got == want and got and all(r[2] >= 0 and r[3] >= 0 for r in got)
 
 
 def test_colouring_is_proper():
