@@ -25,7 +25,7 @@ PAIRS = {
     "user_trans": "select * from (select user_id as a, lead(user_id) over (order by ts, event_id) as b from events) where b is not null and a <> b",
     "page_nav": "select page_id * 4 as a, (dense_rank() over (order by encode(name)) - 1) * 4 + 1 as b from (select distinct page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) as name from pages)",
     "page_host": "select page_id * 4 as a, (dense_rank() over (order by encode(regexp_extract(url, '^[a-z]+://([^/]+)', 1))) - 1) * 4 + 1 as b from pages",
-    "doc_line": "with l as (select distinct doc_id, unnest(string_split(text, chr(10))) as line from documents), k as (select line from l where line <> '' group by line having count(*) between 2 and 200) select x.doc_id as a, y.doc_id as b from l x join k using (line) join l y using (line) where x.doc_id < y.doc_id",
+    "doc_line": "with l as (select distinct doc_id, unnest(string_split(text, chr(10))) as line from documents), f as (select line, min(doc_id) as first from l where line <> '' group by line) select l.doc_id as a, f.first as b from l join f using (line)",
     "embed_knn": "with v as (select vec_id, list_transform(embedding, lambda x: x::double) as e from embeddings where embedding is not null), s as (select x.vec_id as a, y.vec_id as b, round(list_cosine_similarity(x.e, y.e), 12) as c from v x join v y on x.vec_id <> y.vec_id) select a, b from s qualify row_number() over (partition by a order by c desc, b) <= 10",
 }
 
@@ -102,5 +102,36 @@ def passes(view: str, schedule) -> str:
     return f"with {', '.join(parts)}, score as ({score}), best as (select i from score order by v desc, i limit 1) select id, cid from ({every}) join best using (i)"
 
 
+def batch_passes(view: str, phi, n: int, batch: str, batches: int, replayed: bool = False, prune: bool = False) -> str:
+    """n passes at one temperature, each in batches (an expression over verts); with prune only beside the movers of the pass before."""
+    a, b = phi
+    parts = [base(view), clusters("id", "c0_0"), f"bt as materialized (select id, {batch} as batch from verts)"]
+    for i in range(n):
+        movers = []
+        for k in range(batches):
+            p, c = f"p{i}_{k}", f"c{i}_{k}"
+            nxt = f"c{i}_{k + 1}" if k + 1 < batches else f"c{i + 1}_0"
+            open_ = f" and id in (select id from act{i})" if prune and i else ""
+            parts.append(choose(p, c))
+            parts.append(f"{p}m as materialized (select id, cid as c_old, c_new, (s_new - s_own)::bigint as gain, vw from {p}d where s_new is not null and {b} * s_new >= {b - a} * s_own and id in (select id from bt where batch = {k}){open_})")
+            parts.append(replay(p) if replayed else f"{p}f as materialized (select * from {p}m where gain > 0)")
+            parts.append(applied(p, c, nxt, f"{p}f"))
+            movers.append(f"select id from {p}f")
+        if prune:
+            gone = " union ".join(movers)
+            parts.append(f"mv{i} as materialized ({gone}), act{i + 1} as materialized (select id from mv{i} union select e.dst from edges e join mv{i} m on m.id = e.src)")
+    parts.append(choose(f"p{n}_0", f"c{n}_0"))
+    score = " union all ".join(f"select {i} as i, {objective(f'p{i}_0')} as v" for i in range(n + 1))
+    every = " union all ".join(f"select {i} as i, id, cid from c{i}_0" for i in range(n + 1))
+    return f"with {', '.join(parts)}, score as ({score}), best as (select i from score order by v desc, i limit 1) select id, cid from ({every}) join best using (i)"
+
+
+#: Every proper subset of the clusters of 2 to 6 members: mem has a row for each member and subset, wts the weights.
+SUBSETS = """m as (select c.cid, c.id, v.vw, row_number() over (partition by c.cid order by c.id) - 1 as i, count(*) over (partition by c.cid) as n from c join verts v using (id)),
+masks as (select cid, unnest(range(1, (1 << n) - 1)) as mask from (select distinct cid, n from m where n between 2 and 6)),
+mem as materialized (select cid, mask, id, vw, (mask >> i) & 1 as x from masks join m using (cid)),
+wts as (select cid, mask, sum(case when x = 1 then vw else 0 end) as wx, sum(vw) as w from mem group by cid, mask)"""
+
+
 def step(view: str, select: str, *ctes: str) -> str:
     return f"with {', '.join([base(view), *ctes])} {select}"

@@ -222,14 +222,14 @@ def _run(view, method, **more):
 
 
 def multilevel_on_frames(s, d):
-    """The two-way engine with level 0 on DataFrames (two passes)."""
+    """The two-way engine with level 0 on DataFrames, all passes down and up."""
     g = _g(s, d)
-    return engine.two_way(g, Options(phi=(PHI75, PHI25), kernel_limit=max(0, g.stored - 1))).clusters
+    return engine.two_way(g, Options(kernel_limit=max(0, g.stored - 1))).clusters
 
 
 def refined_on_frames(s, d):
     g = _g(s, d)
-    return engine.refined(g, Options(phi=(PHI75, PHI25), uncoarsen=False, kernel_limit=max(0, g.stored - 1))).clusters
+    return engine.refined(g, Options(uncoarsen=False, kernel_limit=max(0, g.stored - 1))).clusters
 
 
 def _elig(g):
@@ -269,19 +269,23 @@ def refine_prefixes(s, d):
 
 
 def _strict(method):
+    """The strict move over every mover; pairs up to the bound of the engine, prefix sums above."""
+
     def run(s, d):
         g = _g(s, d)
-        m = settle(refine.movers(g, _state(g, 100), 60), "movers")
-        return (refine.strict_pairs if method == "pairs" else refine.strict_prefix)(g, m).select("id", "pos", "new", F.col("run").cast("long").alias("run"))
+        m = settle(refine.movers(g, _state(g, 100)), "movers")
+        few = method == "pairs" and m.count() <= Options().cap
+        return (refine.strict_pairs if few else refine.strict_prefix)(g, m).select("id", "pos", "new", F.col("run").cast("long").alias("run"))
 
     return run
 
 
-def strict_move_all(s, d):
-    """The strict move over every mover (the SQL of strict_move_pairs and strict_move_prefix takes the first 60)."""
-    g = _g(s, d)
-    m = settle(refine.movers(g, _state(g, 100)), "movers")
-    return refine.strict_prefix(g, m).select("id", "pos", "new", F.col("run").cast("long").alias("run"))
+def refine_merge_scores(s, d):
+    """Both scores of every recorded merge: none is negative where the second and third property hold."""
+    g = _g(s, d, "lattice8")
+    elig, choice = _choice(g)
+    rows = settle(refine.prefixes(g, refine.pointer_jump(refine.oriented(choice, 1)), elig), "prefixes")
+    return checks.merge_scores(g, _blocks(g), rows, settle(refine.committed(rows), "fine"))
 
 
 def separation_violations(s, d):
@@ -299,8 +303,11 @@ def _fives(g):
 
 
 def uniform_density_small(s, d):
+    """Clusters of five neighbours, of three and of two that are none, at every size of the table."""
     g = _g(s, d)
-    return checks.violations_uniform_small(g, g.vertices.select("id", F.pmod("id", F.lit(400)).alias("cid")), 6)
+    rest = F.pmod("id", F.lit(10))
+    part = F.when(rest < 5, 0).otherwise(5 + F.pmod("id", F.lit(2)))
+    return checks.violations_uniform_small(g, g.vertices.select("id", (F.col("id") - rest + part).alias("cid")), 6)
 
 
 def subset_optimality_small(s, d):
@@ -313,7 +320,7 @@ def disconnected_pieces(s, d):
     return checks.disconnected_clusters(g, g.vertices.select("id", F.pmod("id", F.lit(50)).alias("cid")))
 
 
-def _rounds(view, scheme, n=3):
+def _rounds(view, scheme, n=11):
     def run(s, d):
         g = _g(s, d, view)
         out = None
@@ -332,39 +339,111 @@ def recombination(s, d):
     return engine.recombine(g, a, b).clusters
 
 
-#: Views whose runs fit the one-task kernel at every given scale factor below 0.1.
-REPORT_VIEWS = ("lattice2d", "cust_part", "page_nav", "ring_cliques")
+#: Stand-ins for the ten groups of graphs of the experiments.
+STAND_INS = ("lattice2d", "part_cooc", "order_chain", "lattice8", "order_part", "geo_tree", "status_hub", "part_supp", "cust_part", "page_nav")
+#: Views of several components, of which the largest is clustered.
+SPLIT = ("geo_tree", "page_nav", "doc_line", "page_host")
+#: Stored edges up to which a graph is run in one task; larger ones get the status too_large.
+TASK_EDGES = 1 << 19
+
+
+def _prepared(spark, d, view):
+    edges = _edges(spark, d, view)
+    return settle(graph.largest_component(edges), view) if view in SPLIT else edges
 
 
-def run_table(spark, d, views=REPORT_VIEWS, variants=None):
-    """(graph, variant, q, seconds, contract_seconds, status): the ablation runs, one task for each graph and variant."""
+def _jobs(spark, d, views, jobs):
+    """(graphs that fit a task, joined with the jobs (rows of names); graphs that do not)."""
+    frames, large = None, []
+    for v in views:
+        e = _prepared(spark, d, v)
+        if e.count() > TASK_EDGES:
+            large.append(v)
+            continue
+        e = e.select(F.lit(v).alias("graph"), "src", "dst", "w")
+        frames = e if frames is None else frames.unionByName(e)
+    if frames is None:
+        frames = spark.createDataFrame([], "graph string, src long, dst long, w long")
+    return frames.join(F.broadcast(jobs)), large  # a copy of each graph of checked size for each of the few jobs
+
+
+def _task_graph(pdf):
+    import numpy as np
+
+    ids, where = np.unique(np.concatenate([pdf.src.to_numpy(), pdf.dst.to_numpy()]), return_inverse=True)
+    src, dst = where[: len(pdf)], where[len(pdf) :]
+    w = pdf.w.to_numpy()
+    return kernel.Graph(ids, np.bincount(src, w).astype(np.int64), src, dst, w, 1, int(w.sum()))
+
+
+def _renumbered(g, repetition):
+    """The graph under other vertex numbers, so that every tie falls anew; the first repetition keeps them."""
+    import numpy as np
+
+    if not repetition:
+        return g
+    new = np.random.default_rng(repetition).permutation(g.n)
+    order = np.argsort(new)
+    return kernel.Graph(np.arange(g.n), g.vw[order], new[g.src], new[g.dst], g.w, g.num, g.den)
+
+
+RUNS = "graph string, variant string, repetition int, q double, seconds double, contract_seconds double, status string"
+
+
+def run_table(spark, d, views=tuple(VIEWS), variants=None, repetitions=1):
+    """(graph, variant, repetition, q, seconds, contract_seconds, status): one task for each run; a run that fails or does not fit says so."""
     variants = ABLATIONS if variants is None else variants
     import time
 
-    import numpy as np
     import pandas as pd
 
-    frames = None
-    for v in views:
-        e = _edges(spark, d, v).select(F.lit(v).alias("graph"), "src", "dst", "w")
-        frames = e if frames is None else frames.unionByName(e)
-    names = spark.createDataFrame([(n,) for n in variants], "variant string")
-    jobs = frames.join(F.broadcast(names))  # a copy of each small graph for each of the few variants
+    names = spark.createDataFrame([(n, r) for n in variants for r in range(repetitions)], "variant string, repetition int")
+    jobs, large = _jobs(spark, d, views, names)
 
     def work(key, pdf):
-        view, variant = key
-        ids, where = np.unique(np.concatenate([pdf.src.to_numpy(), pdf.dst.to_numpy()]), return_inverse=True)
-        src, dst = where[: len(pdf)], where[len(pdf) :]
-        w = pdf.w.to_numpy()
-        g = kernel.Graph(ids, np.bincount(src, w).astype(np.int64), src, dst, w, 1, int(w.sum()))
-        start = time.perf_counter()
-        log = kernel.Log()
-        o = variants[variant]
-        c = kernel.sequential(g, o != "sequential_one_way", o == "sequential_refined") if isinstance(o, str) else kernel.refined(g, None, o.but(uncoarsen=o.uncoarsen), log) if variant.startswith("refined") else kernel.two_way(g, o, log=log)
+        view, variant, repetition = key
+        g, o, log = _renumbered(_task_graph(pdf), repetition), variants[variant], kernel.Log()
+        start, status, q = time.perf_counter(), "ok", None
+        try:
+            if isinstance(o, str):
+                c = kernel.sequential(g, o != "sequential_one_way", o == "sequential_refined", repetition)
+            elif variant.startswith("refined"):
+                c = kernel.refined(g, None, o.but(seed=repetition), log)
+            else:
+                c = kernel.two_way(g, o, log=log)
+            q = kernel.modularity(g, c)
+        except MemoryError:
+            status = "out_of_memory"
         took = time.perf_counter() - start
-        return pd.DataFrame({"graph": [view], "variant": [variant], "q": [kernel.modularity(g, c)], "seconds": [took], "contract_seconds": [log.seconds.get("contract", 0.0)], "status": ["ok"]})
+        return pd.DataFrame({"graph": [view], "variant": [variant], "repetition": [repetition], "q": [q], "seconds": [took], "contract_seconds": [log.seconds.get("contract", 0.0)], "status": [status]})
 
-    return jobs.groupBy("graph", "variant").applyInPandas(work, "graph string, variant string, q double, seconds double, contract_seconds double, status string")
+    runs = jobs.groupBy("graph", "variant", "repetition").applyInPandas(work, RUNS)
+    if not large:
+        return runs
+    return runs.unionByName(spark.createDataFrame([(v, n, 0, None, None, None, "too_large") for v in large for n in variants], RUNS))
+
+
+def trace_table(spark, d, views=STAND_INS, rounds=11, memetic=(4, 6)):
+    """(graph, variant, round, q, seconds): quality and running time after every round of the iterated engines, and the memetic run."""
+    import time
+
+    import pandas as pd
+
+    names = ("constrained", "refined", "refined_up", "memetic")
+    jobs, _ = _jobs(spark, d, views, spark.createDataFrame([(n,) for n in names], "variant string"))
+
+    def work(key, pdf):
+        view, variant = key
+        g, rows, last, start = _task_graph(pdf), [], None, time.perf_counter()
+        if variant == "memetic":
+            rows.append((view, variant, 0, kernel.modularity(g, kernel.memetic(g, Options(), *memetic)), time.perf_counter() - start))
+        else:
+            for r in range(rounds):
+                last = kernel.next_round(g, Options(), variant, last, r)
+                rows.append((view, variant, r, kernel.modularity(g, last), time.perf_counter() - start))
+        return pd.DataFrame(rows, columns=["graph", "variant", "round", "q", "seconds"])
+
+    return jobs.groupBy("graph", "variant").applyInPandas(work, "graph string, variant string, round int, q double, seconds double")
 
 
 BASELINES = {
@@ -375,8 +454,8 @@ BASELINES = {
     "batch_color1": Options(symmetry="batch", batching="color1"),
     "batch_color2": Options(symmetry="batch", batching="color2"),
     "batch_partition": Options(symmetry="batch", batching="partition"),
-    "async_batches": Options(symmetry="async_batches", uncoarsen=False),
-    "min_label_gathered": Options(symmetry="min_label", phi=(Fraction(0),) * 6, gather=True, uncoarsen=False),
+    "async_batches": Options(symmetry="async_batches", batches=16, uncoarsen=False),
+    "min_label_gathered": Options(symmetry="min_label", mlh_passes=4, phi=(Fraction(0),) * 8, gather=True, uncoarsen=False),
     "refined_racy": Options(refine_mode="racy", uncoarsen=False),
     "refined_greedy": Options(refine_mode="greedy", uncoarsen=False),
     "refined_forest": Options(uncoarsen=False),
@@ -391,20 +470,47 @@ def ablation_report(s, d):
 
 
 def baseline_report(s, d):
-    runs = settle(run_table(s, d, ("lattice2d", "page_nav"), BASELINES), "runs")
+    runs = settle(run_table(s, d, variants=BASELINES), "runs")
     return measures.mean_modularity_delta(runs, "two_way", 2.0).join(measures.geomean_ratio(runs, "two_way"), "variant")
 
 
 def ablation_cube(s, d):
-    return measures.ablation_cube(run_table(s, d, ("lattice2d", "ring_cliques"), {k: ABLATIONS[k] for k in ("default", "one_way")})).select("graph", "variant", "q")
+    return measures.ablation_cube(run_table(s, d, variants={k: ABLATIONS[k] for k in ("default", "one_way")})).select("graph", "variant", "q")
+
+
+def repetition_report(s, d):
+    """Median time and quality of 21 repetitions of the default engine, and how far the quality strays."""
+    return measures.repetition_summary(run_table(s, d, variants={"default": Options()}, repetitions=21))
+
+
+def contraction_report(s, d):
+    """By variant: contraction's mean and largest share of the run, and its time over the default's."""
+    runs = settle(run_table(s, d, variants={k: ABLATIONS[k] for k in ("default", "gathered")}).where("status = 'ok'"), "runs")
+    share = F.col("contract_seconds") / F.col("seconds")
+    ratio = measures.geomean_ratio(runs.withColumn("seconds", F.col("contract_seconds")), "default")
+    return runs.groupBy("variant").agg(F.avg(share).alias("share"), F.max(share).alias("largest_share")).join(ratio, "variant")
+
+
+def iteration_trace(s, d):
+    return trace_table(s, d)
 
 
 def memetic_vs_iterated(s, d):
-    """Modularity of a small memetic run and of iterated engines on one view."""
-    small = engine.local(_g(s, d))
-    rows = [("memetic", kernel.modularity(small, kernel.memetic(small, Options(), 3, 3)))]
-    rows += [(f"iterated_{k}", kernel.modularity(small, kernel.iterate(small, Options(), 4, k)[-1])) for k in ("constrained", "refined", "refined_up")]
-    return s.createDataFrame(rows, "method string, modularity double")
+    """By iterated engine: graphs on which its last round reaches or beats the memetic run, and the mean difference."""
+    runs = settle(trace_table(s, d), "runs")
+    last = runs.groupBy("graph", "variant").agg(F.max_by("q", "round").alias("q"))
+    out = None
+    for name in ("constrained", "refined", "refined_up"):
+        row = measures.wins(last, name, "memetic").select(F.lit(name).alias("variant"), "wins", "graphs")
+        out = row if out is None else out.unionByName(row)
+    base = last.where("variant = 'memetic'").select("graph", F.col("q").alias("q0"))
+    delta = last.join(base, "graph").groupBy("variant").agg(F.avg(F.col("q") - F.col("q0")).alias("delta"))
+    return out.join(delta, "variant")
+
+
+def layered_order(s, d):
+    g = _g(s, d, "page_nav")
+    return engine.layered_order(g, (Fraction(1, 2), 1, 2))
 
 
 def label_propagation(s, d):
@@ -486,9 +592,12 @@ def batched_color1(s, d):
     return moves.local_move(g, moves.singleton_state(g), Options(phi=(Fraction(0),), symmetry="batch", batching="color1"), True)[0].select("id", "cid")
 
 
-def pruned_passes(s, d):
-    g = _g(s, d)
-    return moves.local_move(g, moves.singleton_state(g), Options(phi=(PHI75,) * 3, prune=True), True)[0].select("id", "cid")
+def _passes(view=STEP, **more):
+    def run(s, d):
+        g = _g(s, d, view)
+        return moves.local_move(g, moves.singleton_state(g), Options(**more), True)[0].select("id", "cid")
+
+    return run
 
 
 def queries():
@@ -496,7 +605,7 @@ def queries():
     for v in VIEWS:
         out[f"graph_{v}"] = _graph_query(v)
         out[f"profile_{v}"] = _profile_query(v)
-    for f in (components_labels, largest_component, modularity_of_mod25, lambda_cc_of_mod10, objective_presets, affinity_mod10, affinity_salted_mod10, affinity_singletons, affinity_patched, affinity_recomputed, best_destination_mod10, new_singleton_cases, replay_filter_pass1, mlh_pass1, nosym_pass1, contract_mod10, contract_gathered, contract_bounds, contract_weights, relabel_dense, coarse_objective_constant, project_levels, downsample_levels, multilevel_ring_cliques, multilevel_on_frames, refined_on_frames, refine_eligible, refine_choice, refine_oriented, refine_roots, refine_prefixes, strict_move_all, separation_violations, node_violations, uniform_density_small, subset_optimality_small, disconnected_pieces, recombination, ablation_report, baseline_report, ablation_cube, memetic_vs_iterated, label_propagation, connected_components_objective, cluster_top10, cluster_rollup, cluster_diff, pair_agreement_ari, pair_agreement_nmi, stream_edges_windowed, batching_color1_conflicts, degree_buckets, order_before_event, users_within_gap, batched_color1, pruned_passes):
+    for f in (components_labels, largest_component, modularity_of_mod25, lambda_cc_of_mod10, objective_presets, affinity_mod10, affinity_salted_mod10, affinity_singletons, affinity_patched, affinity_recomputed, best_destination_mod10, new_singleton_cases, replay_filter_pass1, mlh_pass1, nosym_pass1, contract_mod10, contract_gathered, contract_bounds, contract_weights, relabel_dense, coarse_objective_constant, project_levels, downsample_levels, multilevel_ring_cliques, multilevel_on_frames, refined_on_frames, refine_eligible, refine_choice, refine_oriented, refine_roots, refine_prefixes, refine_merge_scores, separation_violations, node_violations, uniform_density_small, subset_optimality_small, disconnected_pieces, recombination, ablation_report, baseline_report, ablation_cube, repetition_report, contraction_report, iteration_trace, memetic_vs_iterated, layered_order, label_propagation, connected_components_objective, cluster_top10, cluster_rollup, cluster_diff, pair_agreement_ari, pair_agreement_nmi, stream_edges_windowed, batching_color1_conflicts, degree_buckets, order_before_event, users_within_gap, batched_color1):
         out[f.__name__] = f
     out |= {
         "candidates_phi75": _cands(PHI75),
@@ -506,6 +615,12 @@ def queries():
         "local_move_6pass_fused": _local(6, kernel="fused"),
         "strict_move_pairs": _strict("pairs"),
         "strict_move_prefix": _strict("prefix"),
+        "strict_move_all": _strict("prefix"),
+        "pruned_passes": _passes(phi=(PHI75,) * 3, prune=True),
+        "batched_degree": _passes("status_hub", phi=(Fraction(0),), symmetry="batch", batching="degree"),
+        "batched_degree_pruned": _passes(phi=(PHI25,) * 2, symmetry="batch", batching="degree", batches=2, prune=True),
+        "batched_partition": _passes(phi=(PHI25,) * 2, symmetry="batch", batching="partition", batches=3),
+        "async_passes": _passes("page_nav", phi=(Fraction(0),) * 2, symmetry="async_batches", batches=4),
         "multilevel_lattice2d": _run(STEP, "two_way"),
         "multilevel_cust_part": _run("cust_part", "two_way"),
         "one_way_cust_part": _run("cust_part", "one_way"),
@@ -574,6 +689,19 @@ def oracle_sql():
     ent = "j as (select c.cid as x, f.cid as y from c join f using (id)), n as (select count(*)::double as n from j), k as (select x, y, count(*)::double as k, sum(count(*)) over (partition by x)::double as kx, sum(count(*)) over (partition by y)::double as ky from j group by x, y), mi as (select sum(k / n * ln(k * n / (kx * ky))) as v from k, n), hx as (select -sum(q / n * ln(q / n)) as v from (select x, count(*)::double as q from j group by x), n), hy as (select -sum(q / n * ln(q / n)) as v from (select y, count(*)::double as q from j group by y), n)"
     out["pair_agreement_nmi"] = step(STEP, "select 2 * mi.v / (hx.v + hy.v) as nmi from mi, hx, hy", c("id % 10"), c("id % 15", "f"), ent)
     out["stream_edges_windowed"] = "select epoch(date_trunc('hour', ts))::bigint as start, user_id, count(*) as n from events group by 1, 2"
+    degree = lambda n: f"least((length(bin(vw)) - 1) // 2, {n - 1})"
+    hashed = lambda n: f"{sql.hash_sql('id', '0')} % {n}"
+    out["pruned_passes"] = sql.batch_passes(STEP, (3, 4), 3, "0", 1, replayed=True, prune=True)
+    out["batched_degree"] = sql.batch_passes("status_hub", (0, 1), 1, degree(4), 4)
+    out["batched_degree_pruned"] = sql.batch_passes(STEP, (1, 4), 2, degree(2), 2, prune=True)
+    out["batched_partition"] = sql.batch_passes(STEP, (1, 4), 2, hashed(3), 3)
+    out["async_passes"] = sql.batch_passes("page_nav", (0, 1), 2, hashed(4), 4)
+    few = c("id - id % 10 + case when id % 10 < 5 then 0 else 5 + id % 2 end")
+    cut_x = "cut as (select a.cid, a.mask, sum(e.w) as cut from edges e join mem a on a.id = e.src and a.x = 1 join mem b on b.id = e.dst and b.x = 0 and b.cid = a.cid and b.mask = a.mask group by 1, 2)"
+    out["uniform_density_small"] = step(STEP, "select cid, mask::bigint as mask, (den * coalesce(cut, 0) - num * wx * (w - wx))::bigint as score from wts left join cut using (cid, mask), lam where den * coalesce(cut, 0) - num * wx * (w - wx) < 0", few, sql.SUBSETS, cut_x)
+    out_x = "tt as (select c.cid, sum(vw) as t from c join verts using (id) group by c.cid), ends as (select a.cid, a.mask, o.cid as other, sum(e.w) as k from edges e join mem a on a.id = e.src and a.x = 1 join c o on o.id = e.dst left join mem b on b.id = e.dst and b.cid = a.cid and b.mask = a.mask where coalesce(b.x, 0) = 0 group by 1, 2, 3)"
+    gain = "(den * n.k - num * wx * tt.t) - (den * coalesce(h.k, 0) - num * wx * (w - wx))"
+    out["subset_optimality_small"] = step(STEP, f"select n.cid, n.mask::bigint as mask, n.other, ({gain})::bigint as gain from ends n join wts using (cid, mask) join tt on tt.cid = n.other left join ends h on h.cid = n.cid and h.mask = n.mask and h.other = n.cid, lam where n.other <> n.cid and {gain} > 0", c("id - id % 5"), sql.SUBSETS, out_x)
     out["batching_color1_conflicts"] = "select 0::bigint as conflicts"
     out["order_before_event"] = "with o as (select o_custkey as k, o_orderdate::timestamp as ts, max(o_orderkey) as o_orderkey from orders group by 1, 2) select e.event_id, o.o_orderkey from events e asof left join o on e.user_id = o.k and e.ts::timestamp >= o.ts"
     out["users_within_gap"] = "with e as (select event_id, user_id, epoch_ms(ts::timestamp) as t from events) select x.user_id as a, y.user_id as b, count(*) as n from e x join e y on y.t between x.t and x.t + 10000 and x.event_id <> y.event_id group by 1, 2"
@@ -592,7 +720,7 @@ def _refine_sql():
     f1 = "f1 as materialized (select id, choice, case when parent = id and id not in (select parent from p0 where parent <> id) then 2 * 2147483648 - f else f end as f from p0)"
     p1 = "p1 as materialized (select a.id, a.f, case when b.f < a.f or (b.f = a.f and b.id < a.id) then b.id else a.id end as parent from f1 a join f1 b on b.id = a.choice)"
     rec = "up(id, hop) as (select id, parent from p1 union select up.id, p1.parent from up join p1 on p1.id = up.hop), rt as (select up.id, up.hop as root from up join p1 on p1.id = up.hop where p1.parent = p1.id)"
-    tree = "tr as materialized (select rt.id, rt.root, p1.f, el.* exclude (id) from rt join p1 using (id) join el using (id)), ea as (select e.dst as id, sum(e.w) as earlier from edges e join tr a on a.id = e.src join tr b on b.id = e.dst where a.root = b.root and (a.f < b.f or (a.f = b.f and a.id < b.id)) group by e.dst), pf as (select tr.*, coalesce(earlier, 0) as earlier, row_number() over w as pos, coalesce(sum(vw) over (w rows between unbounded preceding and 1 preceding), 0) as wt, coalesce(sum(inside - 2 * coalesce(earlier, 0)) over (w rows between unbounded preceding and 1 preceding), 0) as cut from tr left join ea using (id) window w as (partition by root order by f, id)), gd as (select *, pos = 1 or (lam.den * earlier - lam.num * vw * wt >= 0 and lam.den * cut - lam.num * wt * (wb - wt) >= 0) as good from pf, lam), fl as (select id, case when ok and max((not good)::int) over (partition by root order by f, id) = 0 then root else -1 - id end as raw from gd)"
+    tree = "tr as materialized (select rt.id, rt.root, p1.f, el.* exclude (id) from rt join p1 using (id) join el using (id)), ea as (select e.dst as id, sum(e.w) as earlier from edges e join tr a on a.id = e.src join tr b on b.id = e.dst where a.root = b.root and (a.f < b.f or (a.f = b.f and a.id < b.id)) group by e.dst), pf as (select tr.*, coalesce(earlier, 0) as earlier, row_number() over w as pos, coalesce(sum(vw) over (w rows between unbounded preceding and 1 preceding), 0) as wt, coalesce(sum(inside - 2 * coalesce(earlier, 0)) over (w rows between unbounded preceding and 1 preceding), 0) as cut from tr left join ea using (id) window w as (partition by root order by f, id)), gd as (select *, lam.den * earlier - lam.num * vw * wt as joined, lam.den * cut - lam.num * wt * (wb - wt) as rest, pos = 1 or (lam.den * earlier - lam.num * vw * wt >= 0 and lam.den * cut - lam.num * wt * (wb - wt) >= 0) as good from pf, lam), fl as (select id, pos, joined, rest, case when ok and max((not good)::int) over (partition by root order by f, id) = 0 then root else -1 - id end as raw from gd)"
     base = sql.base("lattice8")
     chain = [base, elig, cand, pick, f0, p0, f1, p1]
     out = {
@@ -601,9 +729,10 @@ def _refine_sql():
         "refine_oriented": f"with {', '.join(chain)} select id, parent, f from p1",
         "refine_roots": f"with recursive {', '.join(chain)}, {rec} select id, root from rt",
         "refine_prefixes": f"with recursive {', '.join(chain)}, {rec}, {tree} select id, min(id) over (partition by raw) as cid from fl",
+        "refine_merge_scores": f"with recursive {', '.join(chain)}, {rec}, {tree}, lb as (select *, min(id) over (partition by raw) as cid, count(*) over (partition by raw) as n from fl) select id, cid, joined::bigint as joined, rest::bigint as rest from lb where n > 1 and pos > 1",
     }
-    mv = f"mv as materialized (select id, vw, cid as old, case when s_new is null or s_new < 0 then null else c_new end as new, greatest(coalesce(s_new, 0), 0) - s_own as gain, {h('id', '0', 5)} as h from pd where greatest(coalesce(s_new, 0), 0) > s_own), mp as materialized (select *, row_number() over (order by h, id) as pos from mv qualify row_number() over (order by h, id) <= 60)"
+    mv = f"mv as materialized (select id, vw, cid as old, case when s_new is null or s_new < 0 then null else c_new end as new, greatest(coalesce(s_new, 0), 0) - s_own as gain, {h('id', '0', 5)} as h from pd where greatest(coalesce(s_new, 0), 0) > s_own), mp as materialized (select *, row_number() over (order by h, id) as pos from mv)"
     ch = "cg as (select v.id, sum((lam.den * coalesce(e.w, 0) - lam.num * u.vw * v.vw) * (case when u.old = v.old then 1 when u.old = v.new then -1 else 0 end + case when u.new = v.old then -1 when u.new = v.new then 1 else 0 end)) as change from mp u join mp v on u.pos < v.pos left join edges e on e.src = u.id and e.dst = v.id, lam group by v.id)"
     text = sql.step(STEP, "select id, pos, new, sum(gain + coalesce(change, 0)) over (order by pos)::bigint as run from mp left join cg using (id)", sql.clusters("id % 100"), sql.choose("p", "c"), mv, ch)
-    out["strict_move_pairs"] = out["strict_move_prefix"] = text
+    out["strict_move_pairs"] = out["strict_move_prefix"] = out["strict_move_all"] = text
     return out

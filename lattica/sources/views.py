@@ -129,23 +129,28 @@ def page_host(spark, sf_dir) -> DataFrame:
 
 
 def doc_line(spark, sf_dir) -> DataFrame:
-    """Documents that share a line found in 2 to 200 documents (the definition of the view)."""
+    """Documents and, for every line that several have, the first document that has it: a star for each shared line, however common."""
     docs = read_table(spark, sf_dir, "documents", "doc_id", "text")
     lines = docs.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where("line <> ''").select("doc_id", F.md5("line").alias("line")).distinct()
-    few = lines.groupBy("line").count().where("count between 2 and 200").select("line")
-    kept = lines.join(few, "line")
-    return kept.withColumnRenamed("doc_id", "a").join(kept.select("line", F.col("doc_id").alias("b")), "line").where("a < b").select("a", "b")
+    first = lines.groupBy("line").agg(F.min("doc_id").alias("b"), F.max("doc_id").alias("last")).where("b < last").select("line", "b")
+    return lines.join(first, "line").where("doc_id <> b").select(F.col("doc_id").alias("a"), "b")
 
 
-def embed_knn(spark, sf_dir, k: int = 10, blocks: int = 8) -> DataFrame:
+#: Vectors in a block: two blocks meet as one matrix.
+KNN_BLOCK = 2048
+
+
+def embed_knn(spark, sf_dir, k: int = 10) -> DataFrame:
     """Each vector and its k nearest by cosine (exact; equal ones by smaller id): blocks of vectors meet blocks, Arrow matrices inside."""
     import numpy as np
     import pandas as pd
 
     vec = read_table(spark, sf_dir, "embeddings", "vec_id", "embedding").where("embedding is not null")
-    left = vec.select((F.col("vec_id") % blocks).alias("l"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("r"), "vec_id", "embedding", F.lit(0).alias("side"))
-    right = vec.select(F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("l"), (F.col("vec_id") % blocks).alias("r"), "vec_id", "embedding", F.lit(1).alias("side"))
-    both = left.unionByName(right.select(F.col("l"), F.col("r"), "vec_id", "embedding", "side"))
+    blocks = max(1, -(-vec.count() // KNN_BLOCK))
+    own = F.pmod(F.xxhash64("vec_id"), F.lit(blocks))
+    left = vec.select(own.alias("l"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("r"), "vec_id", "embedding", F.lit(0).alias("side"))
+    right = vec.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("l"), own.alias("r"), "vec_id", "embedding", F.lit(1).alias("side"))
+    both = left.unionByName(right)
 
     def near(pdf: pd.DataFrame) -> pd.DataFrame:
         a, b = pdf[pdf.side == 0].sort_values("vec_id"), pdf[pdf.side == 1].sort_values("vec_id")

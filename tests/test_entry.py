@@ -32,7 +32,7 @@ def test_entry(spark):
 
 
 @needs_data
-@pytest.mark.parametrize("name", ["graph_geo_tree", "affinity_patched", "replay_filter_pass1", "local_move_1pass", "refine_prefixes", "strict_move_prefix", "contract_gathered"])
+@pytest.mark.parametrize("name", ["graph_geo_tree", "affinity_patched", "replay_filter_pass1", "local_move_1pass", "refine_prefixes", "strict_move_prefix", "contract_gathered", "strict_move_pairs", "graph_doc_line", "uniform_density_small", "subset_optimality_small", "refine_merge_scores", "pruned_passes", "batched_degree_pruned", "async_passes"])
 def test_against_sql(spark, name):
     import duckdb
 
@@ -47,6 +47,25 @@ def test_against_sql(spark, name):
     assert key(tuple(r[c] for c in want.columns) for r in got.collect()) == key(want.fetchall())
 
 
+@needs_data
+def test_run_tables(spark, monkeypatch):
+    from lattica.operators import measures
+    from lattica.operators.options import ABLATIONS
+    from lattica.plans import registry
+
+    views = ("ring_cliques", "user_trans", "page_nav")
+    runs = registry.run_table(spark, SF, views, {"default": ABLATIONS["default"], "sequential_two_way": "sequential_two_way"}, 3)
+    rows = runs.collect()
+    assert len(rows) == 18 and all(r.status == "ok" and r.seconds > 0 for r in rows)
+    by = {r.graph: r for r in measures.repetition_summary(runs.where("variant = 'default'")).collect()}
+    assert all(r.runs == 3 for r in by.values()) and by["ring_cliques"].q > 0.9
+    trace = registry.trace_table(spark, SF, ("ring_cliques",), 3, (2, 1)).collect()
+    assert {(r.variant, r.round) for r in trace} == {(v, k) for v in ("constrained", "refined", "refined_up") for k in range(3)} | {("memetic", 0)}
+    monkeypatch.setattr(registry, "TASK_EDGES", 300)  # a graph that does not fit a task is reported, not run
+    status = {r.graph: r.status for r in registry.run_table(spark, SF, views, {"default": ABLATIONS["default"]}).collect()}
+    assert status["ring_cliques"] == "too_large" and status["user_trans"] == "ok"
+
+
 @needs_data
 def test_stream_equals_batch(spark, tmp_path):
     from lattica.streaming import EVENTS, activity, read_events, sessions
