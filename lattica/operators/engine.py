@@ -10,7 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..sources import settle
+from ..sources import bucketed, drop, settle
 from . import kernel, levels, moves, refine
 from .graph import WGraph, components_graph, label_propagation_graph, lambda_cc, modularity_graph, unit_graph, with_constraint
 from .options import Options
@@ -50,6 +50,11 @@ def _count(state: DataFrame) -> int:
     return state.where("id = cid").count()
 
 
+def _dealt(g: WGraph) -> WGraph:
+    """The graph with its edges in buckets by src, for a level that runs on DataFrames."""
+    return g if hasattr(g.edges, "_table") else replace(g, edges=bucketed(g.edges, "src", "edges"))
+
+
 def _fits(g: WGraph, o: Options) -> bool:
     return not g.wide and 0 <= g.stored <= o.kernel_limit
 
@@ -71,6 +76,7 @@ def two_way(g: WGraph, o: Options = Options(), constraint: DataFrame | None = No
                 out.seconds[k] = out.seconds.get(k, 0.0) + v
             break
         single = start is None or bool(stack)
+        g = _dealt(g)
         state = moves.singleton_state(g) if single else moves.state_of(g, start)
         if single and "b" in g.vertices.columns:
             state = state.select("id", "vw", "cid", "tw", "b")
@@ -94,7 +100,14 @@ def two_way(g: WGraph, o: Options = Options(), constraint: DataFrame | None = No
             t = time.perf_counter()
             clusters = moves.local_move(g, moves.state_of(g, clusters), o, log=out.log, level=depth, phase="up")[0].select("id", "cid")
             out.timed("move_up", t)
-    out.clusters = moves.state_of(g, clusters).select("id", "cid") if stack else clusters
+    return _ended(out, g, clusters, stack)
+
+
+def _ended(out: Result, g: WGraph, clusters: DataFrame, stack: list) -> Result:
+    """The result under canonical labels, written, without the levels' scratch."""
+    out.clusters = settle(moves.state_of(g, clusters).select("id", "cid"), "clusters") if stack else clusters
+    for level, up in stack:
+        drop(level.edges, up)
     return out
 
 
@@ -113,6 +126,7 @@ def refined(g: WGraph, o: Options = Options(uncoarsen=False), start: DataFrame |
             for k, v in log.seconds.items():
                 out.seconds[k] = out.seconds.get(k, 0.0) + v
             break
+        g = _dealt(g)
         state = moves.singleton_state(g) if c is None else moves.state_of(g, c)
         t = time.perf_counter()
         state, value, before = moves.local_move(g, state, o, c is None, log=out.log, level=len(stack))
@@ -144,8 +158,7 @@ def refined(g: WGraph, o: Options = Options(uncoarsen=False), start: DataFrame |
             t = time.perf_counter()
             clusters = moves.local_move(g, moves.state_of(g, clusters), o, log=out.log, level=depth, phase="up")[0].select("id", "cid")
             out.timed("move_up", t)
-    out.clusters = moves.state_of(g, clusters).select("id", "cid") if stack else clusters
-    return out
+    return _ended(out, g, clusters, stack)
 
 
 def iterate(g: WGraph, o: Options = Options(), rounds: int = 11, scheme: str = "constrained", until_stable: bool = False) -> list[Result]:

@@ -76,7 +76,9 @@ def recomputed(aff: DataFrame, edges: DataFrame, before: DataFrame, after: DataF
     """The table after moves, with the rows of all vertices beside a mover built anew."""
     changed = before.select("id", F.col("cid").alias("old")).join(after.select("id", F.col("cid").alias("new")), "id").where("old <> new").select(F.col("id").alias("src"))
     touched = edges.join(changed, "src", "left_semi").select(F.col("dst").alias("id")).distinct()
-    anew = enumerate_(edges.join(touched.withColumnRenamed("id", "dst"), "dst", "left_semi"), after)
+    # the touched vertices' edges are found at their own end, where edges may be bucketed, and turned round
+    own = edges.join(touched.withColumnRenamed("id", "src"), "src", "left_semi").select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w")
+    anew = enumerate_(own, after)
     return aff.join(touched, "id", "left_anti").unionByName(anew)
 
 

@@ -71,6 +71,12 @@ def pointer_jump(forest: DataFrame) -> DataFrame:
             return state
 
 
+def _ranged(rows: DataFrame) -> DataFrame:
+    """rows (root, f, ...) with part: ranges of the order f of about STRETCH rows of a tree."""
+    sizes = rows.groupBy("root").agg(F.ceil(F.count("*") / STRETCH).alias("parts"))
+    return rows.join(sizes, "root").withColumn("part", F.floor(F.col("f") * F.col("parts") / F.lit(2 * BIG + 1))).drop("parts")
+
+
 def prefixes(g: WGraph, forest: DataFrame, elig: DataFrame) -> DataFrame:
     """(id, root, f, pos, ok, joined, rest, good): the two running checks of every vertex at its place in its sorted tree, and their scores."""
     ends = [forest.select(F.col("id").alias(k), F.col("root").alias(f"r_{k}"), F.col("f").alias(f"f_{k}")) for k in ("src", "dst")]
@@ -78,9 +84,16 @@ def prefixes(g: WGraph, forest: DataFrame, elig: DataFrame) -> DataFrame:
     later = (F.col("f_src") < F.col("f_dst")) | ((F.col("f_src") == F.col("f_dst")) & (F.col("src") < F.col("dst")))
     earlier = inner.where(later).groupBy(F.col("dst").alias("id")).agg(F.sum("w").alias("earlier"))
     rows = forest.join(elig, "id").join(earlier, "id", "left").withColumn("earlier", F.coalesce("earlier", _zero()))
-    order = W.partitionBy("root").orderBy("f", "id")
+    # a tree is cut into ranges of its random order: sums inside a range, moved by those of the ranges before
+    rows = settle(_ranged(rows), "ranges")
+    step = F.col("inside") - 2 * F.col("earlier")
+    sums = rows.groupBy("root", "part").agg(F.count("*").alias("n"), F.sum("vw").alias("v"), F.sum(step).alias("c"))
+    ahead = W.partitionBy("root").orderBy("part").rowsBetween(W.unboundedPreceding, -1)  # one row per range
+    before = sums.select("root", "part", *[F.coalesce(F.sum(x).over(ahead), _zero()).alias(f"{x}0") for x in ("n", "v", "c")])
+    order = W.partitionBy("root", "part").orderBy("f", "id")
     past = order.rowsBetween(W.unboundedPreceding, -1)
-    rows = rows.withColumns({"pos": F.row_number().over(order), "weight": F.coalesce(F.sum("vw").over(past), _zero()), "cut": F.coalesce(F.sum(F.col("inside") - 2 * F.col("earlier")).over(past), _zero())})
+    rows = rows.withColumns({"pos": F.row_number().over(order), "weight": F.coalesce(F.sum("vw").over(past), _zero()), "cut": F.coalesce(F.sum(step).over(past), _zero())}).join(before, ["root", "part"])
+    rows = rows.withColumns({"pos": (F.col("pos") + F.col("n0")).cast("int"), "weight": F.col("weight") + F.col("v0"), "cut": F.col("cut") + F.col("c0")})
     joined = g.long(F.col("earlier")) * g.den - g.long(F.col("vw")) * g.num * F.col("weight")
     rest = g.long(F.col("cut")) * g.den - g.long(F.col("weight")) * g.num * (F.col("wb") - F.col("weight"))
     rows = rows.select("id", "root", "f", "pos", "ok", joined.alias("joined"), rest.alias("rest"))
@@ -92,8 +105,9 @@ def committed(rows: DataFrame, racy: bool = False) -> DataFrame:
     if racy:
         part = rows.select("id", F.col("root").alias("raw"))
     else:
-        failed = F.max((~F.col("good")).cast("int")).over(W.partitionBy("root").orderBy("f", "id"))
-        part = rows.withColumn("failed", failed).select("id", F.when((F.col("failed") == 0) & F.col("ok"), F.col("root")).otherwise(-1 - F.col("id")).alias("raw"))
+        first = rows.where(~F.col("good")).groupBy("root").agg(F.min("pos").alias("failed"))  # where the prefix ends
+        held = F.col("failed").isNull() | (F.col("pos") < F.col("failed"))
+        part = rows.join(first, "root", "left").select("id", F.when(held & F.col("ok"), F.col("root")).otherwise(-1 - F.col("id")).alias("raw"))
     low = part.groupBy("raw").agg(F.min("id").alias("cid"))
     return part.join(low, "raw").select("id", "cid")
 

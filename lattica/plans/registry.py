@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from ..operators import checks, engine, graph, kernel, levels, measures, moves, refine
 from ..operators.options import ABLATIONS, DEFAULT_PHI, Options
-from ..sources import settle
+from ..sources import drop, scratch_scope, settle
 from ..sources.views import VIEWS, pairs
 from ..streaming import activity
 from . import oracle as sql
@@ -600,7 +600,28 @@ def _passes(view=STEP, **more):
     return run
 
 
+def _tidy(f):
+    """The query with its result written where it left scratch behind, and that scratch gone."""
+
+    def run(s, d):
+        with scratch_scope() as made:
+            out = f(s, d)
+            if not made:
+                return out
+            out = settle(out, "result")
+        drop(*[x for x in made if x is not out])
+        return out
+
+    run.__name__ = getattr(f, "__name__", "query")
+    run.__doc__ = f.__doc__
+    return run
+
+
 def queries():
+    return {name: _tidy(f) for name, f in _queries().items()}
+
+
+def _queries():
     out = {}
     for v in VIEWS:
         out[f"graph_{v}"] = _graph_query(v)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -74,13 +75,52 @@ def settle(df: DataFrame, name: str = "step") -> DataFrame:
         df.write.parquet(path)
     finally:
         spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
-    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
     out._scratch = path
+    for made in _scopes[-1:]:
+        made.append(out)
     return out
 
 
+def bucketed(df: DataFrame, key: str, name: str = "buckets") -> DataFrame:
+    """Like settle, but dealt into sorted buckets by a key: joins and groups by it move only the other side."""
+    spark = df.sparkSession
+    path, before = scratch(spark, name), spark.conf.get(CLEANUP, None)
+    table = "t_" + path.rpartition("-")[2]
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.repartition(parts, key).write.option("path", path).bucketBy(parts, key).sortBy(key).saveAsTable(table)
+    except Exception:
+        spark.sql(f"drop table if exists {table}")
+        raise
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
+    out = spark.table(table)
+    out._scratch, out._table = path, table
+    for made in _scopes[-1:]:
+        made.append(out)
+    return out
+
+
+_scopes: list[list[DataFrame]] = []
+
+
+@contextmanager
+def scratch_scope():
+    """The frames that are settled inside, for the caller to drop."""
+    _scopes.append([])
+    try:
+        yield _scopes[-1]
+    finally:
+        _scopes.pop()
+
+
 def drop(*frames: DataFrame) -> None:
+    """Delete the scratch folders (and tables) of frames that nothing reads any more; others are left alone."""
     for df in frames:
+        if name := getattr(df, "_table", None):
+            df.sparkSession.sql(f"drop table if exists {name}")
         if path := getattr(df, "_scratch", None):
             sc = df.sparkSession.sparkContext
             p = sc._jvm.org.apache.hadoop.fs.Path(path)

@@ -324,6 +324,35 @@ def test_contraction_plan_sums_before_the_exchange(spark):
     assert levels.contract(g, c).edges.count() == 2
 
 
+def test_bucketed_edges_are_not_exchanged(spark):
+    from lattica.sources import drop, settle
+
+    g = engine._dealt(frames(spark, TRIANGLES))
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = moves.affinity(g.edges, settle(moves.singleton_state(g)))._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    lines = plan.splitlines()
+    scan = next(i for i, x in enumerate(lines) if "Bucketed: true" in x)
+    join = next(i for i, x in enumerate(lines) if "SortMergeJoin" in x)
+    assert not any("Exchange" in x for x in lines[join:scan]) and "partial_sum" in plan
+    drop(g.edges)
+    assert spark.sql("show tables").where("not isTemporary").count() == 0
+
+
+def test_tree_prefixes_in_ranges(spark, monkeypatch):
+    monkeypatch.setattr(refine, "STRETCH", 3)
+    pairs, _ = random_graph(30, 6, 0.2)
+    g = frames(spark, pairs)
+    b = spark.createDataFrame([(i, i - i % 15) for i in range(30)], "id long, cid long")
+    got = as_dict(refine.refine(g, b, 4))
+    small_ = engine.local(g)
+    want = kernel.refine(small_, kernel.canonical(np.arange(30) // 15), 4)
+    assert [got[int(i)] for i in small_.ids] == small_.ids[want].tolist()
+
+
 def test_measures(spark):
     a = spark.createDataFrame([(i, i // 3) for i in range(6)], "id long, cid long")
     assert measures.ari(a, a).first().ari == 1.0
