@@ -190,8 +190,9 @@ def compared(left: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
     Members of a bucket are packed into blocks; blocks meet blocks and the comparison is a
     matrix inside, so a large bucket makes rows by the square of its blocks, not of its members.
     """
-    rows = left.join(sets.select("node", "shingles"), "node")
-    sizes = rows.groupBy("bucket").agg(F.greatest(F.count("*") / BLOCK, F.sum(F.length("shingles")) / BLOCK_BYTES).alias("n"))
+    rows = materialize(left.join(sets.select("node", "shingles"), "node"), "nd-rows")
+    # written: Spark then knows its size, and deals a hot bucket anew if it has to join by bucket
+    sizes = materialize(rows.groupBy("bucket").agg(F.greatest(F.count("*") / BLOCK, F.sum(F.length("shingles")) / BLOCK_BYTES).alias("n")), "nd-sizes")
     block = F.pmod(F.xxhash64("node"), F.ceil("n")).alias("block")
     packed = rows.join(sizes, "bucket").groupBy("bucket", block).agg(F.collect_list(F.struct("node", "comp", "shingles")).alias("x"), F.min("comp").alias("lo"), F.max("comp").alias("hi"))
     packed = materialize(packed, "nd-blocks")
@@ -232,15 +233,15 @@ def verified(pairs: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
 
 def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, rounds: int = 2) -> DataFrame:
     """(node, comp) of the nodes that have a link."""
-    one = sketched.where("node is not null").groupBy("node").agg(F.min("bands").alias("bands"))
+    one = materialize(sketched.where("node is not null").groupBy("node").agg(F.min("bands").alias("bands"), F.min("doc_id").alias("doc_id")), "nd-nodes")
     spread = one.select("node", F.explode("bands").alias("bucket"))
-    shared = spread.groupBy("bucket").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("bucket", "size")
+    shared = materialize(spread.groupBy("bucket").agg(F.min("node").alias("lo"), F.max("node").alias("hi"), F.count("*").alias("size")).where("lo <> hi").select("bucket", "size"), "nd-shared")
     spots = materialize(spread.join(shared, "bucket"), "nd-spots")
     # how many others a node meets: in a group of edited copies the least edited one meets most
     meets = spots.groupBy("node").agg(F.sum("size").alias("meets"))
     members = materialize(spots.join(meets, "node").select("bucket", "node", "meets"), "nd-members")
     wanted = members.select("node").distinct()
-    source = sketched.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("doc_id")).join(wanted, "node", "left_semi")
+    source = one.select("node", "doc_id").join(wanted, "node", "left_semi")
     texts = docs.select("doc_id", "text").where("doc_id is not null").join(source, "doc_id")
     # ids may repeat with other texts: the set of the right text is the one whose words give the node
     sets = materialize(shingle_sets(texts), "nd-sets")
@@ -250,12 +251,12 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
         last = last or r == rounds
         if not last:  # a bucket that holds several components offers one pivot; a node is compared with its few best offers
             rank = F.struct((F.xxhash64(F.lit(r), "node") if r else -F.col("meets")).alias("h"), "node", "comp")
-            split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(rank).alias("p")).where("lo <> hi")
-            offers = state.join(split.select("bucket", "p"), "bucket").where(F.col("comp") != F.col("p.comp")).select("node", "p").distinct()
+            split = materialize(state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.min(rank).alias("p")).where("lo <> hi").select("bucket", "p"), "nd-split")
+            offers = state.join(split, "bucket").where(F.col("comp") != F.col("p.comp")).select("node", "p").distinct()
             best = offers.groupBy("node").agg(F.slice(F.sort_array(F.collect_list("p")), 1, OFFERS).alias("ps"))  # at most one offer a band
             pairs = best.select("node", F.explode("ps").alias("p")).select(F.least("node", "p.node").alias("a"), F.greatest("node", "p.node").alias("b"))
         else:  # what is still apart in a bucket, each against each
-            split = state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("bucket")
+            split = materialize(state.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("bucket"), "nd-split")
             left = materialize(state.join(split, "bucket"), "nd-apart")
             found = materialize(compared(left.select("bucket", "node", "comp"), sets, threshold).distinct(), "nd-links")
         if not last:
@@ -265,13 +266,14 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
             pairs = materialize(pairs, "nd-pairs")
             found = materialize(verified(pairs, sets, threshold).select("a", "b"), "nd-links")
             seen.append(pairs)
+        release(split)
         none = found.isEmpty()
         if not none:
             comps = joined_up(comps, found)
         if last:
             break
         last = none  # pivots merge no more
-    release(spots, members, sets)
+    release(one, shared, spots, members, sets, *seen)
     return comps
 
 
