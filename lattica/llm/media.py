@@ -25,6 +25,7 @@ import struct
 import zlib
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -296,15 +297,12 @@ def _rows(column: str, pick):
     return run
 
 
-def sniff(df: DataFrame, column: str, declared: str | None = None) -> DataFrame:
-    """Adds sniffed_type, sniffed_length, type_corrected (the declared type differs) to every row."""
-    df = df.drop("sniffed_type", "sniffed_length", "type_corrected")
-    schema = plus(df.schema, sniffed_type="string", sniffed_length="long", type_corrected="boolean")
-    want = declared
+def sniffed(column: str, declared: str | None = None):
+    """The step of sniff, from batches to batches."""
 
     def pick(auto, batch, values):
         kinds, sizes, fixed = [], [], []
-        said = batch.column(batch.schema.get_field_index(want)).to_pylist() if want else [None] * batch.num_rows
+        said = batch.column(batch.schema.get_field_index(declared)).to_pylist() if declared else [None] * batch.num_rows
         for v, d in zip(values, said, strict=True):
             data = v.as_py()
             data = data.encode() if isinstance(data, str) else data or b""
@@ -313,13 +311,19 @@ def sniff(df: DataFrame, column: str, declared: str | None = None) -> DataFrame:
             kinds.append(kind)
             sizes.append(first[1] if first else 0)
             fixed.append(bool(d) and d != kind)
-        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(kinds), pa.array(sizes, pa.int64()), pa.array(fixed)], names=[*batch.schema.names, "sniffed_type", "sniffed_length", "type_corrected"])
+        yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(kinds, pa.string()), pa.array(sizes, pa.int64()), pa.array(fixed, pa.bool_())], names=[*batch.schema.names, "sniffed_type", "sniffed_length", "type_corrected"])
 
-    return df.mapInArrow(_rows(column, pick), schema)
+    return _rows(column, pick)
 
 
-def carve(df: DataFrame, key: str, column: str, *more: str) -> DataFrame:
-    """One row per embedded medium: key, offset, length, media_type, content, and further columns of its row."""
+def sniff(df: DataFrame, column: str, declared: str | None = None) -> DataFrame:
+    """Adds sniffed_type, sniffed_length, type_corrected (the declared type differs) to every row."""
+    df = df.drop("sniffed_type", "sniffed_length", "type_corrected")
+    return df.mapInArrow(sniffed(column, declared), plus(df.schema, sniffed_type="string", sniffed_length="long", type_corrected="boolean"))
+
+
+def carved(key: str, column: str, *more: str):
+    """The step of carve, from batches to batches."""
 
     def pick(auto, batch, values):
         where, rows = [], []
@@ -334,9 +338,14 @@ def carve(df: DataFrame, key: str, column: str, *more: str) -> DataFrame:
             cols = [pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.string(), pa.binary()), strict=True)]
             yield pa.RecordBatch.from_arrays([own[0], *cols, *own[1:]], names=["key", "offset", "length", "media_type", "content", *more])
 
+    return _rows(column, pick)
+
+
+def carve(df: DataFrame, key: str, column: str, *more: str) -> DataFrame:
+    """One row per embedded medium: key, offset, length, media_type, content, and further columns of its row."""
     kinds = {c: df.schema[c].dataType.simpleString() for c in (key, *more)}
     schema = f"key {kinds[key]}, offset long, length long, media_type string, content binary" + "".join(f", {c} {kinds[c]}" for c in more)
-    return df.mapInArrow(_rows(column, pick), schema)
+    return df.mapInArrow(carved(key, column, *more), schema)
 
 
 def to_wave(payload: bytes) -> bytes:
@@ -372,31 +381,31 @@ def pack_texts(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Data
 DECLARED = ("application/octet-stream", "image/png", "audio/wav", "audio/flac")
 
 
-def features(media: DataFrame) -> DataFrame:
-    """The digest columns of stored waves (key, content, media_type, n_bytes, declared, type_corrected)."""
-
-    def read(batches):
-        auto = automaton()
-        for batch in batches:
-            col = {n: batch.column(i) for i, n in enumerate(batch.schema.names)}
-            rows = []
-            for v, kind, said, fixed in zip(col["content"], *(col[c].to_pylist() for c in ("media_type", "declared", "type_corrected")), strict=True):
-                data = v.as_py()
-                payload = wave_samples(data)
-                feature = f"{kind};declared={said};corrected={fixed};embedded={len(found(auto, payload))};distinct={len(set(payload))};crc={zlib.crc32(payload):08x}"
-                rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), feature))
-            cols = list(zip(*rows, strict=True)) if rows else [()] * 6
-            yield pa.RecordBatch.from_arrays([col["key"], col["n_bytes"], *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True)), col["media_type"]], names=["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "media_type"])
-
-    kind = media.schema["key"].dataType.simpleString()
-    own = media.select("key", "content", "media_type", "n_bytes", "declared", "type_corrected")
-    return own.mapInArrow(read, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, media_type string")
+def digested(batches):
+    """The digest columns of stored waves in batches (key, offset, content, media_type, n_bytes, declared, type_corrected) that start their value."""
+    auto = automaton()
+    for batch in batches:
+        col = {n: batch.column(i) for i, n in enumerate(batch.schema.names)}
+        col = {n: c.filter(pc.equal(col["offset"], 0)) for n, c in col.items()}
+        rows = []
+        for v, kind, said, fixed in zip(col["content"], *(col[c].to_pylist() for c in ("media_type", "declared", "type_corrected")), strict=True):
+            data = v.as_py()
+            payload = wave_samples(data)
+            feature = f"{kind};declared={said};corrected={fixed};embedded={len(found(auto, payload))};distinct={len(set(payload))};crc={zlib.crc32(payload):08x}"
+            rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), feature))
+        cols = list(zip(*rows, strict=True)) if rows else [()] * 6
+        yield pa.RecordBatch.from_arrays([col["key"], col["n_bytes"], *(pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True)), col["media_type"]], names=["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "media_type"])
 
 
 def op6_media_columns(spark, sf_dir) -> DataFrame:
-    """Texts written as waves under types of which most are wrong, read back, sniffed, carved and digested."""
+    """Texts written as waves under types of which most are wrong, read back, sniffed, carved and digested (in one worker)."""
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     said = F.element_at(F.array(*map(F.lit, DECLARED)), (F.pmod(F.crc32("media"), F.lit(len(DECLARED))) + 1).cast("int"))
     stored = materialize(pack_texts(docs).withColumn("declared", said), "media")
-    judged = sniff(stored, "media", "declared")
-    return features(carve(judged, "key", "media", "n_bytes", "declared", "type_corrected").where("offset = 0"))
+    judge, cut = sniffed("media", "declared"), carved("key", "media", "n_bytes", "declared", "type_corrected")
+
+    def run(batches):
+        yield from digested(cut(judge(b for whole in batches for b in slices(whole, "media"))))
+
+    kind = stored.schema["key"].dataType.simpleString()
+    return stored.mapInArrow(run, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, media_type string")
