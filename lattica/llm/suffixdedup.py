@@ -107,7 +107,7 @@ def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
     """
     n = len(data)
     key = packed(data)
-    sa = np.argsort(key, kind="stable")
+    sa = np.argsort(key)
     rank = np.empty(n + 1, np.int64)
     rank[n] = -1
     new = np.ones(n, bool)
@@ -121,12 +121,11 @@ def suffix_array(data: np.ndarray, depth: int) -> np.ndarray:
         if not len(slots):
             break
         suffix = sa[slots]
-        second = rank[np.minimum(suffix + sorted_to, n)]
-        order = np.lexsort((second, group[slots]))
-        suffix, second = suffix[order], second[order]
+        both = group[slots] * np.int64(n + 1) + rank[np.minimum(suffix + sorted_to, n)] + 1  # group, then what follows
+        order = np.argsort(both)
+        suffix, both = suffix[order], both[order]
         sa[slots] = suffix
-        own = group[slots]
-        new[slots[1:]] |= (own[1:] != own[:-1]) | (second[1:] != second[:-1])
+        new[slots[1:]] |= both[1:] != both[:-1]
         group = np.maximum.accumulate(np.where(new, np.arange(n), 0))
         rank[sa] = group
         sorted_to *= 2
@@ -144,13 +143,17 @@ def packed(data: np.ndarray) -> np.ndarray:
 
 
 def common_prefixes(data: np.ndarray, sa: np.ndarray, most: int, stride: int = 16) -> np.ndarray:
-    """Common prefix length (up to `most`) of each suffix in sa with the one before it.
+    """Common prefix length (up to `most`) of each suffix in sa with the one before it; sa may leave suffixes out.
 
     Kasai's inequality in vector form: the prefix at a position is at least that of the
-    position before less one, so every `stride`-th position is compared from scratch
-    and the others start from what those leave.
+    position before less one, so every `stride`-th position of a run of listed positions is
+    compared from scratch and the others start from what those leave (where the suffix that
+    the first was compared with has its followers listed, too).
     """
     n = len(data)
+    listed = np.zeros(n + 1, bool)
+    listed[sa] = True
+    run = np.maximum.accumulate(np.where(listed[:n] & ~np.append(False, listed[: n - 1]), np.arange(n), 0)) if n else np.zeros(0, int)
     before = np.full(n, -1)
     before[sa[1:]] = sa[:-1]
     wide = np.concatenate([data.astype(np.int16), np.full(most + stride + 8, -1, np.int16)])
@@ -178,23 +181,25 @@ def common_prefixes(data: np.ndarray, sa: np.ndarray, most: int, stride: int = 1
                 break
         return np.minimum(out, most)
 
-    base = np.arange(0, n, stride)
+    at = np.flatnonzero(listed[:n])
+    step = (at - run[at]) % stride
+    base, rest, step = at[step == 0], at[step > 0], step[step > 0]
     plcp[base] = extend(base, np.zeros(len(base), np.int64))
-    rest = np.flatnonzero(np.arange(n) % stride)
-    left = plcp[rest // stride * stride]
+    other, left = before[rest - step], plcp[rest - step]
+    beside = np.minimum(other + step, n)
+    known = (other >= 0) & listed[beside] & (run[np.minimum(beside, n - 1)] == run[other])
     # a prefix cut at `most` may be longer than the sorted depth, where order and so the inequality end
-    plcp[rest] = extend(rest, np.where(left < most, np.maximum(0, left - rest % stride), 0))
+    plcp[rest] = extend(rest, np.where(known & (left < most), np.maximum(0, left - step), 0))
     return plcp[sa]
 
 
 def shard_minima(data: np.ndarray, valid: np.ndarray, owner: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(window places, their group, smallest owner of each group) for the valid window starts of a shard."""
     sa = suffix_array(data, length)
-    group = np.cumsum(common_prefixes(data, sa, length) < length)
-    keep = valid[sa]
-    sa, group = sa[keep], group[keep]
+    sa = sa[valid[sa]]
     if not len(sa):
-        return sa, group, owner[:0]
+        return sa, sa, owner[:0]
+    group = np.cumsum(common_prefixes(data, sa, length) < length)
     start = np.flatnonzero(np.append(True, group[1:] != group[:-1]))
     low = np.minimum.reduceat(owner[sa], start)
     return sa, np.repeat(np.arange(len(start)), np.diff(np.append(start, len(sa)))), low
