@@ -221,7 +221,7 @@ def local_move(g: WGraph, state: DataFrame, o: Options, single: bool = False, co
             if o.symmetry == "replay":
                 moves = settle(moves, "moves")
                 kept = replay_filter(g, edges, moves, o.eps)
-            elif o.symmetry == "min_label" and o.mlh_active(i):
+            elif o.symmetry in ("min_label", "async_min_label") and o.mlh_active(i):
                 kept = min_label_filter(moves, state)
             else:
                 kept = moves if o.symmetry == "none" else moves.where("gain > 0")

@@ -14,7 +14,7 @@ class Options:
 
     phi: tuple = DEFAULT_PHI
     eps: tuple = (1, 10)
-    symmetry: str = "replay"  # replay, none, min_label, batch, async_batches
+    symmetry: str = "replay"  # replay, none, min_label, batch, async_batches, async_min_label
     mlh_passes: str | int = "odd"  # odd, even, or n for every n-th pass
     batching: str = "degree"  # degree, color1, color2, partition
     batches: int = 4
@@ -45,7 +45,7 @@ class Options:
 
     def batching_in_effect(self) -> str | None:
         """How a pass is cut into batches; asynchronous updates are emulated by hashed ones. None: all at once."""
-        return {"batch": self.batching, "async_batches": "partition"}.get(self.symmetry)
+        return {"batch": self.batching, "async_batches": "partition", "async_min_label": "partition"}.get(self.symmetry)
 
 
 ZERO_PHI = (Fraction(0),) * 6

@@ -345,6 +345,8 @@ STAND_INS = ("lattice2d", "part_cooc", "order_chain", "lattice8", "order_part",
 SPLIT = ("geo_tree", "page_nav", "doc_line", "page_host")
 #: Stored edges up to which a graph is run in one task; larger ones get the status too_large.
 TASK_EDGES = 1 << 19
+#: Batches in a pass up to which a run is timed; colourings of dense graphs have more, and get the status too_many_batches.
+MOST_BATCHES = 64
 
 
 def _prepared(spark, d, view):
@@ -404,6 +406,8 @@ def run_table(spark, d, views=tuple(VIEWS), variants=None, repetitions=1):
         view, variant, repetition = key
         g, o, log = _renumbered(_task_graph(pdf), repetition), variants[variant], kernel.Log()
         start, status, q = time.perf_counter(), "ok", None
+        if not isinstance(o, str) and o.batching_in_effect() and kernel.batch_of(g, o).max() >= MOST_BATCHES:
+            return pd.DataFrame({"graph": [view], "variant": [variant], "repetition": [repetition], "q": [None], "seconds": [None], "contract_seconds": [None], "status": ["too_many_batches"]})
         try:
             if isinstance(o, str):
                 c = kernel.sequential(g, o != "sequential_one_way", o == "sequential_refined", repetition)
@@ -455,7 +459,7 @@ BASELINES = {
     "batch_color2": Options(symmetry="batch", batching="color2"),
     "batch_partition": Options(symmetry="batch", batching="partition"),
     "async_batches": Options(symmetry="async_batches", batches=16, uncoarsen=False),
-    "min_label_gathered": Options(symmetry="min_label", mlh_passes=4, phi=(Fraction(0),) * 8, gather=True, uncoarsen=False),
+    "min_label_gathered": Options(symmetry="async_min_label", mlh_passes=4, batches=16, phi=(Fraction(0),) * 8, gather=True, uncoarsen=False),
     "refined_racy": Options(refine_mode="racy", uncoarsen=False),
     "refined_greedy": Options(refine_mode="greedy", uncoarsen=False),
     "refined_forest": Options(uncoarsen=False),

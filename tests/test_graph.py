@@ -217,7 +217,7 @@ def test_sequential_way_down_is_as_good_as_its_constraint(seed):
         assert all(len(set(b[c == x])) == 1 for x in np.unique(c))
 
 
-@pytest.mark.parametrize("symmetry, batching, prune", [("replay", "degree", True), ("none", "degree", False), ("min_label", "degree", False), ("async_batches", "degree", True), ("batch", "degree", True), ("batch", "color1", False), ("batch", "color2", True), ("batch", "partition", False)])
+@pytest.mark.parametrize("symmetry, batching, prune", [("replay", "degree", True), ("none", "degree", False), ("min_label", "degree", False), ("async_batches", "degree", True), ("async_min_label", "degree", True), ("batch", "degree", True), ("batch", "color1", False), ("batch", "color2", True), ("batch", "partition", False)])
 def test_frames_equal_kernel_under_every_option(spark, symmetry, batching, prune):
     pairs = [(i, (i + 1) % 14) for i in range(14)] + [(0, 5), (3, 9), (20, 21), (21, 22), (20, 22), (22, 0)]
     g = frames(spark, pairs)
