@@ -43,6 +43,43 @@ def test_mixing_meets_targets(spark):
     assert all(r.rate == 1 for r in out if not r.n_tokens)
 
 
+def test_rates_equal_brute_force_optimum(spark):
+    # targets that some nonnegative rates meet exactly (most of them zero): the least squares optimum is 0
+    rng = np.random.default_rng(0)
+    n, k = 9, 3
+    p = rng.dirichlet(np.ones(k) * 0.6, n)
+    tokens, copies = rng.integers(5, 60, n), rng.integers(1, 4, n)
+    mass = (tokens * copies)[:, None] * p
+    wanted = np.where(rng.random(n) < 0.4, rng.random(n) * 3 + 0.2, 0.0) + 0.05
+    target = wanted @ mass
+    rows = [(int(c), int(t), *map(float, x)) for c, t, x in zip(copies, tokens, p, strict=True)]
+    frame = spark.createDataFrame(rows, "n_rows long, n_tokens long, p_0 double, p_1 double, p_2 double").coalesce(1)
+    out, totals, aimed, _ = mixing.fit_rates(frame, list(target / target.sum()), budget=float(target.sum()))
+    rates = np.array([r.rate for r in out.collect()])
+    assert (rates >= 0).all() and aimed == pytest.approx(target)
+    # brute force over the sets of documents with a positive rate: the smallest residual of all
+    best = np.inf
+    for some in itertools.chain.from_iterable(itertools.combinations(range(n), j) for j in range(1, k + 1)):
+        r = np.linalg.lstsq(mass[list(some)].T, target, rcond=None)[0]
+        if (r >= -1e-9).all():
+            best = min(best, np.linalg.norm(r @ mass[list(some)] - target))
+    assert np.linalg.norm(np.asarray(totals) - target) <= best + 1e-3 * target.sum()
+
+
+def test_mixing_query(spark, tmp_path):
+    rng = random.Random(21)
+    texts = [("fine " * 20 + sentence(rng, 30)) if i % 3 else ("junk %% " * 15 + sentence(rng, 10)) for i in range(90)]
+    docs(spark, [*texts, *EDGE]).write.parquet(f"{tmp_path}/documents.parquet")
+    labels = [(i, int(i % 3 > 0), 0) for i in range(60)] + [(2, 1, 0), (None, 1, 0), (3, None, None)]
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    out = mixing.op1_mixing(spark, str(tmp_path)).collect()
+    assert len(out) == len(texts) + len(EDGE) and all(r.rate >= 0 for r in out)
+    total = sum(r.n_tokens for r in out)
+    share = {d: mixing.TARGETS[d] for d in ("good", "junk")}
+    for d, t in share.items():
+        assert sum(r.rate * r.n_tokens * r[f"p_{d}"] for r in out) == pytest.approx(total * t / sum(share.values()), rel=1e-4)
+
+
 def test_mixing_without_labels_or_rows(spark):
     none = spark.createDataFrame([], "doc_id long, domain string")
     assert {r.rate for r in mixing.mix(docs(spark, ["a b", None]), none).collect()} == {1.0}
@@ -232,6 +269,10 @@ def test_suffix_array_and_prefixes(seed):
         return n
 
     assert [common_(sa[i - 1], sa[i]) for i in range(1, 400)] == lcp[1:].tolist()
+    # with suffixes left out: runs of listed positions of several lengths
+    listed = np.repeat(rng.random(40) < 0.7, 10) & (np.arange(400) % 37 > 2)
+    few = sa[listed[sa]]
+    assert [common_(few[i - 1], few[i]) for i in range(1, len(few))] == suffixdedup.common_prefixes(data, few, 50)[1:].tolist()
 
 
 # ------------------------------------------------------------------ 4 html
@@ -486,6 +527,12 @@ def test_chat_branches(spark):
     assert chat.reply_paths(m.limit(0)).count() == 0
 
 
+def test_chat_query_without_conversations(spark, tmp_path):
+    spark.createDataFrame([], "conv_id long, turn long, role string, text string").write.parquet(f"{tmp_path}/conversations.parquet")
+    out = chat.op7_chat_format(spark, str(tmp_path)).collect()
+    assert [(r.conv_id, r.n_turns, r.loss_chars) for r in out] == [(-7, 2, len("</s>[INST] ok [/INST]"))]
+
+
 # ------------------------------------------------------------------ 8 toxicity
 
 
@@ -700,3 +747,19 @@ def test_pipeline_against_brute_force(spark, tmp_path):
     want = [i for i in range(len(texts)) if classes[i] == i and item not in (texts[i] or "")]
     assert sorted(out) == want
     assert "bob@" not in out[34] and all(out[i] == texts[i] for i in want if i != 34)
+
+
+def test_pipeline_edges(spark, tmp_path):
+    import corpus_pipeline
+
+    def tables(name, rows, labels, items):
+        spark.createDataFrame(rows, DOC).withColumns({"score": common.F.lit("clash"), "item_id": common.F.lit(7)}).write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/{name}/labels.parquet")
+        spark.createDataFrame(items, "item_id long, text string").write.parquet(f"{tmp_path}/{name}/benchmark.parquet")
+        return corpus_pipeline.run(spark, f"{tmp_path}/{name}").collect()
+
+    assert tables("none", [], [], []) == []
+    # nulls in every column, repeated rows, a text of a megabyte; without labels nothing is toxic
+    rows = [(None, None, None, None, None), (None, "a b c", None, "s", 5), (1, "same text here", "en", "s", 14), (1, "same text here", "en", "s", 14), (2, "w " * 500_000, "en", None, None)]
+    out = tables("some", rows, [], [(None, "x y z q"), (1, None)])
+    assert sorted((r.doc_id or 0, len(r.text or "")) for r in out) == [(0, 0), (0, 5), (1, 14), (2, 1_000_000)]
