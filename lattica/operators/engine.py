@@ -50,9 +50,14 @@ def _count(state: DataFrame) -> int:
     return state.where("id = cid").count()
 
 
-def _dealt(g: WGraph) -> WGraph:
-    """The graph with its edges in buckets by src, for a level that runs on DataFrames."""
-    return g if hasattr(g.edges, "_table") else replace(g, edges=bucketed(g.edges, "src", "edges"))
+def _dealt(g: WGraph, made: list | None = None) -> WGraph:
+    """The graph with its edges in buckets by src, for a level that runs on DataFrames; a new table is added to made."""
+    if hasattr(g.edges, "_table"):
+        return g
+    out = replace(g, edges=bucketed(g.edges, "src", "edges"))
+    if made is not None:
+        made.append(out.edges)
+    return out
 
 
 def _fits(g: WGraph, o: Options) -> bool:
@@ -66,6 +71,7 @@ def two_way(g: WGraph, o: Options = Options(), constraint: DataFrame | None = No
     if constraint is not None:
         g = with_constraint(g, constraint)
     stack: list[tuple[WGraph, DataFrame]] = []
+    made: list[DataFrame] = []
     while True:
         if _fits(g, o):
             small, log = local(g), kernel.Log()
@@ -76,7 +82,7 @@ def two_way(g: WGraph, o: Options = Options(), constraint: DataFrame | None = No
                 out.seconds[k] = out.seconds.get(k, 0.0) + v
             break
         single = start is None or bool(stack)
-        g = _dealt(g)
+        g = _dealt(g, made)
         state = moves.singleton_state(g) if single else moves.state_of(g, start)
         if single and "b" in g.vertices.columns:
             state = state.select("id", "vw", "cid", "tw", "b")
@@ -89,6 +95,7 @@ def two_way(g: WGraph, o: Options = Options(), constraint: DataFrame | None = No
         t = time.perf_counter()
         stack.append((g, clusters))
         g = levels.contract(g, clusters, o.gather)
+        made += [g.edges, g.vertices]
         out.timed("contract", t)
     out.levels = len(stack)
     if o.move_at_top and o.uncoarsen and not _fits(g, o):
@@ -100,14 +107,13 @@ def two_way(g: WGraph, o: Options = Options(), constraint: DataFrame | None = No
             t = time.perf_counter()
             clusters = moves.local_move(g, moves.state_of(g, clusters), o, log=out.log, level=depth, phase="up")[0].select("id", "cid")
             out.timed("move_up", t)
-    return _ended(out, g, clusters, stack)
+    return _ended(out, g, clusters, stack, made)
 
 
-def _ended(out: Result, g: WGraph, clusters: DataFrame, stack: list) -> Result:
-    """The result under canonical labels, written, without the levels' scratch."""
+def _ended(out: Result, g: WGraph, clusters: DataFrame, stack: list, made: list) -> Result:
+    """The result under canonical labels, written, without the scratch of the levels."""
     out.clusters = settle(moves.state_of(g, clusters).select("id", "cid"), "clusters") if stack else clusters
-    for level, up in stack:
-        drop(level.edges, up)
+    drop(*made)
     return out
 
 
@@ -116,6 +122,7 @@ def refined(g: WGraph, o: Options = Options(uncoarsen=False), start: DataFrame |
     spark, out = g.edges.sparkSession, Result(None)
     c = start
     stack: list[tuple[WGraph, DataFrame]] = []
+    made: list[DataFrame] = []
     while True:
         if _fits(g, o):
             small, log = local(g), kernel.Log()
@@ -126,7 +133,7 @@ def refined(g: WGraph, o: Options = Options(uncoarsen=False), start: DataFrame |
             for k, v in log.seconds.items():
                 out.seconds[k] = out.seconds.get(k, 0.0) + v
             break
-        g = _dealt(g)
+        g = _dealt(g, made)
         state = moves.singleton_state(g) if c is None else moves.state_of(g, c)
         t = time.perf_counter()
         state, value, before = moves.local_move(g, state, o, c is None, log=out.log, level=len(stack))
@@ -149,6 +156,7 @@ def refined(g: WGraph, o: Options = Options(uncoarsen=False), start: DataFrame |
         c = settle(levels.downsample(fine, clusters), "start")
         stack.append((g, fine))
         g = levels.contract(g, fine, o.gather)
+        made += [g.edges, g.vertices]
         out.timed("contract", t)
     out.levels = len(stack)
     for depth in range(len(stack) - 1, -1, -1):
@@ -158,7 +166,7 @@ def refined(g: WGraph, o: Options = Options(uncoarsen=False), start: DataFrame |
             t = time.perf_counter()
             clusters = moves.local_move(g, moves.state_of(g, clusters), o, log=out.log, level=depth, phase="up")[0].select("id", "cid")
             out.timed("move_up", t)
-    return _ended(out, g, clusters, stack)
+    return _ended(out, g, clusters, stack, made)
 
 
 def iterate(g: WGraph, o: Options = Options(), rounds: int = 11, scheme: str = "constrained", until_stable: bool = False) -> list[Result]:
