@@ -10,7 +10,8 @@ DEFAULT_PHI = (Fraction(3, 4),) * 4 + (Fraction(1, 4),) * 2
 
 @dataclass(frozen=True)
 class Options:
-    """phi holds one temperature per pass; kernel_limit is the number of stored edges from which DataFrames are used."""
+    """phi holds one temperature per pass. Graphs of up to kernel_limit stored edges run in one process, larger ones of up to
+    state_limit vertices over blocks of edges (the vertex state is in the driver and sent out), all others on DataFrames."""
 
     phi: tuple = DEFAULT_PHI
     eps: tuple = (1, 10)
@@ -30,6 +31,7 @@ class Options:
     strict_method: str = "pairs"  # pairs, prefix
     seed: int = 0
     kernel_limit: int = 200_000
+    state_limit: int = 3_000_000
     cap: int = 10_000  # movers up to which the strict move goes pair by pair; above it prefix sums
     max_levels: int = 64
     redraw_limit: int = 8
