@@ -130,8 +130,8 @@ def sketch(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text", F.xxhash64("text").alias("text_key")).mapInArrow(run, f"doc_id {kind}, text_key long, node binary, bands array<long>")
 
 
-def shingle_sets(texts: DataFrame) -> DataFrame:
-    """(node, shingles): the packed sorted distinct shingle hashes of rows (node, text), without texts of another node."""
+def shingle_sets(texts: DataFrame, own_only: bool = False) -> DataFrame:
+    """(node, shingles): the packed sorted distinct shingle hashes of rows (node, text); own_only leaves out texts whose words do not give the node."""
 
     def run(batches):
         tools = PrefixHash()
@@ -140,7 +140,7 @@ def shingle_sets(texts: DataFrame) -> DataFrame:
                 doc, h, word, cut = shingles(tools, b.column(1))
                 doc, h, _ = weighted(doc, h)
                 edge = np.searchsorted(doc, np.arange(b.num_rows + 1))
-                own = [hashlib.blake2b(word[a:z].tobytes(), digest_size=16).digest() == n for a, z, n in zip(cut[:-1], cut[1:], b.column(0).to_pylist(), strict=True)]
+                own = [not own_only or hashlib.blake2b(word[a:z].tobytes(), digest_size=16).digest() == n for a, z, n in zip(cut[:-1], cut[1:], b.column(0).to_pylist(), strict=True)]
                 packed = [h[a:z].tobytes() for a, z in zip(edge[:-1], edge[1:], strict=True)]
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary())], names=["node", "shingles"]).filter(pa.array(own, pa.bool_()))
 
@@ -244,7 +244,7 @@ def node_classes(docs: DataFrame, sketched: DataFrame, threshold: float = 0.8, r
     source = one.select("node", "doc_id").join(wanted, "node", "left_semi")
     texts = docs.select("doc_id", "text").where("doc_id is not null").join(source, "doc_id")
     # ids may repeat with other texts: the set of the right text is the one whose words give the node
-    sets = materialize(shingle_sets(texts), "nd-sets")
+    sets = materialize(shingle_sets(texts, own_only=True), "nd-sets")
     comps, seen, last = None, [], False
     for r in range(rounds + 1):
         state = members.withColumn("comp", F.col("node")) if comps is None else members.join(comps, "node", "left").select("bucket", "node", "meets", F.coalesce("comp", "node").alias("comp"))
