@@ -164,4 +164,6 @@ def lambda_cc(g: WGraph, c: DataFrame) -> DataFrame:
 
 
 def with_constraint(g: WGraph, b: DataFrame) -> WGraph:
-    return replace(g, vertices=g.vertices.select("id", "vw").join(b.select("id", F.col("cid").alias("b")), "id"))
+    vertices = g.vertices.select("id", "vw").join(b.select("id", F.col("cid").alias("b")), "id")
+    vertices._constrained = g.vertices, b
+    return replace(g, vertices=vertices)
