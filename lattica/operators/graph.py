@@ -86,22 +86,30 @@ def encode_ids(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
     return left.join(names.select(F.col("name").alias("b"), F.col("id").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b")), names
 
 
-def _bound(vertices: DataFrame, edges: DataFrame, num: int, den: int) -> tuple[bool, int]:
-    v = vertices.agg(F.sum(F.col("vw").cast("decimal(38,0)")).alias("t")).first().t or 0
+def _sums(edges: DataFrame) -> tuple[int, int]:
+    """(sum of the weights, number) of the stored edges."""
     e = edges.agg(F.sum(F.col("w").cast("decimal(38,0)")).alias("t"), F.count("*").alias("n")).first()
-    return 20 * (den * int(e.t or 0) + num * int(v) ** 2) >= LIMIT, e.n
+    return int(e.t or 0), e.n
+
+
+def _is_wide(edge_weight: int, vertex_weight: int, lam: Fraction) -> bool:
+    return 20 * (lam.denominator * edge_weight + lam.numerator * vertex_weight**2) >= LIMIT
 
 
 def _graph(edges, vertices, lam: Fraction) -> WGraph:
-    wide, stored = _bound(vertices, edges, lam.numerator, lam.denominator)
-    return WGraph(vertices, edges, lam.numerator, lam.denominator, wide, stored)
+    v = vertices.agg(F.sum(F.col("vw").cast("decimal(38,0)")).alias("t")).first().t or 0
+    total, stored = _sums(edges)
+    return WGraph(vertices, edges, lam.numerator, lam.denominator, _is_wide(total, int(v), lam), stored)
 
 
 def modularity_graph(edges: DataFrame, gamma=1) -> WGraph:
-    """Vertex weight = degree, lambda = gamma / (sum of degrees)."""
-    vertices = edges.groupBy(F.col("src").alias("id")).agg(F.sum("w").alias("vw"))
-    total = edges.agg(F.sum("w")).first()[0]
-    return _graph(edges, vertices, Fraction(gamma) / total if total else Fraction(0))
+    """Vertex weight = degree, lambda = gamma / (sum of degrees). The weights of the vertices are those of the edges: these are read once."""
+    per = edges.groupBy(F.col("src").alias("id"))
+    vertices = per.agg(F.sum("w").alias("vw"))
+    vertices._degrees = per.agg(F.sum("w").alias("vw"), F.count("*").alias("n"))
+    total, stored = _sums(edges)
+    lam = Fraction(gamma) / total if total else Fraction(0)
+    return WGraph(vertices, edges, lam.numerator, lam.denominator, _is_wide(total, total, lam), stored)
 
 
 def unit_graph(edges: DataFrame, lam) -> WGraph:

@@ -117,8 +117,10 @@ def scratch_scope():
 
 
 def drop(*frames: DataFrame) -> None:
-    """Delete the scratch folders (and tables) of frames that nothing reads any more; others are left alone."""
+    """Delete the scratch folders (and tables, and what is held in memory) of frames that nothing reads any more; others are left alone."""
     for df in frames:
+        if held := getattr(df, "_held", None):
+            held.unpersist()
         if name := getattr(df, "_table", None):
             df.sparkSession.sql(f"drop table if exists {name}")
         if path := getattr(df, "_scratch", None):
